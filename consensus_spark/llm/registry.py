@@ -2,12 +2,14 @@
 
 from __future__ import annotations
 
-from consensus_spark.llm import mixture, rules, sharding
+from consensus_spark.llm import mixture, rules, sharding, simhash, substrings
 
 QUERIES = {
     "op1_quality_rules": rules.op1_quality_rules,
     "op2_shards": sharding.op2_shards,
     "op5_mixture": mixture.op5_mixture,
+    "op6_substrings": substrings.op6_substrings,
+    "op10_simhash": simhash.op10_simhash,
 }
 
 ORACLE_SQL: dict[str, str] = {}
