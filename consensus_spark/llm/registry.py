@@ -2,13 +2,23 @@
 
 from __future__ import annotations
 
-from consensus_spark.llm import mixture, rules, sharding, simhash, substrings
+from consensus_spark.llm import (
+    mixture,
+    packing,
+    rules,
+    sharding,
+    simhash,
+    substrings,
+    token_counts,
+)
 
 QUERIES = {
     "op1_quality_rules": rules.op1_quality_rules,
     "op2_shards": sharding.op2_shards,
     "op5_mixture": mixture.op5_mixture,
     "op6_substrings": substrings.op6_substrings,
+    "op7_packing": packing.op7_packing,
+    "op8_token_counts": token_counts.op8_token_counts,
     "op10_simhash": simhash.op10_simhash,
 }
 
