@@ -216,3 +216,48 @@ def mix(docs: DataFrame, block_tokens: int = BLOCK_TOKENS, seed: int = SEED) ->
 def op5_mixture(spark, sf_dir: str) -> DataFrame:
     """The mix of all documents."""
     return mix(spark.read.parquet(f"{sf_dir}/documents.parquet"))
+
+
+def apply_mix(docs: DataFrame, block_tokens: int = BLOCK_TOKENS, seed: int = SEED) -> DataFrame:
+    """The mixed corpus: a row for each whole use of a document and one for a partial use.
+
+    A partial use keeps the document's leading words; ``n_chars``, if there, follows.
+    All columns of the input stay.  Rows that repeat id, source and size are matched
+    to their shares one by one.
+    """
+    names = docs.columns
+    clash = {c: f"_in_{i}" for i, c in enumerate(names)}
+    held = docs.select(*[F.col(c).alias(x) for c, x in clash.items()])
+    text = F.col(clash["text"])
+    key = [F.col(clash["doc_id"]).alias("_id"), F.col(clash["source"]).cast("string").alias("_source")]
+    held = held.select("*", *key, F.size(words_of(text)).cast("long").alias("_size"))
+    same = W.partitionBy("_id", "_source", "_size")
+    held = held.withColumn("_n", F.row_number().over(same.orderBy(text)))
+    shares = mix(docs, block_tokens, seed).filter("taken > 0").select(
+        F.col("doc_id").alias("_doc"), F.col("source").alias("_src"), F.col("size").alias("_len"), "taken"
+    )
+    shares = shares.withColumn(
+        "_k", F.row_number().over(W.partitionBy("_doc", "_src", "_len").orderBy(F.desc("taken")))
+    )
+    on = (
+        F.col("_id").eqNullSafe(F.col("_doc"))
+        & F.col("_source").eqNullSafe(F.col("_src"))
+        & (F.col("_size") == F.col("_len"))
+        & (F.col("_n") == F.col("_k"))
+    )
+    whole, rest = F.floor(F.col("taken") / F.col("_size")).cast("int"), F.col("taken") % F.col("_size")
+    uses = F.concat(
+        F.array_repeat(F.lit(0).cast("long"), whole),
+        F.when(rest > 0, F.array(rest)).otherwise(F.array().cast("array<bigint>")),
+    )
+    used = held.join(shares, on).withColumn("_use", F.explode(uses))
+    cut = F.array_join(F.slice(words_of(text), F.lit(1), F.col("_use").cast("int")), " ")
+    columns = []
+    for c, x in clash.items():
+        value = F.col(x)
+        if c == "text":
+            value = F.when(F.col("_use") > 0, cut).otherwise(value)
+        elif c == "n_chars":
+            value = F.when(F.col("_use") > 0, F.length(cut).cast(docs.schema[c].dataType)).otherwise(value)
+        columns.append(value.alias(c))
+    return used.select(*columns)

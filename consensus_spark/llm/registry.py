@@ -3,7 +3,10 @@
 from __future__ import annotations
 
 from consensus_spark.llm import (
+    lines,
     mixture,
+    neighbours,
+    ngram_trie,
     packing,
     rules,
     sharding,
@@ -15,10 +18,13 @@ from consensus_spark.llm import (
 QUERIES = {
     "op1_quality_rules": rules.op1_quality_rules,
     "op2_shards": sharding.op2_shards,
+    "op3_neighbours": neighbours.op3_neighbours,
+    "op4_ngram_scores": ngram_trie.op4_ngram_scores,
     "op5_mixture": mixture.op5_mixture,
     "op6_substrings": substrings.op6_substrings,
     "op7_packing": packing.op7_packing,
     "op8_token_counts": token_counts.op8_token_counts,
+    "op9_line_templates": lines.op9_line_templates,
     "op10_simhash": simhash.op10_simhash,
 }
 
