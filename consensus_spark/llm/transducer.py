@@ -14,14 +14,15 @@ its own (it carries the end-of-word mark).
 from __future__ import annotations
 
 import json
-from dataclasses import dataclass
+import struct
+from typing import NamedTuple
 
 import numpy as np
 
 # Contractions that the pre-tokenizer cuts off whole.
 CONTRACTIONS = (b"'s", b"'t", b"'re", b"'ve", b"'m", b"'ll", b"'d")
 SPECIAL_MARK = "<|"
-MAX_STATES = 400_000
+MAX_STATES = 300_000
 
 
 def byte_symbols() -> list[str]:
@@ -70,52 +71,63 @@ class Bpe:
             whole = by_name.get(a + b)
             if a in by_name and b in by_name and whole is not None:
                 self.rank[by_name[a], by_name[b]] = (r, whole)
-        self._encoded: dict[tuple[int, ...], tuple[int, ...]] = {}
-        self._fits: dict[tuple[int, int], bool] = {}
+        self._fits: dict[int, bool] = {}
         self.starts = {s[:n] for s in self.id_of for n in range(1, len(s) + 1)}
 
     def encode(self, symbols: tuple[int, ...]) -> tuple[int, ...]:
         """Merge by rank until nothing merges: the definition, used on short strings."""
-        if symbols not in self._encoded:
-            ids = [self.id_of[(s,)] for s in symbols]
-            while len(ids) > 1:
-                best = min(
-                    ((self.rank[p][0], i) for i, p in enumerate(zip(ids, ids[1:], strict=False)) if p in self.rank),
-                    default=None,
-                )
-                if best is None:
-                    break
-                pair = (ids[best[1]], ids[best[1] + 1])
-                whole, out, i = self.rank[pair][1], [], 0
-                while i < len(ids):
-                    if i + 1 < len(ids) and (ids[i], ids[i + 1]) == pair:
-                        out.append(whole)
-                        i += 2
-                    else:
-                        out.append(ids[i])
-                        i += 1
-                ids = out
-            self._encoded[symbols] = tuple(ids)
-        return self._encoded[symbols]
+        ids = [self.id_of[(s,)] for s in symbols]
+        while len(ids) > 1:
+            best = min(
+                ((self.rank[p][0], i) for i, p in enumerate(zip(ids, ids[1:], strict=False)) if p in self.rank),
+                default=None,
+            )
+            if best is None:
+                break
+            pair = (ids[best[1]], ids[best[1] + 1])
+            whole, out, i = self.rank[pair][1], [], 0
+            while i < len(ids):
+                if i + 1 < len(ids) and (ids[i], ids[i + 1]) == pair:
+                    out.append(whole)
+                    i += 2
+                else:
+                    out.append(ids[i])
+                    i += 1
+            ids = out
+        return tuple(ids)
 
     def fits(self, left: int, right: int) -> bool:
         """Whether the two tokens stand next to each other in an encoding."""
-        key = (left, right)
+        key = left << 32 | right
         if key not in self._fits:
-            self._fits[key] = self.encode(self.spelling[left] + self.spelling[right]) == key
+            both = self.encode(self.spelling[left] + self.spelling[right])
+            self._fits[key] = both == (left, right)
         return self._fits[key]
 
     def whole(self, token: int) -> bool:
-        return self.encode(self.spelling[token]) == (token,)
+        key = -1 - token
+        if key not in self._fits:
+            self._fits[key] = self.encode(self.spelling[token]) == (token,)
+        return self._fits[key]
 
 
-@dataclass(frozen=True)
-class _State:
+class _State(NamedTuple):
     suffix: tuple[int, ...]
     #: at each cut from the suffix's start to its end: last token before it (-1: none
     #: read yet; -2: no token can go on from here) and tokens emitted there minus now
     cuts: tuple[tuple[int, int], ...]
 
+    def packed(self) -> bytes:
+        """A compact key; hundreds of thousands of states are held."""
+        flat = [v for c in self.cuts for v in c]
+        return struct.pack(f"<H{len(self.suffix)}H{len(flat)}i", len(self.suffix), *self.suffix, *flat)
+
+    @staticmethod
+    def unpacked(key: bytes) -> _State:
+        n = int.from_bytes(key[:2], "little")
+        v = struct.unpack(f"<H{n}H{2 * n + 2}i", key)
+        return _State(v[1 : n + 1], tuple(zip(v[n + 1 :: 2], v[n + 2 :: 2], strict=True)))
+
 
 class Transducer:
     """Lazily compiled states; ``next``, ``emit`` and ``last`` are the tables."""
@@ -127,8 +139,8 @@ class Transducer:
         self._clear()
 
     def _clear(self) -> None:
-        self.states: list[_State] = []
-        self.number: dict[_State, int] = {}
+        self.states: list[bytes] = []
+        self.number: dict[bytes, int] = {}
         rows = 1 << 12
         self.next = np.full((rows, max(self.width, 64)), -1, np.int32)
         self.emit = np.zeros((rows, max(self.width, 64)), np.int8)
@@ -137,12 +149,13 @@ class Transducer:
         self._state(_State((), ((-1, 0),)), -1)
 
     def _state(self, s: _State, last: int) -> int:
-        n = self.number.get(s)
+        key = s.packed()
+        n = self.number.get(key)
         if n is None:
-            n = self.number[s] = len(self.states)
-            self.states.append(s)
+            n = self.number[key] = len(self.states)
+            self.states.append(key)
             if n >= len(self.next):
-                grow = lambda x, v: np.concatenate([x, np.full_like(x, v)])
+                grow = lambda x, v: np.concatenate([x, np.full_like(x[: len(x) // 4], v)])
                 self.next, self.emit = grow(self.next, -1), grow(self.emit, 0)
                 self.last, self.last_len = grow(self.last, 0), grow(self.last_len, 0)
             self.last[n] = last
@@ -155,19 +168,26 @@ class Transducer:
             c = self.column[symbol] = self.width
             self.width += 1
             if self.width > self.next.shape[1]:
-                wide = lambda x, v: np.concatenate([x, np.full_like(x, v)], axis=1)
+                wide = lambda x, v: np.concatenate([x, np.full_like(x[:, :16], v)], axis=1)
                 self.next, self.emit = wide(self.next, -1), wide(self.emit, 0)
         return int(c)
 
+    def _connect(self, state: int, symbol: int, to: int, step: int) -> None:
+        column = self._column(symbol)
+        self.next[state, column], self.emit[state, column] = to, step
+
     def compile(self, state: int, symbol: int) -> None:
         """Add one transition: find the suffix token that fits its left neighbour."""
-        s, bpe = self.states[state], self.bpe
+        s, bpe = _State.unpacked(self.states[state]), self.bpe
         read = (*s.suffix, symbol)
         for cut, (left, ago) in enumerate(s.cuts):
             token = bpe.id_of.get(read[cut:])
             if token is None or left == -2 or not (bpe.whole(token) if left < 0 else bpe.fits(left, token)):
                 continue
             step = ago + 1
+            if symbol >= 256:  # nothing follows: only the last token is left to know
+                self._connect(state, symbol, self._state(_State((), ((token, 0),)), token), step)
+                return
             cuts = [*((t, a - step) for t, a in s.cuts), (token, 0)]
             drop = next(i for i in range(len(read) + 1) if read[i:] in bpe.starts or i == len(read))
             # a cut is forgotten once no token can begin there and go on
@@ -175,9 +195,7 @@ class Transducer:
                 c if i == len(read) or read[i:] in bpe.starts else (-2, 0)
                 for i, c in enumerate(cuts[drop:], drop)
             )
-            to = self._state(_State(read[drop:], live), token)
-            column = self._column(symbol)
-            self.next[state, column], self.emit[state, column] = to, step
+            self._connect(state, symbol, self._state(_State(read[drop:], live), token), step)
             return
         raise ValueError(f"no token ends an encoding of {read}")
 
