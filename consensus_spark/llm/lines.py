@@ -32,7 +32,7 @@ MIN_TOKENS = 3
 MIN_TEXTS = 3
 SIMILARITY = 0.75
 DEPTHS = (3, 6)
-PLACES = 32
+PLACES = 16
 MAX_LEAF = 1_000
 
 _U = np.uint64
@@ -143,26 +143,28 @@ def recurring(docs: DataFrame, min_texts: int = MIN_TEXTS) -> DataFrame:
     parsed = materialise(rows.mapInArrow(_parse_all, _LINES))
     # one row per line and text, then one per line
     held = parsed.groupBy("leaf", "deep", "line", "whole").agg(
-        F.min(F.coalesce("doc_id", F.lit((1 << 63) - 1))).alias("least"), F.first("places").alias("places")
+        F.min(F.coalesce("doc_id", F.lit((1 << 63) - 1))).alias("least")
     )
     lines = materialise(
         held.groupBy("leaf", "deep", "line").agg(
             F.count(F.lit(1)).alias("texts"),
             F.min(F.struct("least", "whole")).alias("first"),
-            F.first("places").alias("places"),
         )
     )
     leaves = lines.groupBy("leaf").agg(F.count(F.lit(1)).alias("n"), F.sum("texts").alias("in_texts"))
     shared = leaves.filter(f"n > 1 AND in_texts >= {min_texts}").select("leaf", "n")
-    wide = lines.select("leaf", "deep", "line", "texts", "places").join(shared, "leaf")
+    wide = lines.select("leaf", "deep", "line", "texts").join(shared, "leaf")
     below = wide.filter(F.col("n") > MAX_LEAF).groupBy("deep").agg(F.count(F.lit(1)).alias("m"))
-    fits = wide.filter(F.col("n") <= MAX_LEAF).select(F.col("leaf").alias("group"), "line", "texts", "places")
+    fits = wide.filter(F.col("n") <= MAX_LEAF).select(F.col("leaf").alias("group"), "line", "texts")
     deeper = (
         wide.filter(F.col("n") > MAX_LEAF)
         .join(below.filter(F.col("m") <= MAX_LEAF), "deep")
-        .select(F.col("deep").alias("group"), "line", "texts", "places")
+        .select(F.col("deep").alias("group"), "line", "texts")
     )
-    matched = fits.unionByName(deeper).groupBy("group").applyInArrow(_cluster, "line long, template long")
+    # only lines that share a leaf are compared, so only their places are moved
+    grouped = fits.unionByName(deeper)
+    places = parsed.select("line", "places").join(grouped.select("line"), "line", "left_semi").dropDuplicates(["line"])
+    matched = grouped.join(places, "line").groupBy("group").applyInArrow(_cluster, "line long, template long")
     named = lines.select("line", "texts", "first").join(matched, "line", "left").withColumn(
         "template", F.coalesce("template", "line")
     )
