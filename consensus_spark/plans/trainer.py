@@ -93,7 +93,7 @@ def _plan_tables(plan: Plan, config: Config) -> tuple[dict, dict, dict, dict]:
 _PARTIAL = "run int, worker int, n long, value array<double>"
 
 
-def _gradients(batch: DataFrame, runs: list[Run], model, n: int) -> np.ndarray:
+def _gradients(batch: DataFrame, runs: list[Run], model, n: int, tasks: int) -> np.ndarray:
     """Mean gradient (run, worker, d) of one batch; all runs share its scan."""
     states = [r.w for r in runs]
 
@@ -118,7 +118,7 @@ def _gradients(batch: DataFrame, runs: list[Run], model, n: int) -> np.ndarray:
     parts = batch.select("worker", "x", "y").mapInArrow(partial, _PARTIAL)
     total = np.zeros((len(runs), n, model.size))
     rows = np.zeros((len(runs), n))
-    if parts.rdd.getNumPartitions() * len(runs) * n * model.size * 8 > PARTIAL_BYTES:
+    if tasks * len(runs) * n * model.size * 8 > PARTIAL_BYTES:
         long = parts.select("run", "worker", "n", F.posexplode("value").alias("idx", "g"))
         summed = long.groupBy("run", "worker", "idx").agg(F.sum("g").alias("g"), F.sum("n").alias("n"))
         for r in summed.toLocalIterator():
@@ -172,9 +172,10 @@ def compare(spark: SparkSession, ex: DataFrame, plans: dict[str, Plan], model, c
     for name, plan in plans.items():
         runs.append(Run(name, start.copy(), *_plan_tables(plan, config)))
     clock, rows = [0.0] * len(runs), []
+    tasks = train.rdd.getNumPartitions()
     for k in range(1, config.k_total + 1):
         batch = train if n_slots == 1 else train.filter(F.col("slot") == (k - 1) % n_slots)
-        grads = _gradients(batch, runs, model, config.n)
+        grads = _gradients(batch, runs, model, config.n, tasks)
         for i, r in enumerate(runs):
             g = grads[i]
             if config.late == "discard" and r.on_time:

@@ -445,7 +445,7 @@ def _cached(ex):
     return ex.select("row_id", "worker", "x", "y", "is_test", *[c for c in ("slot",) if c in ex.columns]).cache()
 
 
-def curve(spark, d, ex, model, k: int = 30, plans=None, n: int = N, **o):
+def curve(spark, d, ex, model, k: int = 16, plans=None, n: int = N, **o):
     return compare(spark, _cached(ex), plans or both_plans(spark, d), model, Config(k_total=k, n=n, eval_every=max(1, k // 6), **o))
 
 
@@ -458,13 +458,13 @@ def _(spark, d):
 @query("w02_curve")
 def _(spark, d):
     ex = tasks.shard(tasks.planted_examples(load(spark, d, "embeddings")), N)
-    return curve(spark, d, ex, Softmax(65, 10))
+    return curve(spark, d, ex, Softmax(65, 10), 12)
 
 
 @query("w03_noise_curve")
 def _(spark, d):
     ex = tasks.shard(tasks.planted_examples(load(spark, d, "embeddings"), noise=True), N)
-    return curve(spark, d, ex, Softmax(65, 10), 12)
+    return curve(spark, d, ex, Softmax(65, 10), 8)
 
 
 @query("w04_curve")
@@ -476,7 +476,7 @@ def _(spark, d):
 @query("w05_mlp")
 def _(spark, d):
     ex = tasks.language(spark, d)
-    return curve(spark, d, ex, Mlp(len(tasks.LETTERS) + 1, 4), 20)
+    return curve(spark, d, ex, Mlp(len(tasks.LETTERS) + 1, 4), 10)
 
 
 @query("w06_pca_curve")
@@ -523,7 +523,7 @@ def _(spark, d):
 def _(spark, d):
     out = None
     for how, o in (("iid", {}), ("by_label", {}), ("dirichlet", {"alpha": 0.3, "n_classes": 4})):
-        h = curve(spark, d, tasks.language(spark, d, how=how, **o), Softmax(38, 4), 12)
+        h = curve(spark, d, tasks.language(spark, d, how=how, **o), Softmax(38, 4), 8)
         h = h.withColumn("run", F.concat(F.col("run"), F.lit(f"_{how}")))
         out = h if out is None else out.unionByName(h)
     return out
@@ -532,15 +532,15 @@ def _(spark, d):
 @query("w13_time_to_accuracy")
 def _(spark, d):
     """First iteration and clock at which the training loss reaches a target."""
-    h = curve(spark, d, tasks.language(spark, d), Softmax(38, 4), 30)
-    return quality.iterations_to(h, "loss", 0.9)
+    h = curve(spark, d, tasks.language(spark, d), Softmax(38, 4), 12)
+    return quality.iterations_to(h, "loss", 0.6)
 
 
 @query("w14_steps")
 def _(spark, d):
     out, ex = None, _cached(tasks.language(spark, d))
     for name, kind, o in (("constant", "constant", {"c": 0.1}), ("geometric", "geometric", {}), ("horizon", "horizon", {"n": 6, "last": 60})):
-        h = compare(spark, ex, {name: both_plans(spark, d)["adaptive"]}, Softmax(38, 4), Config(k_total=10, eval_every=10, step=kind, step_options=o))
+        h = compare(spark, ex, {name: both_plans(spark, d)["adaptive"]}, Softmax(38, 4), Config(k_total=6, eval_every=6, step=kind, step_options=o))
         out = h if out is None else out.unionByName(h)
     return out
 
@@ -562,7 +562,7 @@ def _(spark, d):
 def _(spark, d):
     """Labelled quality by hashed letter pairs: an imbalanced two-class task."""
     ex = tasks.shard(tasks.quality_examples(load(spark, d, "documents"), load(spark, d, "labels")), N)
-    return curve(spark, d, ex, Softmax(33, 2), 15)
+    return curve(spark, d, ex, Softmax(33, 2), 10)
 
 
 @query("w19_transfer")
@@ -587,7 +587,7 @@ def _(spark, d):
     """More backups against convergence: q fastest neighbours, full wait and path cover on one clock."""
     t, e = trace(spark, d), six(spark)
     plans = {f"fastest_{q}": waiting.FastestCount(q).plan(t, e) for q in (0, 1, 2, 3)} | both_plans(spark, d)
-    return compare(spark, _cached(tasks.language(spark, d, how="by_label")), plans, Softmax(38, 4), Config(k_total=12, eval_every=6))
+    return compare(spark, _cached(tasks.language(spark, d, how="by_label")), plans, Softmax(38, 4), Config(k_total=8, eval_every=4))
 
 
 @query("b08_server_backup_curve")
@@ -650,7 +650,7 @@ def _(spark, d):
     best = least_squares_optimum(g, xy)
     c = float(train.agg(F.avg(F.col("y") * F.col("y"))).first()[0])
     least = 0.5 * (c - 2 * best @ xy + best @ g @ best)
-    config = Config(k_total=20, eval_every=2, step="constant", step_options={"c": 0.1})
+    config = Config(k_total=12, eval_every=2, step="constant", step_options={"c": 0.1})
     h = compare(spark, _cached(ex), both_plans(spark, d), LeastSquares(5), config)
     bound = theory.loss_gap_bound(F.col("k"), float(best @ best), 0.1, theory.smoothness(g, "squares"), N, 0.0)
     return h.select("run", "k", (F.col("loss") - float(least)).alias("gap"), bound.alias("bound"))
