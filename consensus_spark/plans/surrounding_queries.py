@@ -114,9 +114,9 @@ def _(spark, d):
     return timing.moving_average(s).select("k", rounded("smooth").alias("smooth"))
 
 
-@query("o_json_props", "SELECT event_id, json_extract_string(props, '$.page') AS page FROM events WHERE json_extract_string(props, '$.page') IS NOT NULL")
+@query("o_json_props", "SELECT event_id, json_extract_string(props, '$.k') AS k_text FROM events WHERE json_extract_string(props, '$.k') IS NOT NULL")
 def _(spark, d):
-    return load(spark, d, "events").select("event_id", F.get_json_object("props", "$.page").alias("page")).filter("page IS NOT NULL")
+    return load(spark, d, "events").select("event_id", F.get_json_object("props", "$.k").alias("k_text")).filter("k_text IS NOT NULL")
 
 
 @query(
