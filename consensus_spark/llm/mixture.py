@@ -191,7 +191,7 @@ def mix(docs: DataFrame, block_tokens: int = BLOCK_TOKENS, seed: int = SEED) ->
         F.lit(0),
     )
     used = (
-        pieces.join(uses, ["src", "block"], "left")
+        pieces.join(uses.hint("merge"), ["src", "block"], "left")
         .groupBy("src", "_from")
         .agg(F.first("doc_id").alias("doc_id"), F.first("size").alias("size"), F.sum(taken).alias("taken"))
         .select("src", "doc_id", "size", "taken")
@@ -250,7 +250,7 @@ def apply_mix(docs: DataFrame, block_tokens: int = BLOCK_TOKENS, seed: int = SEE
         F.array_repeat(F.lit(0).cast("long"), whole),
         F.when(rest > 0, F.array(rest)).otherwise(F.array().cast("array<bigint>")),
     )
-    used = held.join(shares, on).withColumn("_use", F.explode(uses))
+    used = held.join(shares.hint("merge"), on).withColumn("_use", F.explode(uses))
     cut = F.array_join(F.slice(words_of(text), F.lit(1), F.col("_use").cast("int")), " ")
     columns = []
     for c, x in clash.items():
