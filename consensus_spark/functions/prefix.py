@@ -22,4 +22,4 @@ def rank_within(df: DataFrame, keys: list[str], bucket: Column, order: list[str]
         .select(*part, F.coalesce(F.sum("_n").over(upto), F.lit(0)).alias("_start"))
     )
     local = cut.withColumn(out, F.row_number().over(W.partitionBy(*part).orderBy(*order)))
-    return local.join(starts, part).withColumn(out, F.col(out) + F.col("_start")).drop("_bucket", "_start")
+    return local.join(starts.hint("merge"), part).withColumn(out, F.col(out) + F.col("_start")).drop("_bucket", "_start")
