@@ -489,7 +489,7 @@ def _(spark, d):
     from consensus_spark.functions.vectors import dot
 
     ex = ex.withColumn("x", F.array_append(F.transform(lead, lambda w: dot(w, F.slice("x", 1, width))), F.lit(1.0)))
-    return curve(spark, d, ex, Softmax(17, 4), 12)
+    return curve(spark, d, ex, Softmax(17, 4), 6)
 
 
 @query("w07_batch_sweep")
