@@ -93,12 +93,14 @@ def bigram_hash(text: Column, dims: int) -> Column:
     )
 
 
-def quality_examples(docs: DataFrame, labels: DataFrame, dims: int = 32) -> DataFrame:
-    """Labelled documents by hashed letter pairs of their first thousand characters."""
+QUALITY_SIGNS = LETTERS + "#$%&*|!"
+
+
+def quality_examples(docs: DataFrame, labels: DataFrame) -> DataFrame:
+    """Labelled documents by shares of letters and signs over their whole text."""
     held = docs.join(labels.select("doc_id", "quality"), "doc_id")
-    x = F.transform(bigram_hash(F.substring("text", 1, 1000), dims), lambda v: (v - 1.0 / dims) * 20.0)
-    return held.filter("length(text) > 1").select(
-        F.col("doc_id").alias("row_id"), F.array_append(x, F.lit(1.0)).alias("x"),
+    return held.filter("length(text) > 0").select(
+        F.col("doc_id").alias("row_id"), letter_shares(F.col("text"), QUALITY_SIGNS).alias("x"),
         F.col("quality").cast("int").alias("y"), (word("test", "doc_id") % 7 == 0).alias("is_test"),
     )
 

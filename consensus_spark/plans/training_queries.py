@@ -223,13 +223,13 @@ def _(spark, d):
 
 @query(
     "f_bigram_hash",
-    """WITH t AS (SELECT item_id, lower(substr(text, 1, 200)) AS l FROM benchmark WHERE length(text) > 1),
-  p AS (SELECT item_id, CAST(('0x' || substr(md5(substr(l, CAST(i AS INT), 2)), 1, 8))::BIGINT % 16 AS INT) AS slot, length(l) - 1 AS n FROM t, range(1, 201) r(i) WHERE i < length(l))
+    """WITH t AS (SELECT item_id, lower(text) AS l FROM benchmark WHERE length(text) > 1),
+  p AS (SELECT item_id, CAST(('0x' || substr(md5(substr(l, CAST(i AS INT), 2)), 1, 8))::BIGINT % 16 AS INT) AS slot, length(l) - 1 AS n FROM t, range(1, 100000) r(i) WHERE i < length(l))
   SELECT item_id, slot, round(count(*) / any_value(n)::DOUBLE, 6) AS share FROM p GROUP BY item_id, slot""",
 )
 def _(spark, d):
     b = load(spark, d, "benchmark").filter("length(text) > 1")
-    x = tasks.bigram_hash(F.substring("text", 1, 200), 16)
+    x = tasks.bigram_hash(F.col("text"), 16)
     return b.select("item_id", F.posexplode(x).alias("slot", "share")).filter("share > 0").withColumn("share", rounded("share"))
 
 
@@ -560,9 +560,9 @@ def _(spark, d):
 
 @query("w18_quality")
 def _(spark, d):
-    """Labelled quality by hashed letter pairs: an imbalanced two-class task."""
+    """Labelled quality by shares of letters and signs: an imbalanced two-class task."""
     ex = tasks.shard(tasks.quality_examples(load(spark, d, "documents"), load(spark, d, "labels")), N)
-    return curve(spark, d, ex, Softmax(33, 2), 10)
+    return curve(spark, d, ex, Softmax(len(tasks.QUALITY_SIGNS) + 1, 2), 6)
 
 
 @query("w19_transfer")
