@@ -37,11 +37,22 @@ MAX_LEAF = 1_000
 
 _U = np.uint64
 _FIELD = _U(0xF1E1DF1E1DF1E1D)
-_LINES = "doc_id long, whole long, line_at int, line long, leaf long, deep long, places binary"
+_LINES = "doc_id long, whole long, line_at int, line long, leaf long, deep int"
+#: The sampled places of a line, two bytes each, as whole numbers.
+_PLACES = [f"p{i}" for i in range(PLACES // 4)]
+_SKETCHES = ", ".join(["line long", *(f"{p} long" for p in _PLACES)])
 
 
-def _parse(column, doc_ids, whole) -> pa.RecordBatch:
-    """Lines of three or more tokens of each text, with hashes of their paths."""
+def _names(schema: str) -> list[str]:
+    return [f.strip().split(" ")[0] for f in schema.split(",")]
+
+
+def _signed(values: np.ndarray) -> pa.Array:
+    return pa.array(values.view(np.int64), pa.int64())
+
+
+def _lines_of(column):
+    """Lines of three or more tokens: text, place in it, hash, first token, size, and all tokens."""
     data, off = flat_bytes(column)
     w = token_spans(column)
     token = run_hashes(w.data, w.start, w.end)
@@ -58,45 +69,66 @@ def _parse(column, doc_ids, whole) -> pa.RecordBatch:
     text = np.searchsorted(w.first, first, side="right") - 1
     at = np.searchsorted(breaks, w.start[first]) - np.searchsorted(breaks, off[text])
 
-    def path(depth: np.ndarray | int) -> np.ndarray:
-        key = mixed(size.astype(_U))
-        take = np.minimum(size, depth)
-        for k in range(int(take.max()) if n else 0):
-            go = take > k
-            key[go] = mixed(key[go] * _U(0x9E3779B97F4A7C15) + token[first[go] + k])
-        return key
-
     weight = mixed(np.arange(int(size.max()) if n else 0, dtype=_U))
     place = np.arange(size.sum()) - np.repeat(np.cumsum(size) - size, size)
     own = mixed(token[np.repeat(first, size) + place] + weight[place]) if n else np.zeros(0, _U)
     line = mixed(np.add.reduceat(own, np.cumsum(size) - size) + size.astype(_U)) if n else own
-    # evenly spaced places, all of them when the line is short
-    grid = np.arange(PLACES)[None, :] * np.maximum(size, PLACES)[:, None] // PLACES
-    inside = grid < size[:, None]
-    sketch = np.where(inside, token[np.minimum(first[:, None] + grid, max(len(token) - 1, 0))] >> _U(48), 0) if n else np.zeros((0, PLACES))
-    sketch = np.where(inside, np.maximum(sketch, 1), 0).astype("<u2")
-    signed = lambda x: pa.array(x.view(np.int64), pa.int64())
-    raw, wide = sketch.tobytes(), PLACES * 2
+    return text, at, line, first, size, token
+
+
+def _paths(token: np.ndarray, first: np.ndarray, size: np.ndarray, depth: int) -> np.ndarray:
+    """Hash of each line's token count and leading tokens."""
+    key = mixed(size.astype(_U))
+    take = np.minimum(size, depth)
+    for k in range(int(take.max()) if len(size) else 0):
+        go = take > k
+        key[go] = mixed(key[go] * _U(0x9E3779B97F4A7C15) + token[first[go] + k])
+    return key
+
+
+def _parse(part: pa.RecordBatch) -> pa.RecordBatch:
+    text, at, line, first, size, token = _lines_of(part.column("text"))
+    own = pa.array(text)
+    # a leaf is split further by 32 bits
+    deep = (_paths(token, first, size, DEPTHS[1]) >> _U(32)).astype(np.uint32).view(np.int32)
     return pa.record_batch(
         [
-            doc_ids.take(pa.array(text)),
-            whole.take(pa.array(text)),
+            part.column("doc_id").take(own),
+            part.column("whole").take(own),
             pa.array(at.astype(np.int32)),
-            signed(line),
-            signed(path(DEPTHS[0])),
-            signed(path(DEPTHS[1])),
-            pa.array([raw[i : i + wide] for i in range(0, len(raw), wide)], pa.binary()),
+            _signed(line),
+            _signed(_paths(token, first, size, DEPTHS[0])),
+            pa.array(deep),
         ],
-        [f.strip().split(" ")[0] for f in _LINES.split(",")],
+        _names(_LINES),
     )
 
 
-def _parse_all(batches):
-    for b in batches:
-        _, off = flat_bytes(b.column("text"))
-        for a, z in slices(off):
-            part = b.slice(a, z - a)
-            yield _parse(part.column("text"), part.column("doc_id"), part.column("whole"))
+def _sketch(part: pa.RecordBatch) -> pa.RecordBatch:
+    """Evenly spaced places of each different line, all of them when it is short."""
+    _, _, line, first, size, token = _lines_of(part.column("text"))
+    line, at = np.unique(line, return_index=True)
+    first, size = first[at], size[at]
+    grid = np.arange(PLACES)[None, :] * np.maximum(size, PLACES)[:, None] // PLACES
+    inside = grid < size[:, None]
+    if len(line):
+        sketch = np.where(inside, token[np.minimum(first[:, None] + grid, len(token) - 1)] >> _U(48), 0)
+    else:
+        sketch = np.zeros((0, PLACES))
+    sketch = np.ascontiguousarray(np.where(inside, np.maximum(sketch, 1), 0).astype("<u2")).view("<i8")
+    return pa.record_batch([_signed(line), *(pa.array(c) for c in sketch.T)], _names(_SKETCHES))
+
+
+def _each(make):
+    """``make`` over bounded slices of the texts."""
+
+    def run(batches):
+        for b in batches:
+            _, off = flat_bytes(b.column("text"))
+            for a, z in slices(off):
+                yield make(b.slice(a, z - a))
+
+    return run
 
 
 def match_templates(sketches: np.ndarray, similarity: float = SIMILARITY) -> np.ndarray:
@@ -121,16 +153,15 @@ def match_templates(sketches: np.ndarray, similarity: float = SIMILARITY) -> np.
 
 
 def _cluster(table: pa.Table) -> pa.Table:
+    """Lines of a leaf with ``template``: the line that leads it (in most texts)."""
     line = np.asarray(table.column("line"))
     texts = np.asarray(table.column("texts"))
     order = np.lexsort((line, -texts))
-    raw = table.column("places").to_pylist()
-    sketches = np.frombuffer(b"".join(raw[i] for i in order), "<u2").reshape(len(order), -1)
-    which = match_templates(sketches)
-    lead = {}
-    for i, t in zip(order, which, strict=True):
-        lead.setdefault(int(t), int(line[i]))
-    return pa.table({"line": pa.array(line[order]), "template": pa.array([lead[int(t)] for t in which], pa.int64())})
+    packed = np.stack([np.asarray(table.column(p)) for p in _PLACES], axis=1)[order]
+    which = match_templates(np.ascontiguousarray(packed.astype("<i8")).view("<u2"))
+    _, lead = np.unique(which, return_index=True)
+    named = table.select(["line", "texts", "least", "whole"]).take(pa.array(order))
+    return named.append_column("template", pa.array(line[order][lead[which]], pa.int64()))
 
 
 def text_key(text: Column) -> Column:
@@ -140,37 +171,54 @@ def text_key(text: Column) -> Column:
 def recurring(docs: DataFrame, min_texts: int = MIN_TEXTS) -> DataFrame:
     """Lines to drop: ``doc_id``, ``whole`` (hash of the text), ``line_at`` (from 0)."""
     rows = docs.select(F.col("doc_id").cast("long").alias("doc_id"), "text", text_key(F.col("text")).alias("whole"))
-    parsed = materialise(rows.mapInArrow(_parse_all, _LINES))
+    parsed = materialise(rows.mapInArrow(_each(_parse), _LINES))
     # one row per line and text, then one per line
     held = parsed.groupBy("leaf", "deep", "line", "whole").agg(
         F.min(F.coalesce("doc_id", F.lit((1 << 63) - 1))).alias("least")
     )
     lines = materialise(
-        held.groupBy("leaf", "deep", "line").agg(
-            F.count(F.lit(1)).alias("texts"),
-            F.min(F.struct("least", "whole")).alias("first"),
-        )
+        held.groupBy("leaf", "deep", "line")
+        .agg(F.count(F.lit(1)).alias("texts"), F.min(F.struct("least", "whole")).alias("first"))
+        .select("leaf", "deep", "line", "texts", "first.*")
     )
+    # a template lies in one leaf, so only leaves of enough texts go on
     leaves = lines.groupBy("leaf").agg(F.count(F.lit(1)).alias("n"), F.sum("texts").alias("in_texts"))
-    shared = leaves.filter(f"n > 1 AND in_texts >= {min_texts}").select("leaf", "n")
-    wide = lines.select("leaf", "deep", "line", "texts").join(shared, "leaf")
-    below = wide.filter(F.col("n") > MAX_LEAF).groupBy("deep").agg(F.count(F.lit(1)).alias("m"))
-    fits = wide.filter(F.col("n") <= MAX_LEAF).select(F.col("leaf").alias("group"), "line", "texts")
-    deeper = (
-        wide.filter(F.col("n") > MAX_LEAF)
-        .join(below.filter(F.col("m") <= MAX_LEAF), "deep")
-        .select(F.col("deep").alias("group"), "line", "texts")
+    wide = lines.join(leaves.filter(F.col("in_texts") >= min_texts).drop("in_texts"), "leaf")
+    about = ["line", "texts", "least", "whole"]
+    over = wide.filter(F.col("n") > MAX_LEAF)
+    below = over.groupBy("leaf", "deep").agg(F.count(F.lit(1)).alias("m"))
+    deeper = over.join(below, ["leaf", "deep"])
+    grouped = (
+        wide.filter((F.col("n") > 1) & (F.col("n") <= MAX_LEAF))
+        .select("leaf", F.lit(0).alias("deep"), F.lit(False).alias("split"), *about)
+        .unionByName(
+            deeper.filter(F.col("m").between(2, MAX_LEAF)).select("leaf", "deep", F.lit(True).alias("split"), *about)
+        )
+    )
+    # only lines that share a leaf are compared; a second parse gives their places
+    places = (
+        docs.select("text")
+        .mapInArrow(_each(_sketch), _SKETCHES)
+        .groupBy("line")
+        .agg(*(F.min(p).alias(p) for p in _PLACES))
+    )
+    matched = (
+        grouped.join(places, "line")
+        .groupBy("leaf", "deep", "split")
+        .applyInArrow(_cluster, "line long, texts long, least long, whole long, template long")
     )
-    # only lines that share a leaf are compared, so only their places are moved
-    grouped = fits.unionByName(deeper)
-    places = parsed.select("line", "places").join(grouped.select("line"), "line", "left_semi").dropDuplicates(["line"])
-    matched = grouped.join(places, "line").groupBy("group").applyInArrow(_cluster, "line long, template long")
-    named = lines.select("line", "texts", "first").join(matched, "line", "left").withColumn(
-        "template", F.coalesce("template", "line")
+    alone = (
+        wide.filter("n = 1").select(*about)
+        .unionByName(deeper.filter((F.col("m") == 1) | (F.col("m") > MAX_LEAF)).select(*about))
+        .filter(F.col("texts") >= min_texts)
+        .withColumn("template", F.col("line"))
     )
+    named = matched.unionByName(alone)
     # a template's texts: those of its one line, or counted again over all its lines
     single = named.groupBy("template").agg(
-        F.count(F.lit(1)).alias("members"), F.sum("texts").alias("texts"), F.min("first").alias("first")
+        F.count(F.lit(1)).alias("members"),
+        F.sum("texts").alias("texts"),
+        F.min(F.struct("least", "whole")).getField("whole").alias("stays"),
     ).filter(F.col("texts") >= min_texts)
     several = (
         named.select("line", "template")
@@ -183,10 +231,10 @@ def recurring(docs: DataFrame, min_texts: int = MIN_TEXTS) -> DataFrame:
         .filter(F.col("count") >= min_texts)
         .select("template")
     )
-    again = single.filter("members = 1").select("template", "first").unionByName(
-        single.join(several, "template", "left_semi").filter("members > 1").select("template", "first")
+    again = single.filter("members = 1").select("template", "stays").unionByName(
+        single.join(several, "template", "left_semi").filter("members > 1").select("template", "stays")
     )
-    doomed = named.select("line", "template").join(again, "template").select("line", F.col("first.whole").alias("stays"))
+    doomed = named.select("line", "template").join(again, "template").select("line", "stays")
     return (
         parsed.select("doc_id", "whole", "line_at", "line")
         .join(doomed, "line")
