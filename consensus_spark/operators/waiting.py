@@ -113,6 +113,12 @@ class QuantileCutoff:
         return Plan(times, edges, cutoff_active(times, edges, s), s)
 
 
+def complete(times: DataFrame) -> DataFrame:
+    """Edges of the graph a server stands for: every worker hears of every other."""
+    w = times.agg(F.collect_set("worker").alias("all"))
+    return w.select("all", F.explode("all").alias("src")).select("src", F.explode("all").alias("dst")).filter("src <> dst")
+
+
 @dataclass(frozen=True)
 class ServerSync:
     """Exact averaging by a server or ring: everyone hears of everyone."""
@@ -120,7 +126,7 @@ class ServerSync:
     def plan(self, times: DataFrame, edges: DataFrame) -> Plan:
         a, b = times.select("k", F.col("worker").alias("src")), times.select("k", F.col("worker").alias("dst"))
         s = times.groupBy("k").agg(F.max("t").alias("cutoff"))
-        return Plan(times, edges, a.join(b, "k").filter("src <> dst").select("k", "src", "dst"), s)
+        return Plan(times, complete(times), a.join(b, "k").filter("src <> dst").select("k", "src", "dst"), s)
 
 
 @dataclass(frozen=True)
@@ -138,7 +144,7 @@ class ServerBackup:
         ready = self.taken(times).filter("on_time")
         a, b = ready.select("k", F.col("worker").alias("src")), ready.select("k", F.col("worker").alias("dst"))
         s = ready.groupBy("k").agg(F.max("t").alias("cutoff"))
-        return Plan(times, edges, a.join(b, "k").filter("src <> dst").select("k", "src", "dst"), s)
+        return Plan(times, complete(times), a.join(b, "k").filter("src <> dst").select("k", "src", "dst"), s)
 
 
 @dataclass(frozen=True)

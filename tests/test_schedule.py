@@ -154,3 +154,12 @@ def test_clock_and_best_constant(spark):
     best = timing.duration_estimate(d).first()
     for guess in np.linspace(0, 7, 15):
         assert timing.duration_mse(d, float(guess)).first()["mse"] >= best["mse"] - 1e-9
+
+
+def test_server_policies_count_backups_among_all_workers(spark):
+    t = spark.createDataFrame([(1, w, float(w)) for w in range(4)], "k int, worker int, t double")
+    e = spark.createDataFrame([(0, 1), (1, 0), (1, 2), (2, 1), (2, 3), (3, 2)], "src int, dst int")
+    mean = lambda p: p.plan(t, e).wait().agg({"n_backup": "avg"}).first()[0]
+    assert mean(waiting.ServerSync()) == 0
+    # the two in time wait for one another, the late two for nobody
+    assert mean(waiting.ServerBackup(2)) == 2.5
