@@ -7,9 +7,10 @@ as well.  A template found in several different texts recurs: its lines go from
 documents but those that share the text of the first (smallest id) that holds it.
 Exact copies of one text count once, so copies alone make nothing recur.
 
-A leaf with too many different lines is parsed two levels deeper, and one that is
-still too large keeps its lines apart, so no leaf outgrows a task and no line is
-skipped.
+Leaves of any size are compared.  A leaf with many different lines is dealt into
+blocks by hash of the line; each block emits its templates, and a second round merges
+the templates of all blocks of the leaf.  Every line of a template agrees with it in
+all places that are no fields, in both rounds.
 
 Defined cases: a null text has no lines and stays null; blank lines and lines of
 fewer than three tokens always stay; repeated rows fare alike; a null id comes after
@@ -31,16 +32,19 @@ from consensus_spark.llm.token_counts import slices
 MIN_TOKENS = 3
 MIN_TEXTS = 3
 SIMILARITY = 0.75
-DEPTHS = (3, 6)
+DEPTH = 3
 PLACES = 16
-MAX_LEAF = 1_000
+BLOCK_LINES = 1_000
+#: From so many lines on, candidate templates come from an index.
+INDEXED = 200
+_CELLS = 1 << 20
 
 _U = np.uint64
 _FIELD = _U(0xF1E1DF1E1DF1E1D)
-_LINES = "doc_id long, whole long, line_at int, line long, leaf long, deep int"
-#: The sampled places of a line, two bytes each, as whole numbers.
-_PLACES = [f"p{i}" for i in range(PLACES // 4)]
-_SKETCHES = ", ".join(["line long", *(f"{p} long" for p in _PLACES)])
+_LINES = "doc_id long, whole long, line_at int, line long, leaf long"
+#: The places of a line, two bytes each.
+_SKETCHES = "line long, places binary"
+_FIRST = "leaf long, line long, texts long, least long, whole long, template long, places binary"
 
 
 def _names(schema: str) -> list[str]:
@@ -89,16 +93,13 @@ def _paths(token: np.ndarray, first: np.ndarray, size: np.ndarray, depth: int) -
 def _parse(part: pa.RecordBatch) -> pa.RecordBatch:
     text, at, line, first, size, token = _lines_of(part.column("text"))
     own = pa.array(text)
-    # a leaf is split further by 32 bits
-    deep = (_paths(token, first, size, DEPTHS[1]) >> _U(32)).astype(np.uint32).view(np.int32)
     return pa.record_batch(
         [
             part.column("doc_id").take(own),
             part.column("whole").take(own),
             pa.array(at.astype(np.int32)),
             _signed(line),
-            _signed(_paths(token, first, size, DEPTHS[0])),
-            pa.array(deep),
+            _signed(_paths(token, first, size, DEPTH)),
         ],
         _names(_LINES),
     )
@@ -109,14 +110,13 @@ def _sketch(part: pa.RecordBatch) -> pa.RecordBatch:
     _, _, line, first, size, token = _lines_of(part.column("text"))
     line, at = np.unique(line, return_index=True)
     first, size = first[at], size[at]
-    grid = np.arange(PLACES)[None, :] * np.maximum(size, PLACES)[:, None] // PLACES
-    inside = grid < size[:, None]
-    if len(line):
-        sketch = np.where(inside, token[np.minimum(first[:, None] + grid, len(token) - 1)] >> _U(48), 0)
-    else:
-        sketch = np.zeros((0, PLACES))
-    sketch = np.ascontiguousarray(np.where(inside, np.maximum(sketch, 1), 0).astype("<u2")).view("<i8")
-    return pa.record_batch([_signed(line), *(pa.array(c) for c in sketch.T)], _names(_SKETCHES))
+    taken = np.minimum(size, PLACES)
+    inside = np.arange(taken.sum()) - np.repeat(np.cumsum(taken) - taken, taken)
+    grid = inside * np.repeat(np.maximum(size, PLACES), taken) // PLACES
+    cells = np.maximum(token[np.repeat(first, taken) + grid] >> _U(48), _U(1)).astype("<u2")
+    off = np.concatenate([[0], np.cumsum(2 * taken)]).astype(np.int32)
+    places = pa.Array.from_buffers(pa.binary(), len(line), [None, pa.py_buffer(off), pa.py_buffer(cells.tobytes())])
+    return pa.record_batch([_signed(line), places], _names(_SKETCHES))
 
 
 def _each(make):
@@ -131,37 +131,100 @@ def _each(make):
     return run
 
 
+def _segments(cells: np.ndarray, edges: np.ndarray):
+    """Hash of each run of places between edges, and whether it holds no field."""
+    salt = mixed(np.arange(1, cells.shape[1] + 1, dtype=_U))
+    step = max(1, _CELLS // cells.shape[1])
+    for a in range(0, len(cells), step):
+        part = cells[a : a + step]
+        keys = np.add.reduceat(mixed(part.astype(_U) + salt), edges, axis=1)
+        whole = np.logical_and.reduceat(part > 0, edges, axis=1)
+        for k, w in zip(keys.tolist(), whole, strict=True):
+            yield [(j, k[j]) for j in np.flatnonzero(w).tolist()]
+
+
+def _match(cells: np.ndarray, similarity: float) -> tuple[np.ndarray, np.ndarray]:
+    """Template number of each row, in order: the best match or a new one; and the templates.
+
+    Places that agree throughout need no comparison.  Two rows that may differ in d
+    places agree in one of d + 1 segments, so an index of segments finds all matches.
+    """
+    n, places = cells.shape
+    which = np.zeros(n, np.int64)
+    need = int(np.ceil(similarity * places - 1e-9))
+    differ = places - need
+    varies = ((cells != cells[0]) | (cells == 0)).any(axis=0)
+    if varies.sum() <= differ:
+        return which, np.where(varies, 0, cells[:1]).astype(cells.dtype)
+    own = np.ascontiguousarray(cells[:, varies])
+    need -= places - own.shape[1]
+    index: dict[tuple[int, int], list[int]] = {}
+    segments = None
+    if n > INDEXED:
+        segments = _segments(own, np.arange(differ + 1) * own.shape[1] // (differ + 1))
+    templates, count = np.zeros((min(n, 16), own.shape[1]), cells.dtype), 0
+    for i, s in enumerate(own):
+        keys = next(segments) if segments else []
+        if segments:
+            near = np.array(sorted({t for k in keys for t in index.get(k, ())}), np.int64)
+        else:
+            near = np.arange(count)
+        if len(near):
+            same = ((templates[near] == s) & (s > 0)).sum(axis=1)
+            best = int(same.argmax())
+            if same[best] >= need:
+                t = templates[near[best]]
+                t[t != s] = 0
+                which[i] = near[best]
+                continue
+        if count == len(templates):
+            templates = np.concatenate([templates, np.zeros_like(templates)])
+        templates[count], which[i] = s, count
+        for k in keys:
+            index.setdefault(k, []).append(count)
+        count += 1
+    out = np.repeat(cells[:1], count, axis=0)
+    out[:, varies] = templates[:count]
+    return which, out
+
+
 def match_templates(sketches: np.ndarray, similarity: float = SIMILARITY) -> np.ndarray:
     """Template number of each line of a leaf, in order: the best match or a new one.
 
     A template's places become fields (0) where its lines differ.
     """
-    templates = np.zeros((0, sketches.shape[1]), np.uint16)
-    which = np.zeros(len(sketches), np.int64)
-    for i, s in enumerate(sketches):
-        places = max(1, int((s > 0).sum()))
-        if len(templates):
-            same = ((templates == s) & (s > 0)).sum(axis=1) / places
-            best = int(same.argmax())
-            if same[best] >= similarity:
-                templates[best][templates[best] != s] = 0
-                which[i] = best
-                continue
-        which[i] = len(templates)
-        templates = np.vstack([templates, s])
-    return which
+    return _match(sketches, similarity)[0]
+
+
+def _lead(table: pa.Table, emit: bool) -> tuple[np.ndarray, list[bytes | None]]:
+    """The line that leads each line's template (in most texts); with ``emit`` leaders' templates."""
+    line, texts = (np.asarray(table.column(c)) for c in ("line", "texts"))
+    data, off = flat_bytes(table.column("places"))
+    template, vectors = np.zeros(len(line), np.int64), [None] * len(line)
+    for width in np.unique(np.diff(off)):
+        own = np.flatnonzero(np.diff(off) == width)
+        own = own[np.lexsort((line[own], -texts[own]))]
+        cells = np.stack([data[a : a + width] for a in off[own]]).view("<u2")
+        which, found = _match(cells, SIMILARITY)
+        _, lead = np.unique(which, return_index=True)
+        template[own] = line[own][lead[which]]
+        if emit:
+            for i, v in zip(own[lead], found, strict=True):
+                vectors[i] = v.tobytes()
+    return template, vectors
 
 
 def _cluster(table: pa.Table) -> pa.Table:
-    """Lines of a leaf with ``template``: the line that leads it (in most texts)."""
-    line = np.asarray(table.column("line"))
-    texts = np.asarray(table.column("texts"))
-    order = np.lexsort((line, -texts))
-    packed = np.stack([np.asarray(table.column(p)) for p in _PLACES], axis=1)[order]
-    which = match_templates(np.ascontiguousarray(packed.astype("<i8")).view("<u2"))
-    _, lead = np.unique(which, return_index=True)
-    named = table.select(["line", "texts", "least", "whole"]).take(pa.array(order))
-    return named.append_column("template", pa.array(line[order][lead[which]], pa.int64()))
+    """Lines of a block of a leaf with ``template``; ``places`` of templates if there are more blocks."""
+    template, vectors = _lead(table, table.column("blocks")[0].as_py() > 1)
+    named = table.select(["leaf", "line", "texts", "least", "whole"]).append_column("template", pa.array(template))
+    return named.append_column("places", pa.array(vectors, pa.binary()))
+
+
+def _merge(table: pa.Table) -> pa.Table:
+    """Templates of all blocks of a leaf, and those they merge into."""
+    merged, _ = _lead(table, False)
+    return pa.table([table.column("line"), pa.array(merged)], ["template", "merged"])
 
 
 def text_key(text: Column) -> Column:
@@ -173,47 +236,47 @@ def recurring(docs: DataFrame, min_texts: int = MIN_TEXTS) -> DataFrame:
     rows = docs.select(F.col("doc_id").cast("long").alias("doc_id"), "text", text_key(F.col("text")).alias("whole"))
     parsed = materialise(rows.mapInArrow(_each(_parse), _LINES))
     # one row per line and text, then one per line
-    held = parsed.groupBy("leaf", "deep", "line", "whole").agg(
+    held = parsed.groupBy("leaf", "line", "whole").agg(
         F.min(F.coalesce("doc_id", F.lit((1 << 63) - 1))).alias("least")
     )
     lines = materialise(
-        held.groupBy("leaf", "deep", "line")
+        held.groupBy("leaf", "line")
         .agg(F.count(F.lit(1)).alias("texts"), F.min(F.struct("least", "whole")).alias("first"))
-        .select("leaf", "deep", "line", "texts", "first.*")
+        .select("leaf", "line", "texts", "first.*")
     )
     # a template lies in one leaf, so only leaves of enough texts go on
     leaves = lines.groupBy("leaf").agg(F.count(F.lit(1)).alias("n"), F.sum("texts").alias("in_texts"))
     wide = lines.join(leaves.filter(F.col("in_texts") >= min_texts).drop("in_texts"), "leaf")
     about = ["line", "texts", "least", "whole"]
-    over = wide.filter(F.col("n") > MAX_LEAF)
-    below = over.groupBy("leaf", "deep").agg(F.count(F.lit(1)).alias("m"))
-    deeper = over.join(below, ["leaf", "deep"])
-    grouped = (
-        wide.filter((F.col("n") > 1) & (F.col("n") <= MAX_LEAF))
-        .select("leaf", F.lit(0).alias("deep"), F.lit(False).alias("split"), *about)
-        .unionByName(
-            deeper.filter(F.col("m").between(2, MAX_LEAF)).select("leaf", "deep", F.lit(True).alias("split"), *about)
-        )
+    blocks = F.ceil(F.col("n") / BLOCK_LINES).cast("int")
+    grouped = wide.filter("n > 1").select(
+        "leaf", blocks.alias("blocks"), F.pmod(F.xxhash64("line"), blocks).cast("int").alias("block"), *about
     )
     # only lines that share a leaf are compared; a second parse gives their places
     places = (
         docs.select("text")
         .mapInArrow(_each(_sketch), _SKETCHES)
         .groupBy("line")
-        .agg(*(F.min(p).alias(p) for p in _PLACES))
+        .agg(F.min("places").alias("places"))
+    )
+    blockwise = materialise(
+        grouped.join(places, "line").groupBy("leaf", "block").applyInArrow(_cluster, _FIRST)
+    )
+    merged = (
+        blockwise.filter("places IS NOT NULL")
+        .select("leaf", "line", "texts", "places")
+        .groupBy("leaf")
+        .applyInArrow(_merge, "template long, merged long")
     )
-    matched = (
-        grouped.join(places, "line")
-        .groupBy("leaf", "deep", "split")
-        .applyInArrow(_cluster, "line long, texts long, least long, whole long, template long")
+    matched = blockwise.join(merged, "template", "left").select(
+        *about, F.coalesce("merged", "template").alias("template")
     )
     alone = (
         wide.filter("n = 1").select(*about)
-        .unionByName(deeper.filter((F.col("m") == 1) | (F.col("m") > MAX_LEAF)).select(*about))
         .filter(F.col("texts") >= min_texts)
         .withColumn("template", F.col("line"))
     )
-    named = matched.unionByName(alone)
+    named = materialise(matched.unionByName(alone))
     # a template's texts: those of its one line, or counted again over all its lines
     single = named.groupBy("template").agg(
         F.count(F.lit(1)).alias("members"),

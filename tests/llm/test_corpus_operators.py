@@ -299,6 +299,36 @@ def test_line_templates(docs, empty):
     assert lines.drop_lines(empty).count() == 0
 
 
+def _dropped(spark, texts):
+    rows = [(i, t, "en", "s", len(t), 1, "x", "y") for i, t in enumerate(texts)]
+    return {r["doc_id"]: (r["_n_dropped"], r["text"]) for r in lines.drop_lines(spark.createDataFrame(rows, SCHEMA)).collect()}
+
+
+@pytest.mark.parametrize("n", [900, 2300])
+def test_line_templates_of_large_leaves(spark, n):
+    name = lambda i: "".join(chr(97 + int(c)) for c in str(i))
+    texts = [
+        f"Posted by user {name(i)} in forum general\nThe thread was closed by the moderator named {name(i)} for good today"
+        for i in range(n)
+    ]
+    got = _dropped(spark, texts)
+    assert [got[i][0] for i in range(n)] == [0, *[2] * (n - 1)]
+
+
+def test_template_index_finds_all_matches():
+    rng = np.random.default_rng(1)
+    kinds = rng.integers(1, 60000, (40, 13)).astype(np.uint16)
+    rows = np.repeat(kinds, 20, axis=0)
+    rows[np.arange(len(rows)), rng.integers(0, 2, len(rows)) * 7 + 2] = rng.integers(60000, 65000, len(rows))
+    rows = rows[rng.permutation(len(rows))]
+    many = lines.match_templates(rows)
+    had, lines.INDEXED = lines.INDEXED, 10_000
+    try:
+        assert (lines.match_templates(rows) == many).all() and many.max() == 39
+    finally:
+        lines.INDEXED = had
+
+
 def test_templates_generalise_fields():
     a = np.array([[1, 2, 3, 4, 5, 6, 7, 8]], np.uint16)
     rows = np.vstack([a, a, a])
