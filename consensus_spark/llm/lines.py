@@ -2,8 +2,8 @@
 
 A line is parsed along a fixed-depth path: its token count, then its leading tokens,
 with tokens that hold digits generalised to a variable field.  Lines in one leaf that
-agree in most of their places share a template, whose differing places become fields
-as well.  A template found in several different texts recurs: its lines go from all
+agree in three quarters of all their places share a template, whose differing places
+become fields as well.  A template found in several different texts recurs: its lines go from all
 documents but those that share the text of the first (smallest id) that holds it.
 Exact copies of one text count once, so copies alone make nothing recur.
 
@@ -33,7 +33,6 @@ MIN_TOKENS = 3
 MIN_TEXTS = 3
 SIMILARITY = 0.75
 DEPTH = 3
-PLACES = 16
 BLOCK_LINES = 1_000
 #: From so many lines on, candidate templates come from an index.
 INDEXED = 200
@@ -106,15 +105,14 @@ def _parse(part: pa.RecordBatch) -> pa.RecordBatch:
 
 
 def _sketch(part: pa.RecordBatch) -> pa.RecordBatch:
-    """Evenly spaced places of each different line, all of them when it is short."""
+    """All places of each different line that can share a leaf."""
     _, _, line, first, size, token = _lines_of(part.column("text"))
-    line, at = np.unique(line, return_index=True)
-    first, size = first[at], size[at]
-    taken = np.minimum(size, PLACES)
-    inside = np.arange(taken.sum()) - np.repeat(np.cumsum(taken) - taken, taken)
-    grid = inside * np.repeat(np.maximum(size, PLACES), taken) // PLACES
-    cells = np.maximum(token[np.repeat(first, taken) + grid] >> _U(48), _U(1)).astype("<u2")
-    off = np.concatenate([[0], np.cumsum(2 * taken)]).astype(np.int32)
+    _, at = np.unique(line, return_index=True)
+    at = at[size[at] > DEPTH]  # shorter lines are alone in their leaf
+    line, first, size = line[at], first[at], size[at]
+    inside = np.arange(size.sum()) - np.repeat(np.cumsum(size) - size, size)
+    cells = np.maximum(token[np.repeat(first, size) + inside] >> _U(48), _U(1)).astype("<u2")
+    off = np.concatenate([[0], np.cumsum(2 * size)]).astype(np.int32)
     places = pa.Array.from_buffers(pa.binary(), len(line), [None, pa.py_buffer(off), pa.py_buffer(cells.tobytes())])
     return pa.record_batch([_signed(line), places], _names(_SKETCHES))
 

@@ -315,6 +315,17 @@ def test_line_templates_of_large_leaves(spark, n):
     assert [got[i][0] for i in range(n)] == [0, *[2] * (n - 1)]
 
 
+@pytest.mark.parametrize("odd", [0, 1])
+def test_line_templates_compare_all_places(spark, odd):
+    rng = random.Random(7)
+    word = lambda: "".join(rng.choice("abcdefghij") for _ in range(8))
+    # half of the places agree: every other one, after a common start
+    texts = [" ".join("label" + "abcdefghijklmnopqrstuvwxyzABCDEF"[k] if k < 3 or k % 2 == odd else word() for k in range(32)) for _ in range(5)]
+    near = [" ".join(["one common long line"] + ["w" + chr(97 + k % 26) for k in range(27)] + [word()]) for _ in range(5)]
+    assert all(n == 0 for n, _ in _dropped(spark, texts).values())
+    assert [n for _, (n, _) in sorted(_dropped(spark, near).items())] == [0, 1, 1, 1, 1]
+
+
 def test_template_index_finds_all_matches():
     rng = np.random.default_rng(1)
     kinds = rng.integers(1, 60000, (40, 13)).astype(np.uint16)
