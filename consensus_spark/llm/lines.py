@@ -3,18 +3,20 @@
 A line is parsed along a fixed-depth path: its token count, then its leading tokens,
 with tokens that hold digits generalised to a variable field.  Lines in one leaf that
 agree in three quarters of all their places share a template, whose differing places
-become fields as well.  A template found in several different texts recurs: its lines go from all
-documents but those that share the text of the first (smallest id) that holds it.
-Exact copies of one text count once, so copies alone make nothing recur.
+become fields as well.  Lines of fewer than three tokens (headings, and sentences of
+scripts without spaces) are counted as they are, digits too.  A template found in
+several different texts recurs: its lines go from all documents but those that share
+the text of the first (smallest id) that holds it.  Exact copies of one text count
+once, so copies alone make nothing recur.
 
 Leaves of any size are compared.  A leaf with many different lines is dealt into
 blocks by hash of the line; each block emits its templates, and a second round merges
 the templates of all blocks of the leaf.  Every line of a template agrees with it in
 all places that are no fields, in both rounds.
 
-Defined cases: a null text has no lines and stays null; blank lines and lines of
-fewer than three tokens always stay; repeated rows fare alike; a null id comes after
-all others; an empty table gives no rows.
+Defined cases: a null text has no lines and stays null; blank lines always stay;
+repeated rows fare alike; a null id comes after all others; an empty table gives no
+rows.
 """
 
 from __future__ import annotations
@@ -30,7 +32,7 @@ from consensus_spark.llm.textbytes import words_of as token_spans
 from consensus_spark.llm.token_counts import slices
 
 MIN_TOKENS = 3
-MIN_TEXTS = 3
+MIN_TEXTS = 2
 SIMILARITY = 0.75
 DEPTH = 3
 BLOCK_LINES = 1_000
@@ -55,19 +57,17 @@ def _signed(values: np.ndarray) -> pa.Array:
 
 
 def _lines_of(column):
-    """Lines of three or more tokens: text, place in it, hash, first token, size, and all tokens."""
+    """Lines that are not blank: text, place in it, hash, first token, size, and all tokens."""
     data, off = flat_bytes(column)
     w = token_spans(column)
     token = run_hashes(w.data, w.start, w.end)
     digit = (w.data >= 0x30) & (w.data <= 0x39)
     seen = np.concatenate([[0], np.cumsum(digit)])
-    token[seen[w.end] > seen[w.start]] = _FIELD
     breaks = np.flatnonzero(data == 0x0A)
     line_of = np.searchsorted(breaks, w.start) + np.searchsorted(off[1:-1], w.start, side="right")
     first = np.flatnonzero(np.concatenate([[True], line_of[1:] != line_of[:-1]])) if len(token) else np.zeros(0, np.int64)
     size = np.diff(np.append(first, len(token)))
-    long = size >= MIN_TOKENS
-    first, size = first[long], size[long]
+    token[(seen[w.end] > seen[w.start]) & np.repeat(size >= MIN_TOKENS, size)] = _FIELD
     n = len(first)
     text = np.searchsorted(w.first, first, side="right") - 1
     at = np.searchsorted(breaks, w.start[first]) - np.searchsorted(breaks, off[text])

@@ -326,6 +326,14 @@ def test_line_templates_compare_all_places(spark, odd):
     assert [n for _, (n, _) in sorted(_dropped(spark, near).items())] == [0, 1, 1, 1, 1]
 
 
+def test_line_templates_of_two_texts_and_short_lines(spark):
+    passage = " ".join("word" + c for c in "abcdefghijklmnopqrstuvwxyz" * 2)
+    texts = [f"{passage}\nfirst own", f"Read more\n\n{passage}", "Read more\nPage 12", "Page 13\n日本語の長い文。", "日本語の長い文。\nPage 12", "", "\n"]
+    got = _dropped(spark, texts)
+    assert [got[i][0] for i in range(7)] == [0, 1, 1, 0, 2, 0, 0]
+    assert got[1][1] == "Read more\n" and got[2][1] == "Page 12"
+
+
 def test_template_index_finds_all_matches():
     rng = np.random.default_rng(1)
     kinds = rng.integers(1, 60000, (40, 13)).astype(np.uint16)
