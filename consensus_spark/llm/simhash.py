@@ -17,9 +17,10 @@ from __future__ import annotations
 import numpy as np
 import pyarrow as pa
 import xxhash
-from pyspark.sql import DataFrame
+from pyspark.sql import Column, DataFrame
 from pyspark.sql import Window as W
 from pyspark.sql import functions as F
+from pyspark.sql.types import AtomicType
 
 from consensus_spark.llm.durable import materialise
 from consensus_spark.llm.textbytes import flat_bytes
@@ -55,9 +56,10 @@ def _fingerprints(batches):
         data, off = flat_bytes(batch.column("text"))
         low = _LOWER[data]
         prints = [fingerprint(low[a:z].tobytes()) for a, z in zip(off[:-1], off[1:], strict=True)]
+        others = [c for c in batch.schema.names if c != "text"]
         yield pa.record_batch(
-            [batch.column("doc_id"), pa.array(np.array(prints, np.uint64).view(np.int64), pa.int64())],
-            ["doc_id", "print"],
+            [*(batch.column(c) for c in others), pa.array(np.array(prints, np.uint64).view(np.int64), pa.int64())],
+            [*others, "print"],
         )
 
 
@@ -126,35 +128,56 @@ def components(edges: DataFrame) -> DataFrame:
     return ends.union(now.select(F.col("v").alias("node"), F.col("v").alias("root"))).distinct()
 
 
-def groups(docs: DataFrame, max_bits: int = MAX_BITS) -> DataFrame:
-    """``doc_id``, ``print``, ``component_id`` of every row."""
-    prints = materialise(fingerprints(docs))
-    one = prints.groupBy("print").agg(F.min("doc_id").alias("least"))
+def _rooted(prints: DataFrame, least: Column, max_bits: int) -> DataFrame:
+    """Each different fingerprint with the smallest ``least`` of its rows and its group's ``root``."""
+    one = prints.groupBy("print").agg(F.min(least).alias("least"))
     roots = components(links(one.select("print"), max_bits))
-    labelled = one.join(roots, one["print"] == roots["node"], "left").select(
+    return one.join(roots, one["print"] == roots["node"], "left").select(
         "print", "least", F.coalesce("root", "print").alias("root")
     )
+
+
+def groups(docs: DataFrame, max_bits: int = MAX_BITS) -> DataFrame:
+    """``doc_id``, ``print``, ``component_id`` of every row."""
+    prints = materialise(fingerprints(docs))
+    labelled = _rooted(prints, F.col("doc_id"), max_bits)
     smallest = labelled.groupBy("root").agg(F.min("least").alias("component_id"))
     named = labelled.join(smallest, "root").select("print", "component_id")
     return prints.join(named, "print").select("doc_id", "print", "component_id")
 
 
 def keep_one(docs: DataFrame) -> DataFrame:
-    """The document with the smallest id of each group, with all its columns.
+    """Exactly one row of each group of linked fingerprints, with all its columns.
 
-    Of rows that repeat that id and fingerprint exactly one stays.
+    The smallest id stays, a null id after all others.  Of different texts with that
+    id the one of least XXH64 stays, of rows equal in both the least by other columns.
     """
     names = docs.columns
     clash = [f"_in_{i}" for i in range(len(names))]
-    held = docs.select(*[F.col(c).alias(x) for c, x in zip(names, clash, strict=True)])
     as_doc = dict(zip(names, clash, strict=True))
-    kept = groups(docs).filter(F.col("doc_id").eqNullSafe(F.col("component_id"))).select(
-        F.col("doc_id").alias("_id"), "component_id"
-    ).distinct()
-    out = held.join(kept, held[as_doc["doc_id"]].cast("long").eqNullSafe(F.col("_id")), "left_semi")
-    first = W.partitionBy(as_doc["doc_id"]).orderBy(as_doc["text"])
+    key = F.xxhash64("text").alias("key")
+    prints = materialise(
+        docs.select(F.col("doc_id").cast("long").alias("doc_id"), "text", key).mapInArrow(
+            _fingerprints, "doc_id long, key long, print long"
+        )
+    )
+    row = F.struct(F.col("doc_id").isNull().alias("no_id"), "doc_id", "key")
+    kept = (
+        _rooted(prints, row, MAX_BITS)
+        .groupBy("root")
+        .agg(F.min("least").alias("least"))
+        .select(F.col("least.doc_id").alias("_id"), F.col("least.key").alias("_key"))
+    )
+    held = docs.select(
+        *[F.col(c).alias(x) for c, x in as_doc.items()],
+        F.col("doc_id").cast("long").alias("_own"),
+        key.alias("_text"),
+    )
+    out = held.join(kept, held["_own"].eqNullSafe(kept["_id"]) & (held["_text"] == kept["_key"]), "left_semi")
+    order = [as_doc[f.name] for f in docs.schema if isinstance(f.dataType, AtomicType)]
+    first = W.partitionBy("_own", "_text").orderBy(*order)
     out = out.withColumn("_n", F.row_number().over(first)).filter("_n = 1")
-    return out.select(*[F.col(x).alias(c) for c, x in zip(names, clash, strict=True)])
+    return out.select(*[F.col(x).alias(c) for c, x in as_doc.items()])
 
 
 def op10_simhash(spark, sf_dir: str) -> DataFrame:

@@ -389,6 +389,18 @@ def test_simhash_groups(docs, empty):
     assert simhash.groups(empty).count() == 0
 
 
+def test_keep_one_of_null_and_repeated_ids(spark):
+    rng = random.Random(11)
+    text = lambda: " ".join(rng.choice("abcdefghij") * rng.randint(1, 4) for _ in range(60))
+    a, b, c, d, e, f = (text() for _ in range(6))
+    rows = [(None, a), (None, b), (None, c), (None, c), (1, c), (7, d), (7, e), (7, e), (8, d), (None, f), (None, None), (None, "")]
+    rows = [(i, t, "en", "s", None, 1, "x", "y") for i, t in rows]
+    kept = [(r["doc_id"], r["text"]) for r in simhash.keep_one(spark.createDataFrame(rows, SCHEMA).repartition(3)).collect()]
+    full = collections.Counter(x for x in kept if x[1])
+    assert full == collections.Counter([(None, a), (None, b), (1, c), (7, d), (7, e), (None, f)])
+    assert len(kept) == 7
+
+
 def test_components_of_a_long_chain(spark):
     e = spark.createDataFrame([(i, i + 1) for i in range(40)] + [(100, 101)], "a long, b long")
     got = {r["node"]: r["root"] for r in simhash.components(e).collect()}
