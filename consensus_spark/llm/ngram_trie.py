@@ -5,14 +5,16 @@ monotone pointers to their ranges and the words (numbered relative to their
 context, so the whole level rises) are Elias-Fano sequences; probabilities and
 back-off weights are codes of a uniform book of logarithms, rounded down.  Levels
 are written to one file and memory-mapped; a query is a successor search for the
-context and another inside its range.
+context and another inside the range between its pointers.  Contexts are hashed whole
+at every level, so a common word's longer contexts lie in many shards; levels are not
+linked to each other.
 
 The trie is cut by hash of the context.  Document blocks send each shard their
 distinct n-grams with training counts; the shard builds its trie from them and
 answers every n-gram from the mapped levels, so no machine holds the whole model.
 
-Smoothing: interpolated absolute discounting down to the unigram level, where the
-discounted mass belongs to the class of unknown words.
+Smoothing: interpolated absolute discounting down to the unigram level, with one
+discount per order from the counts of all shards; the discounted unigram mass belongs to the class of unknown words.
 
 Defined cases: a null text is its end token alone; a null id is held out;
 repeated rows are counted each; without training rows every token is unknown, with
@@ -30,11 +32,12 @@ import pyarrow as pa
 from pyspark.sql import DataFrame
 from pyspark.sql import functions as F
 
-from consensus_spark.llm.blocks import by_shard, in_blocks, ragged
+from consensus_spark.llm.blocks import SHARD_KEYS, by_shard, in_blocks, ragged
 from consensus_spark.llm.simhash import _LOWER
 from consensus_spark.llm.textbytes import mixed, pack, run_hashes, unpack, words_of
 
 ORDER = 2
+QUERY_ORDER = 3
 HELD_OUT_MODULUS = 10
 ADDED = 0.1
 WORD_BITS = 40
@@ -64,6 +67,7 @@ class EliasFano:
         self.n, self.low_bits, self.low, self.high = n, low_bits, low, high
         bits = np.unpackbits(high, bitorder="little")
         self._zeros = np.flatnonzero(bits == 0)
+        self._ones: np.ndarray | None = None
         self._low = np.lib.stride_tricks.as_strided(
             np.frombuffer(low, "<u8", 1), (max(1, len(low) - 7),), (1,), writeable=False
         )
@@ -120,9 +124,22 @@ class EliasFano:
 
     def at(self, i: np.ndarray) -> np.ndarray:
         """Values by position."""
-        bits = np.unpackbits(self.high, bitorder="little")
-        ones = np.flatnonzero(bits)
-        return ((ones[i] - i).astype(_U) << _U(self.low_bits)) | self._low_at(i)
+        if self._ones is None:
+            self._ones = np.flatnonzero(np.unpackbits(self.high, bitorder="little"))
+        return ((self._ones[i] - i).astype(_U) << _U(self.low_bits)) | self._low_at(i)
+
+    def search(self, q: np.ndarray, begin: np.ndarray, end: np.ndarray) -> tuple[np.ndarray, np.ndarray]:
+        """Position of the first value >= q from begin to end (end if none), and whether it is q."""
+        a, z = begin.copy(), end.copy()
+        while (open_ := np.flatnonzero(a < z)).size:
+            mid = (a[open_] + z[open_]) >> 1
+            less = self.at(mid) < q[open_]
+            a[open_] = np.where(less, mid + 1, a[open_])
+            z[open_] = np.where(less, z[open_], mid)
+        hit = a < end
+        k = np.flatnonzero(hit)
+        hit[k] = self.at(a[k]) == q[k]
+        return a, hit
 
 
 @dataclass
@@ -136,14 +153,13 @@ class TrieLevel:
     backoff: np.ndarray
 
     @staticmethod
-    def build(context: np.ndarray, word: np.ndarray, count: np.ndarray) -> TrieLevel:
-        """From distinct (context, word) rising together, with counts of at least one."""
+    def build(context: np.ndarray, word: np.ndarray, count: np.ndarray, d: float) -> TrieLevel:
+        """From distinct (context, word) rising together, with counts of at least one, and the order's discount."""
         new = np.ones(len(context), bool)
         new[1:] = context[1:] != context[:-1]
         rank, first = np.cumsum(new) - 1, np.flatnonzero(new)
         total = np.add.reduceat(count, first) if len(first) else np.zeros(0)
         kinds = np.diff(np.append(first, len(context)))
-        d = discount(int((count == 1).sum()), int((count == 2).sum()))
         p = (count - d) / total[rank] if len(first) else np.zeros(0)
         n = len(first)
         return TrieLevel(
@@ -177,8 +193,8 @@ class TrieLevel:
         k = np.flatnonzero(seen)
         back[k] = self.backoff[c[k]]
         w = (c[k].astype(_U) << _U(WORD_BITS)) | word[k]
-        at = self.words.successor(w)
-        hit = self.words.holds(at, w)
+        begin, end = (self.pointers.at(c[k] + i).astype(np.int64) for i in (0, 1))
+        at, hit = self.words.search(w, begin, end)
         prob[k[hit]] = self.probability[at[hit]]
         return prob, back
 
@@ -239,7 +255,7 @@ def _grouped(context: np.ndarray, word: np.ndarray):
 _SHORT = _U(64 - WORD_BITS)
 _MESSAGE = "block int, shard int, kind int, keys binary, words binary, counts binary"
 _REPLY = "block int, shard int, kind int, first binary, second binary"
-_STATS = "n long, v long, once long, twice long"
+_STATS = "kind int, n long, v long, once long, twice long"
 _KINDS = {"int": pa.int32(), "binary": pa.binary(), "long": pa.int64()}
 
 
@@ -280,11 +296,18 @@ def _word_totals(table: pa.Table):
     return border, group, np.bincount(group, weights=count).astype(np.int64)
 
 
+def _pair_totals(table: pa.Table):
+    context, border = _gather(table, "keys", True)
+    word, count = _gather(table, "words")[0], _gather(table, "counts")[0].astype(np.int64)
+    c, w, group = _grouped(context, word)
+    return border, c, w, group, np.bincount(group, weights=count, minlength=len(c))
+
+
 def _stats(table: pa.Table) -> pa.Table:
-    if table.column("kind")[0].as_py() != 1:
-        return _table(_STATS, [])
-    total = _word_totals(table)[2]
-    return _table(_STATS, [(int(total.sum()), int((total > 0).sum()), int((total == 1).sum()), int((total == 2).sum()))])
+    kind = table.column("kind")[0].as_py()
+    total = _word_totals(table)[2] if kind == 1 else _pair_totals(table)[4]
+    own = (int(total.sum()), int((total > 0).sum()), int((total == 1).sum()), int((total == 2).sum()))
+    return _table(_STATS, [(kind, *own)])
 
 
 def _answer(table: pa.Table) -> pa.Table:
@@ -294,13 +317,11 @@ def _answer(table: pa.Table) -> pa.Table:
         border, group, total = _word_totals(table)
         first, second = total[group], None
     else:
-        context, border = _gather(table, "keys", True)
-        word, count = _gather(table, "words")[0], _gather(table, "counts")[0].astype(np.int64)
-        c, w, group = _grouped(context, word)
-        total = np.bincount(group, weights=count, minlength=len(c))
+        border, c, w, group, total = _pair_totals(table)
         seen = total > 0
+        d = discount(*(table.column(x)[0].as_py()[kind - 1] for x in ("once", "twice")))
         with tempfile.NamedTemporaryFile() as f:
-            toc = TrieLevel.build(c[seen], w[seen], total[seen]).save(f)
+            toc = TrieLevel.build(c[seen], w[seen], total[seen], d).save(f)
             f.flush()
             level = TrieLevel.map(f.name, toc)
             first, second = (x[group] for x in level.look_up(c, w))
@@ -335,7 +356,7 @@ def _score(order: int, bits: int):
 
         key, group = np.unique(t.token, return_inverse=True)
         c = read(key, 0, "first").astype(np.int64)[group]
-        d = discount(once, twice)
+        d = discount(once[0], twice[0])
         p = np.where(c > 0, (c - d) / n, d * v / n) if n else np.ones(len(c))
         for k in range(2, order + 1):
             ctx, w, group = _grouped(t.context(k), t.token >> _SHORT)
@@ -358,22 +379,28 @@ def _score(order: int, bits: int):
     return score
 
 
-def score_documents(docs: DataFrame, order: int = ORDER) -> DataFrame:
+def score_documents(docs: DataFrame, order: int = ORDER, shard_keys: int = SHARD_KEYS) -> DataFrame:
     """Train on rows not held out and score every row."""
-    rows, layout = in_blocks(docs)
+    rows, layout = in_blocks(docs, shard_keys=shard_keys)
     bits = layout.shard_bits
-    sent = rows.groupBy("block").applyInArrow(_send(order, bits), _MESSAGE)
+    sent = rows.groupBy("block").applyInArrow(_send(order, bits), _MESSAGE).repartition("shard")
+    of = lambda k, c: F.coalesce(F.sum(F.when(F.col("kind") == k, F.col(c))), F.lit(0))
     stats = (
         sent.groupBy("shard")
         .applyInArrow(_stats, _STATS)
-        .agg(*[F.coalesce(F.sum(c), F.lit(0)).alias(c) for c in ("n", "v", "once", "twice")])
+        .agg(
+            *[of(1, c).alias(c) for c in ("n", "v")],
+            *[F.array(*[of(k, c) for k in range(1, order + 1)]).alias(c) for c in ("once", "twice")],
+        )
         .withColumn("_all", F.lit(0))
     )
-    replies = sent.groupBy("shard").applyInArrow(_answer, _REPLY).withColumn("_all", F.lit(0))
-    replies = replies.join(F.broadcast(stats), "_all").drop("_all")  # stats is one row
+    # stats is one row; every order's discount is known before its shards smooth
+    counted = sent.withColumn("_all", F.lit(0)).join(F.broadcast(stats.select("_all", "once", "twice")), "_all")
+    replies = counted.drop("_all").groupBy("shard").applyInArrow(_answer, _REPLY).withColumn("_all", F.lit(0))
+    replies = replies.join(F.broadcast(stats), "_all").drop("_all")
     return rows.groupBy("block").cogroup(replies.groupBy("block")).applyInArrow(_score(order, bits), _RESULT)
 
 
 def op4_ngram_scores(spark, sf_dir: str) -> DataFrame:
-    """Scores of all documents."""
-    return score_documents(spark.read.parquet(f"{sf_dir}/documents.parquet"))
+    """Trigram scores of all documents."""
+    return score_documents(spark.read.parquet(f"{sf_dir}/documents.parquet"), QUERY_ORDER)

@@ -165,6 +165,44 @@ def test_ngram_scores(docs, empty):
     assert ngram_trie.score_documents(empty).count() == 0
 
 
+def test_ngram_scores_of_order_three_over_many_shards(docs):
+    assert ngram_trie.QUERY_ORDER >= 3
+    got = by_id(ngram_trie.score_documents(docs, 3, shard_keys=200))
+    tok = [(i, words((t or "").translate({c: c + 32 for c in range(65, 91)})) + ["\n"]) for i, t, *_ in fixture_rows()]
+    trains = lambda i: zlib.crc32(str(i).encode()) % 10 != 0
+    count, cv, kinds = ([collections.Counter() for _ in range(4)] for _ in range(3))
+    back = lambda w, j, k: tuple(w[j - b] if j >= b else " " for b in range(1, k))
+    for i, w in tok:
+        for j, x in enumerate(w if trains(i) else []):
+            for k in (1, 2, 3):
+                count[k][back(w, j, k), x] += 1
+    for k in (2, 3):
+        for (a, _), c in count[k].items():
+            cv[k][a] += c
+            kinds[k][a] += 1
+    n, v = sum(count[1].values()), len(count[1])
+    d = [0.5] + [ngram_trie.discount(*(sum(c == m for c in count[k].values()) for m in (1, 2))) for k in (1, 2, 3)]
+    for i, w in tok:
+        s = 0.0
+        for j, x in enumerate(w):
+            c = count[1][(), x]
+            p = (c - d[1]) / n if c else d[1] * v / n
+            for k in (2, 3):
+                a = back(w, j, k)
+                if cv[k][a]:
+                    p = max(count[k][a, x] - d[k], 0) / cv[k][a] + d[k] * kinds[k][a] / cv[k][a] * p
+            s += math.log10(p)
+        assert got[i][0]["score"] == pytest.approx(s, abs=0.001 * len(w))
+
+
+def test_trie_search_stays_between_pointers():
+    context = np.array([1, 1, 9, 9, 9], np.uint64) << np.uint64(56)
+    level = ngram_trie.TrieLevel.build(context, np.array([3, 8, 2, 3, 7], np.uint64), np.array([4, 1, 1, 2, 1]), 0.5)
+    level.pointers = ngram_trie.EliasFano.encode(np.array([0, 1, 5]), 6)
+    prob, _ = level.look_up(context, np.array([3, 8, 2, 3, 7], np.uint64))
+    assert (prob > 0).tolist() == [True, False, True, True, True]
+
+
 def test_elias_fano_successor():
     rng = np.random.default_rng(0)
     for n in (0, 1, 7, 3000):
