@@ -89,6 +89,16 @@ def matrices(mix: DataFrame, n: int, most: int = 64 << 20) -> dict[int, np.ndarr
     return out
 
 
+def in_order(mix: DataFrame, n: int):
+    """(k, dense matrix) of every iteration, rising; the driver holds one partition at a time."""
+    cells = mix.groupBy("k").agg(F.collect_list(F.struct("src", "dst", "w")).alias("cells")).orderBy("k")
+    for r in cells.toLocalIterator():
+        m = np.zeros((n, n))
+        for src, dst, w in r["cells"]:
+            m[src, dst] = w
+        yield r["k"], m
+
+
 def weights_of(kind: str, active: DataFrame, workers: DataFrame, n: int) -> DataFrame:
     if kind == "uniform":
         return uniform(workers, n)

@@ -5,6 +5,7 @@ from __future__ import annotations
 import numpy as np
 from pyspark.sql import functions as F
 
+from consensus_spark.functions.prefix import rank_within
 from consensus_spark.functions.vectors import argmax, logits
 from consensus_spark.operators import mixing, quality, steps, tail, theory, timing, waiting, weights
 from consensus_spark.operators.cover import find_cover
@@ -549,11 +550,10 @@ def _(spark, d):
 def _(spark, d):
     """Spread of the workers' parameters along the mixing-only phase."""
     p = adaptive(spark, d)
-    mats = weights.matrices(weights.metropolis(p.active.filter("k <= 60"), p.times.filter("k <= 60")), N)
     w = np.arange(N, dtype=float)[:, None]
     rows = []
-    for k in sorted(mats):
-        w = mats[k].T @ w
+    for k, m in weights.in_order(weights.metropolis(p.active, p.times), N):
+        w = m.T @ w
         rows.append((k, float(((w - w.mean()) ** 2).max()), float(w.mean())))
     return spark.createDataFrame(rows, "k int, disagreement double, mean double")
 
@@ -683,27 +683,37 @@ def _(spark, d):
 @query("b09_server_async")
 def _(spark, d):
     """A server that applies each update on arrival: staleness of every update (event order)."""
-    t = trace(spark, d).filter("k <= 200")
     from pyspark.sql import Window as W
 
-    done = t.withColumn("arrival", F.sum("t").over(W.partitionBy("worker").orderBy("k").rowsBetween(W.unboundedPreceding, 0)))
-    done = done.withColumn("version", F.row_number().over(W.orderBy("arrival", "worker")))
-    read = F.coalesce(F.lag("version").over(W.partitionBy("worker").orderBy("k")), F.lit(0))
-    return done.select("worker", "k", "arrival", "version", (F.col("version") - read - 1).alias("staleness"))
+    # running totals of a worker: whole chunks of iterations first, then inside chunks
+    t = trace(spark, d).withColumn("_c", F.floor(F.col("k") / 4096))
+    upto = W.partitionBy("worker").orderBy("_c").rowsBetween(W.unboundedPreceding, -1)
+    starts = t.groupBy("worker", "_c").agg(F.sum("t").alias("_s")).select(
+        "worker", "_c", F.coalesce(F.sum("_s").over(upto), F.lit(0.0)).alias("_start")
+    )
+    inside = W.partitionBy("worker", "_c").orderBy("k").rowsBetween(W.unboundedPreceding, 0)
+    done = t.withColumn("_l", F.sum("t").over(inside)).join(starts, ["worker", "_c"]).select(
+        "worker", "k", (F.col("_start") + F.col("_l")).alias("arrival")
+    )
+    done = rank_within(done, [], F.floor(F.col("arrival") / 5000.0), ["arrival", "worker"], "version")
+    before = done.select("worker", (F.col("k") + 1).alias("k"), F.col("version").alias("_read"))
+    read = F.coalesce("_read", F.lit(0))
+    return done.join(before, ["worker", "k"], "left").select(
+        "worker", "k", "arrival", "version", (F.col("version") - read - 1).alias("staleness")
+    )
 
 
 @query("b10_stale_sync")
 def _(spark, d):
     """Finish times when nobody may run more than a bound ahead of the slowest."""
-    rows = trace(spark, d).filter("k <= 100").collect()  # a toy fold: 600 rows
-    t = {(r["worker"], r["k"]): r["t"] for r in rows}
-    last = max((k for _, k in t), default=0)
-    out = []
-    for bound in (0, 1, 4):
-        finish = {(w, 0): 0.0 for w in range(N)}
-        for k in range(1, last + 1):
-            gate = max(finish[w, max(0, k - 1 - bound)] for w in range(N))
-            for w in range(N):
-                finish[w, k] = max(finish[w, k - 1], gate) + t[w, k]
-        out.append((bound, float(max(finish[w, last] for w in range(N)))))
+    # a fold over all iterations; it holds the last few finish times of each bound
+    steps = trace(spark, d).groupBy("k").agg(F.collect_list(F.struct("worker", "t")).alias("ts")).orderBy("k")
+    past = {bound: [[0.0] * N] for bound in (0, 1, 4)}
+    for r in steps.toLocalIterator():
+        t = dict(r["ts"])
+        for bound, finish in past.items():
+            gate = max(finish[max(0, len(finish) - 1 - bound)])
+            finish.append([max(finish[-1][w], gate) + t[w] for w in range(N)])
+            del finish[: -bound - 1]
+    out = [(bound, float(max(finish[-1]))) for bound, finish in past.items()]
     return spark.createDataFrame(out, "bound int, finished double")
