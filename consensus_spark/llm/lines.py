@@ -38,12 +38,14 @@ DEPTH = 3
 BLOCK_LINES = 1_000
 #: From so many lines on, candidate templates come from an index.
 INDEXED = 200
+#: A template's lines are dealt over so many cells wherever they meet their template.
+CELLS = 64
 _CELLS = 1 << 20
 
 _U = np.uint64
 _FIELD = _U(0xF1E1DF1E1DF1E1D)
 _LINES = "doc_id long, whole long, line_at int, line long, leaf long"
-#: The places of a line, two bytes each.
+#: The places of a line, four bytes each.
 _SKETCHES = "line long, places binary"
 _FIRST = "leaf long, line long, texts long, least long, whole long, template long, places binary"
 
@@ -111,8 +113,8 @@ def _sketch(part: pa.RecordBatch) -> pa.RecordBatch:
     at = at[size[at] > DEPTH]  # shorter lines are alone in their leaf
     line, first, size = line[at], first[at], size[at]
     inside = np.arange(size.sum()) - np.repeat(np.cumsum(size) - size, size)
-    cells = np.maximum(token[np.repeat(first, size) + inside] >> _U(48), _U(1)).astype("<u2")
-    off = np.concatenate([[0], np.cumsum(2 * size)]).astype(np.int32)
+    cells = np.maximum(token[np.repeat(first, size) + inside] >> _U(32), _U(1)).astype("<u4")
+    off = np.concatenate([[0], np.cumsum(4 * size)]).astype(np.int32)
     places = pa.Array.from_buffers(pa.binary(), len(line), [None, pa.py_buffer(off), pa.py_buffer(cells.tobytes())])
     return pa.record_batch([_signed(line), places], _names(_SKETCHES))
 
@@ -202,7 +204,7 @@ def _lead(table: pa.Table, emit: bool) -> tuple[np.ndarray, list[bytes | None]]:
     for width in np.unique(np.diff(off)):
         own = np.flatnonzero(np.diff(off) == width)
         own = own[np.lexsort((line[own], -texts[own]))]
-        cells = np.stack([data[a : a + width] for a in off[own]]).view("<u2")
+        cells = np.stack([data[a : a + width] for a in off[own]]).view("<u4")
         which, found = _match(cells, SIMILARITY)
         _, lead = np.unique(which, return_index=True)
         template[own] = line[own][lead[which]]
@@ -229,6 +231,17 @@ def text_key(text: Column) -> Column:
     return F.xxhash64(text)
 
 
+def _spread(rows: DataFrame, facts: DataFrame, how: str = "inner") -> DataFrame:
+    """``rows`` (line, template) with the facts of their template; ``rows`` are on disk.
+
+    Only the cells of a template, at most ``CELLS`` rows, meet its facts; its lines, however
+    many, then meet their own cell.
+    """
+    dealt = rows.withColumn("_cell", F.pmod(F.xxhash64("line"), F.lit(CELLS)).cast("int"))
+    cells = dealt.select("template", "_cell").distinct().join(facts, "template")
+    return dealt.join(cells, ["template", "_cell"], how).drop("_cell")
+
+
 def recurring(docs: DataFrame, min_texts: int = MIN_TEXTS) -> DataFrame:
     """Lines to drop: ``doc_id``, ``whole`` (hash of the text), ``line_at`` (from 0)."""
     rows = docs.select(F.col("doc_id").cast("long").alias("doc_id"), "text", text_key(F.col("text")).alias("whole"))
@@ -266,7 +279,7 @@ def recurring(docs: DataFrame, min_texts: int = MIN_TEXTS) -> DataFrame:
         .groupBy("leaf")
         .applyInArrow(_merge, "template long, merged long")
     )
-    matched = blockwise.join(merged, "template", "left").select(
+    matched = _spread(blockwise.drop("leaf", "places"), merged, "left").select(
         *about, F.coalesce("merged", "template").alias("template")
     )
     alone = (
@@ -282,8 +295,7 @@ def recurring(docs: DataFrame, min_texts: int = MIN_TEXTS) -> DataFrame:
         F.min(F.struct("least", "whole")).getField("whole").alias("stays"),
     ).filter(F.col("texts") >= min_texts)
     several = (
-        named.select("line", "template")
-        .join(single.filter("members > 1").select("template"), "template", "left_semi")
+        _spread(named.select("line", "template"), single.filter("members > 1").select("template"))
         .join(held.select("line", "whole"), "line")
         .select("template", "whole")
         .distinct()
@@ -295,7 +307,7 @@ def recurring(docs: DataFrame, min_texts: int = MIN_TEXTS) -> DataFrame:
     again = single.filter("members = 1").select("template", "stays").unionByName(
         single.join(several, "template", "left_semi").filter("members > 1").select("template", "stays")
     )
-    doomed = named.select("line", "template").join(again, "template").select("line", "stays")
+    doomed = _spread(named.select("line", "template"), again).select("line", "stays")
     return (
         parsed.select("doc_id", "whole", "line_at", "line")
         .join(doomed, "line")
@@ -320,9 +332,10 @@ def drop_lines(docs: DataFrame, min_texts: int = MIN_TEXTS) -> DataFrame:
         "_whole", text_key(text)
     )
     joined = held.join(gone, ["_id", "_whole"], "left")
-    kept = F.array_join(
-        F.filter(F.split(text, "\n"), lambda x, i: ~F.array_contains("_gone", i)), "\n"
-    )
+    # places left by a hashed set difference, then the lines there: linear in the text
+    stay = lambda ls: F.array_except(F.sequence(F.lit(0), F.size(ls) - 1), F.col("_gone"))
+    own = F.transform(F.array(F.split(text, "\n")), lambda ls: F.transform(stay(ls), lambda i: F.get(ls, i)))
+    kept = F.array_join(F.element_at(own, 1), "\n")
     out = joined.withColumn("_new", F.when(F.col("_gone").isNull(), text).otherwise(kept))
     columns = []
     for c, x in clash.items():

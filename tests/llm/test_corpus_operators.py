@@ -372,6 +372,56 @@ def test_line_templates_of_two_texts_and_short_lines(spark):
     assert got[1][1] == "Read more\n" and got[2][1] == "Page 12"
 
 
+def test_line_templates_against_brute_force(spark):
+    """Families far apart, so that linked lines are a template in whatever order they come."""
+    rng = random.Random(11)
+    word = lambda n=7: "".join(rng.choice("abcdefghij") for _ in range(n))
+    shapes = [[word() for _ in range(rng.choice((5, 8, 8, 13, 64)))] for _ in range(25)]
+
+    def line():
+        kind = rng.random()
+        if kind < 0.2:
+            return word(3)  # short
+        if kind < 0.4:
+            return " ".join(word() for _ in range(rng.choice((3, 8, 13))))
+        w = list(rng.choice(shapes))
+        if rng.random() < 0.6:
+            w[-1] = word()  # one field, at the end
+        if rng.random() < 0.2:
+            w[0] = str(rng.randint(0, 10**6))
+        return " ".join(w)
+
+    texts = ["\n".join(line() for _ in range(rng.randint(0, 12))) for _ in range(150)]
+    texts += [f"{' '.join(shapes[0])} {word()} {word()}" for _ in range(1300)]  # a leaf of more than one block
+    texts += texts[:5]
+    field = lambda t: "*" if re.search("[0-9]", t) else t
+    shown = lambda ln: tuple(map(field, words(ln))) if len(words(ln)) >= 3 else tuple(words(ln))
+    every = sorted({shown(ln) for t in texts for ln in t.split("\n") if words(ln)})
+    by_leaf = collections.defaultdict(list)
+    for ln in every:
+        by_leaf[len(ln), ln[:3]].append(ln)
+    name = {}
+    for (size, _), own in by_leaf.items():
+        groups = []
+        for ln in own:
+            near = [g for g in groups if any(sum(a == b for a, b in zip(ln, o, strict=True)) >= 0.75 * size for o in g)]
+            if size <= 3:
+                near = []
+            merged = [ln, *(o for g in near for o in g)]
+            groups = [g for g in groups if g not in near] + [merged]
+        for g in groups:
+            name |= dict.fromkeys(g, g[0])
+    holders = collections.defaultdict(dict)
+    for i, t in enumerate(texts):
+        for ln in t.split("\n"):
+            if words(ln):
+                holders[name[shown(ln)]].setdefault(t, i)
+    first = {k: min(v, key=v.get) for k, v in holders.items() if len(v) >= 2}
+    want = [[ln for ln in t.split("\n") if not words(ln) or first.get(name[shown(ln)], t) == t] for t in texts]
+    got = _dropped(spark, texts)
+    assert [got[i] for i in range(len(texts))] == [(len(t.split("\n")) - len(w), "\n".join(w)) for t, w in zip(texts, want, strict=True)]
+
+
 def test_template_index_finds_all_matches():
     rng = np.random.default_rng(1)
     kinds = rng.integers(1, 60000, (40, 13)).astype(np.uint16)
