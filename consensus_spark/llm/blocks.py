@@ -1,52 +1,124 @@
 """Blocks of documents and shards of hashed keys, and messages between them.
 
 Statistics of very many keys (windows, n-grams) are not sent as one row per key.
-Documents are dealt into blocks of a bounded number of bytes; a block sends each
-shard one compressed message with its sorted distinct keys, the shard answers with
-a message whose entries stand in the same order.  A key that every document holds
-costs one entry per block.
+The rows a task reads are bundled, as they come, into compressed blocks of a bounded
+number of bytes and written to the shared folder, so no text is shuffled to form them
+and a lost executor costs a re-read.  A block sends each shard one compressed message
+with its sorted distinct keys, the shard answers with a message whose entries stand in
+the same order.  A key that every document holds costs one entry per block.
 """
 
 from __future__ import annotations
 
 import math
+from collections.abc import Callable
 from dataclasses import dataclass
 
 import numpy as np
+import pyarrow as pa
+import zstandard
+from pyspark import TaskContext
 from pyspark.sql import DataFrame
 from pyspark.sql import functions as F
 
-BLOCK_BYTES = 4_000_000
+from consensus_spark.llm.durable import materialise
+from consensus_spark.llm.textbytes import flat_bytes
+
+BLOCK_BYTES = 8_000_000
 SHARD_KEYS = 1_500_000
+#: A token and the blank after it are taken to be so many bytes.
+TOKEN_BYTES = 6
+_BLOCK = "block long, n_bytes long, body binary"
 
 
 @dataclass(frozen=True)
 class Layout:
+    """``shard_bits``: leading key bits that name a shard; ``key_bits``: bits that tell keys apart."""
+
     n_blocks: int
     shard_bits: int
+    key_bits: int
+
+
+def closed(table: pa.Table) -> bytes:
+    """A table as one compressed value."""
+    sink = pa.BufferOutputStream()
+    with pa.ipc.new_stream(sink, table.schema) as out:
+        out.write_table(table)
+    return zstandard.ZstdCompressor(level=3).compress(sink.getvalue())
+
+
+def opened(body: bytes) -> pa.Table:
+    return pa.ipc.open_stream(zstandard.ZstdDecompressor().decompress(body)).read_all()
+
+
+def _bundles(block_bytes: int, close: Callable[[pa.Table], bytes]):
+    def bundle(batches):
+        task, made = TaskContext.get().partitionId() << 32, 0
+        held: list[pa.Table] = []
+        size = 0
+
+        def emit():
+            body = close(pa.concat_tables(held).combine_chunks())
+            row = [[task + made], [size], [body]]
+            return pa.record_batch([pa.array(c, k) for c, k in zip(row, (pa.int64(), pa.int64(), pa.binary()), strict=True)], ["block", "n_bytes", "body"])
+
+        for b in batches:
+            table = pa.Table.from_batches([b])
+            _, off = flat_bytes(b.column("text"))
+            off = off + 64 * np.arange(len(off))  # rows without text weigh something
+            a = 0
+            while a < b.num_rows:
+                z = max(a + 1, int(np.searchsorted(off, off[a] + block_bytes - size, side="right")) - 1)
+                held.append(table.slice(a, z - a))
+                size += int(off[z] - off[a])
+                a = z
+                if size >= block_bytes or a < b.num_rows:
+                    yield emit()
+                    held, size, made = [], 0, made + 1
+        if held:
+            yield emit()
+
+    return bundle
 
 
 def in_blocks(
-    docs: DataFrame, block_bytes: int = BLOCK_BYTES, shard_keys: int = SHARD_KEYS
+    docs: DataFrame,
+    block_bytes: int = BLOCK_BYTES,
+    shard_keys: int = SHARD_KEYS,
+    close: Callable[[pa.Table], bytes] = closed,
 ) -> tuple[DataFrame, Layout]:
-    """``doc_id``, ``text``, ``block``; blocks by hash of id and text, sized by the input."""
+    """``block``, ``n_bytes``, ``body`` (what ``close`` makes of the block's doc_id and text), on disk.
+
+    Keys are cut to the bits that leave one in a million of them with a double.
+    """
     rows = docs.select(F.col("doc_id").cast("long").alias("doc_id"), "text")
-    total, n = rows.agg(F.sum(F.octet_length("text")), F.count(F.lit(1))).first()
-    total = (total or 0) + 64 * n
-    n_blocks = max(1, math.ceil(total / block_bytes))
-    bits = max(0, math.ceil(math.log2(max(1, total / 6 / shard_keys))))
-    block = F.pmod(F.xxhash64("doc_id", F.crc32(F.coalesce("text", F.lit("")).cast("binary"))), F.lit(n_blocks))
-    return rows.withColumn("block", block.cast("int")), Layout(n_blocks, bits)
+    blocks = materialise(rows.mapInArrow(_bundles(block_bytes, close), _BLOCK))
+    total, n = blocks.agg(F.sum("n_bytes"), F.count(F.lit(1))).first()
+    tokens = max(1, (total or 0) / TOKEN_BYTES)
+    bits = max(0, math.ceil(math.log2(max(1, tokens / shard_keys))))
+    return blocks, Layout(n, bits, min(64, max(32, math.ceil(math.log2(tokens)) + 20)))
+
+
+def each_block(make: Callable[[pa.Table, int], pa.Table]):
+    """``make(table, block)`` over blocks, one at a time, for ``mapInArrow``."""
+
+    def run(batches):
+        for b in batches:
+            for block, body in zip(b.column("block").to_pylist(), b.column("body"), strict=True):
+                yield from make(opened(body.as_buffer()), block).to_batches()
+
+    return run
 
 
-def by_shard(keys: np.ndarray, bits: int):
-    """Cuts of a rising array of 64-bit keys at the borders of shards (their leading bits)."""
+def by_shard(keys: np.ndarray, bits: int, width: int = 64):
+    """Cuts of a rising array of keys of ``width`` bits at the borders of shards (their leading bits)."""
     if not len(keys):
         return
     if bits == 0:
         yield 0, slice(0, len(keys))
         return
-    shard = (keys >> np.uint64(64 - bits)).astype(np.int64)
+    shard = (keys >> np.uint64(width - bits)).astype(np.int64)
     at = np.flatnonzero(np.diff(shard)) + 1
     for a, b in zip([0, *at], [*at, len(keys)], strict=True):
         yield int(shard[a]), slice(int(a), int(b))
@@ -56,3 +128,36 @@ def ragged(parts: list[np.ndarray]) -> tuple[np.ndarray, np.ndarray]:
     """All parts end to end, and the border of each."""
     border = np.concatenate([[0], np.cumsum([len(p) for p in parts])]).astype(np.int64)
     return (np.concatenate(parts) if parts else np.zeros(0, np.uint64)), border
+
+
+def ranked(keys: np.ndarray, width: int = 64) -> tuple[np.ndarray, np.ndarray]:
+    """Distinct keys of ``width`` bits, rising, and each key's rank among them.
+
+    Sorts values that carry their place in the low bits, several times faster than
+    sorting places; where keys that differ in those bits alone stand wrong, all are
+    sorted the plain way.
+    """
+    n = len(keys)
+    bits = max(1, n.bit_length())
+    low = np.uint64((1 << bits) - 1)
+    high = keys << np.uint64(max(0, min(bits, 64 - width)))
+    order = (np.sort((high & ~low) | np.arange(n, dtype=np.uint64)) & low).astype(np.int64)
+    k = keys[order]
+    if (k[1:] < k[:-1]).any():
+        order = np.argsort(keys, kind="stable")
+        k = keys[order]
+    new = np.ones(n, bool)
+    new[1:] = k[1:] != k[:-1]
+    rank = np.empty(n, np.int64)
+    rank[order] = np.cumsum(new) - 1
+    return k[new], rank
+
+
+def pair_ranks(first: np.ndarray, second: np.ndarray) -> tuple[np.ndarray, np.ndarray, np.ndarray]:
+    """Distinct pairs of two rank arrays, rising, and each row's pair number."""
+    if not len(first):
+        return first, second, first
+    narrow, wide = int(first.max()).bit_length(), int(second.max()).bit_length()
+    own = np.uint64(wide)
+    both, row = ranked((first.astype(np.uint64) << own) | second.astype(np.uint64), max(1, narrow + wide))
+    return (both >> own).astype(np.int64), (both & np.uint64((1 << wide) - 1)).astype(np.int64), row

@@ -2,12 +2,13 @@
 
 A trie level holds, for each context, the words seen after it.  Contexts, the
 monotone pointers to their ranges and the words (numbered relative to their
-context, so the whole level rises) are Elias-Fano sequences; probabilities and
+context, so the whole level rises) are Elias-Fano sequences, kept packed as they lie
+in the file, with a count of ones per 64 bits to select by; probabilities and
 back-off weights are codes of a uniform book of logarithms, rounded down.  Levels
 are written to one file and memory-mapped; a query is a successor search for the
-context and another inside the range between its pointers.  Contexts are hashed whole
-at every level, so a common word's longer contexts lie in many shards; levels are not
-linked to each other.
+context and another for the word inside the range between the context's pointers.
+Contexts are hashed whole at every level, so a common word's longer contexts lie in
+many shards; levels are not linked to each other.
 
 The trie is cut by hash of the context.  Document blocks send each shard their
 distinct n-grams with training counts; the shard builds its trie from them and
@@ -32,7 +33,18 @@ import pyarrow as pa
 from pyspark.sql import DataFrame
 from pyspark.sql import functions as F
 
-from consensus_spark.llm.blocks import SHARD_KEYS, by_shard, in_blocks, ragged
+from consensus_spark.llm.blocks import (
+    BLOCK_BYTES,
+    SHARD_KEYS,
+    by_shard,
+    closed,
+    each_block,
+    in_blocks,
+    opened,
+    pair_ranks,
+    ragged,
+    ranked,
+)
 from consensus_spark.llm.simhash import _LOWER
 from consensus_spark.llm.textbytes import mixed, pack, run_hashes, unpack, words_of
 
@@ -40,7 +52,7 @@ ORDER = 2
 QUERY_ORDER = 3
 HELD_OUT_MODULUS = 10
 ADDED = 0.1
-WORD_BITS = 40
+WORD_BITS = 32
 END = np.uint64(0x0E9D0E9D0E9D0E9D)
 BEGIN = np.uint64(0xBE61BE61BE61BE61)
 LOWEST, LEVELS = -12.0, 65535
@@ -60,85 +72,107 @@ def value(code: np.ndarray) -> np.ndarray:
     return np.where(code > 0, p, 0.0)
 
 
+class Bits:
+    """A packed bit string; positions of its ones and zeros by number."""
+
+    def __init__(self, words: np.ndarray, ones: np.ndarray):
+        self.words, self.ones = words, ones
+
+    @staticmethod
+    def counted(words: np.ndarray) -> Bits:
+        """With the number of ones before each word."""
+        before = np.zeros(len(words) + 1, np.uint32)
+        np.cumsum(np.bitwise_count(words), out=before[1:], dtype=np.uint32)
+        return Bits(words, before[:-1])
+
+    def _inside(self, word: np.ndarray, i: np.ndarray) -> np.ndarray:
+        """Place of one number i of each word, by halves."""
+        word, at = word.copy(), np.zeros(len(i), np.int64)
+        for half in (32, 16, 8, 4, 2, 1):
+            below = np.bitwise_count(word & _U((1 << half) - 1)).astype(np.int64)
+            over = i >= below
+            i = i - below * over
+            at += half * over
+            word >>= (over * half).astype(_U)
+        return at
+
+    def one(self, i: np.ndarray) -> np.ndarray:
+        """Position of one number i (from 0)."""
+        w = np.searchsorted(self.ones, i.astype(np.uint32), side="right") - 1
+        return 64 * w + self._inside(self.words[w], i - self.ones[w].astype(np.int64))
+
+    def zero(self, i: np.ndarray) -> np.ndarray:
+        """Position of zero number i (from 0)."""
+        zeros = 64 * np.arange(len(self.words), dtype=np.int64) - self.ones.astype(np.int64)
+        w = np.searchsorted(zeros, i, side="right") - 1
+        return 64 * w + self._inside(~self.words[w], i - zeros[w])
+
+
 class EliasFano:
-    """A rising sequence: low bits packed, high bits as gaps in unary."""
-
-    def __init__(self, n: int, low_bits: int, low: np.ndarray, high: np.ndarray):
-        self.n, self.low_bits, self.low, self.high = n, low_bits, low, high
-        bits = np.unpackbits(high, bitorder="little")
-        self._zeros = np.flatnonzero(bits == 0)
-        self._ones: np.ndarray | None = None
-        self._low = np.lib.stride_tricks.as_strided(
-            np.frombuffer(low, "<u8", 1), (max(1, len(low) - 7),), (1,), writeable=False
-        )
+    """A rising sequence above ``base``: low bits packed, high bits as gaps in unary."""
+
+    def __init__(self, n: int, low_bits: int, base: int, low: np.ndarray, high: Bits):
+        self.n, self.low_bits, self.base, self.low, self.high = n, low_bits, _U(base), low, high
+        self._mask = _U((1 << low_bits) - 1)
 
     @staticmethod
-    def encode(values: np.ndarray, universe: int) -> EliasFano:
+    def encode(values: np.ndarray) -> EliasFano:
         n = len(values)
-        low_bits = min(56, max(0, (universe // max(1, n)).bit_length() - 1))
         v = values.astype(_U)
-        low = v & _U((1 << low_bits) - 1)
-        planes = (low[:, None] >> np.arange(low_bits, dtype=_U)) & _U(1)
-        packed = np.packbits(planes.astype(np.uint8).ravel(), bitorder="little")
-        top = (v >> _U(low_bits)).astype(np.int64)
-        bits = np.zeros(n + (int(top[-1]) if n else 0) + 2, np.uint8)
+        base = int(v[0]) if n else 0
+        v -= _U(base)
+        spread = (int(v[-1]) if n else 0) + 1
+        b = max(0, (spread // max(1, n)).bit_length() - 1)
+        low = np.zeros(n * b // 64 + 2, _U)
+        if b and n:
+            own, bit = v & _U((1 << b) - 1), np.arange(n, dtype=np.int64) * b
+            word, shift = bit >> 6, bit & 63
+            first = np.flatnonzero(np.diff(word, prepend=-1))
+            low[word[first]] = np.bitwise_or.reduceat(own << shift.astype(_U), first)
+            over = np.flatnonzero(shift + b > 64)  # at most one value spills into a word
+            low[word[over] + 1] |= own[over] >> (64 - shift[over]).astype(_U)
+        top = (v >> _U(b)).astype(np.int64)
+        bits = np.zeros((n + (int(top[-1]) if n else 0) + 2 + 63) // 64 * 64, np.uint8)
         bits[top + np.arange(n)] = 1
-        high = np.packbits(bits, bitorder="little")
-        return EliasFano(n, low_bits, np.concatenate([packed, np.zeros(16, np.uint8)]), high)
+        return EliasFano(n, b, base, low, Bits.counted(np.packbits(bits, bitorder="little").view("<u8")))
 
     def _low_at(self, i: np.ndarray) -> np.ndarray:
         if not self.low_bits:
             return np.zeros(len(i), _U)
         bit = i * self.low_bits
-        return (self._low[bit >> 3] >> (bit & 7).astype(_U)) & _U((1 << self.low_bits) - 1)
-
-    def bucket(self, top: np.ndarray) -> tuple[np.ndarray, np.ndarray]:
-        """Positions of the values whose high part is ``top``."""
-        last = len(self._zeros) - 1
-        end = self._zeros[np.minimum(top, last)] - np.minimum(top, last)
-        below = np.minimum(top - 1, last)
-        begin = np.where(top > 0, self._zeros[np.maximum(below, 0)] - np.maximum(below, 0), 0)
-        return np.minimum(begin, self.n), np.minimum(end, self.n)
-
-    def successor(self, q: np.ndarray) -> np.ndarray:
-        """Position of the first value >= q (n if none)."""
-        q = q.astype(_U)
-        low = q & _U((1 << self.low_bits) - 1)
-        a, z = self.bucket((q >> _U(self.low_bits)).astype(np.int64))
-        while (open_ := np.flatnonzero(a < z)).size:
-            mid = (a[open_] + z[open_]) >> 1
-            less = self._low_at(mid) < low[open_]
-            a[open_] = np.where(less, mid + 1, a[open_])
-            z[open_] = np.where(less, z[open_], mid)
-        return a
-
-    def holds(self, at: np.ndarray, q: np.ndarray) -> np.ndarray:
-        """Whether the value at the successor's position is q itself."""
-        q = q.astype(_U)
-        _, z = self.bucket((q >> _U(self.low_bits)).astype(np.int64))
-        inside = at < z
-        out = np.zeros(len(q), bool)
-        k = np.flatnonzero(inside)
-        out[k] = self._low_at(at[k]) == q[k] & _U((1 << self.low_bits) - 1)
-        return out
+        word, shift = bit >> 6, (bit & 63).astype(_U)
+        over = np.where(shift > 0, self.low[word + 1] << ((_U(64) - shift) & _U(63)), _U(0))
+        return ((self.low[word] >> shift) | over) & self._mask
 
     def at(self, i: np.ndarray) -> np.ndarray:
         """Values by position."""
-        if self._ones is None:
-            self._ones = np.flatnonzero(np.unpackbits(self.high, bitorder="little"))
-        return ((self._ones[i] - i).astype(_U) << _U(self.low_bits)) | self._low_at(i)
+        return (((self.high.one(i) - i).astype(_U) << _U(self.low_bits)) | self._low_at(i)) + self.base
 
-    def search(self, q: np.ndarray, begin: np.ndarray, end: np.ndarray) -> tuple[np.ndarray, np.ndarray]:
-        """Position of the first value >= q from begin to end (end if none), and whether it is q."""
-        a, z = begin.copy(), end.copy()
+    def successor(
+        self, q: np.ndarray, begin: np.ndarray | None = None, end: np.ndarray | None = None
+    ) -> tuple[np.ndarray, np.ndarray]:
+        """Position of the first value >= q (from begin on, end if none), and whether it is q."""
+        q = q.astype(_U)
+        small = q < self.base
+        q = np.where(small, _U(0), q - self.base)
+        low = q & self._mask
+        # zeros of the high part enclose the values that share q's high part
+        most = 64 * len(self.high.words) - self.n - 1
+        top = np.minimum((q >> _U(self.low_bits)).astype(np.int64), most)
+        a = np.where(top > 0, self.high.zero(np.maximum(top - 1, 0)) + 1 - top, 0)
+        z = np.maximum(np.minimum(self.high.zero(top) - top, self.n), a)
+        if begin is not None:
+            a, z = np.clip(a, begin, end), np.clip(z, begin, end)
+        a, z = np.minimum(a, self.n), np.minimum(z, self.n)
+        last = z.copy()
         while (open_ := np.flatnonzero(a < z)).size:
             mid = (a[open_] + z[open_]) >> 1
-            less = self.at(mid) < q[open_]
+            less = self._low_at(mid) < low[open_]
             a[open_] = np.where(less, mid + 1, a[open_])
             z[open_] = np.where(less, z[open_], mid)
-        hit = a < end
+        hit = (a < last) & ~small
         k = np.flatnonzero(hit)
-        hit[k] = self.at(a[k]) == q[k]
+        hit[k] = self._low_at(a[k]) == low[k]
         return a, hit
 
 
@@ -160,42 +194,42 @@ class TrieLevel:
         rank, first = np.cumsum(new) - 1, np.flatnonzero(new)
         total = np.add.reduceat(count, first) if len(first) else np.zeros(0)
         kinds = np.diff(np.append(first, len(context)))
-        p = (count - d) / total[rank] if len(first) else np.zeros(0)
-        n = len(first)
         return TrieLevel(
-            EliasFano.encode(context[new] >> _U(8), 1 << 56),
-            EliasFano.encode(np.append(first, len(context)), len(context) + 1),
-            EliasFano.encode((rank.astype(_U) << _U(WORD_BITS)) | word, max(1, n) << WORD_BITS),
-            quantise(p),
-            quantise(d * kinds / total if n else np.zeros(0)),
+            EliasFano.encode(context[new]),
+            EliasFano.encode(np.append(first, len(context))),
+            EliasFano.encode((rank.astype(_U) << _U(WORD_BITS)) | word),
+            quantise((count - d) / total[rank] if len(first) else np.zeros(0)),
+            quantise(d * kinds / total if len(first) else np.zeros(0)),
         )
 
     def save(self, f) -> list[tuple]:
         """Append all arrays to an open file; the table of contents is returned."""
         toc = []
         for e in (self.contexts, self.pointers, self.words):
-            toc.append((e.n, e.low_bits, *(_put(f, x) for x in (e.low, e.high))))
+            toc.append((e.n, e.low_bits, int(e.base), *(_put(f, x) for x in (e.low, e.high.words, e.high.ones))))
         return [*toc, _put(f, self.probability), _put(f, self.backoff)]
 
     @staticmethod
     def map(path: str, toc: list[tuple]) -> TrieLevel:
         data = np.memmap(path, np.uint8, "r")
-        get = lambda t, kind=np.uint8: data[t[0] : t[0] + t[1]].view(kind)
-        parts = [EliasFano(n, b, get(low), get(high)) for n, b, low, high in toc[:3]]
+        get = lambda t, kind="<u8": data[t[0] : t[0] + t[1]].view(kind)
+        parts = [EliasFano(n, b, base, get(low), Bits(get(high), get(ones, "<u4"))) for n, b, base, low, high, ones in toc[:3]]
         return TrieLevel(*parts, get(toc[3], np.uint16), get(toc[4], np.uint16))
 
-    def look_up(self, context: np.ndarray, word: np.ndarray) -> tuple[np.ndarray, np.ndarray]:
-        """Codes of discounted probability and back-off weight (LEVELS: context unseen)."""
-        q = context >> _U(8)
-        c = self.contexts.successor(q)
-        seen = self.contexts.holds(c, q)
-        prob, back = np.zeros(len(q), np.uint16), np.full(len(q), LEVELS, np.uint16)
+    def look_up(self, context: np.ndarray, of: np.ndarray, word: np.ndarray) -> tuple[np.ndarray, np.ndarray]:
+        """Codes of each word's discounted probability after ``context[of]``, and of each context's
+        back-off weight (LEVELS: context unseen)."""
+        c, seen = self.contexts.successor(context)
+        back = np.full(len(context), LEVELS, np.uint16)
         k = np.flatnonzero(seen)
         back[k] = self.backoff[c[k]]
-        w = (c[k].astype(_U) << _U(WORD_BITS)) | word[k]
-        begin, end = (self.pointers.at(c[k] + i).astype(np.int64) for i in (0, 1))
-        at, hit = self.words.search(w, begin, end)
-        prob[k[hit]] = self.probability[at[hit]]
+        begin, end = np.zeros((2, len(context)), np.int64)
+        begin[k], end[k] = (self.pointers.at(c[k] + i).astype(np.int64) for i in (0, 1))
+        prob = np.zeros(len(word), np.uint16)
+        w = np.flatnonzero(seen[of])
+        mine = of[w]
+        at, hit = self.words.successor((c[mine].astype(_U) << _U(WORD_BITS)) | word[w], begin[mine], end[mine])
+        prob[w[hit]] = self.probability[at[hit]]
         return prob, back
 
 
@@ -214,47 +248,48 @@ def held_out(doc_id: int | None) -> bool:
     return zlib.crc32(b"" if doc_id is None else str(doc_id).encode()) % HELD_OUT_MODULUS == 0
 
 
+def _close(table: pa.Table) -> bytes:
+    """A block as ids, tokens per text, distinct token hashes and the texts as numbers of them."""
+    w = words_of(table.column("text"))
+    h = run_hashes(_LOWER[w.data], w.start, w.end)
+    n = table.num_rows
+    token = np.full(len(h) + n, END, _U)
+    token[np.arange(len(h)) + np.repeat(np.arange(n), np.diff(w.first))] = h
+    key, code = ranked(token)
+    parts = [pack(np.diff(w.first) + 1, False), pack(key), pack(code, False)]
+    ids = table.column("doc_id").combine_chunks()
+    return closed(pa.table({"ids": pa.array([ids.to_pylist()], pa.list_(pa.int64()))} | {c: [p] for c, p in zip(("size", "key", "code"), parts, strict=True)}))
+
+
 class _Tokens:
     """Hashed tokens of a block: each text's lower-cased words, then its end."""
 
-    def __init__(self, table: pa.Table):
-        self.ids = table.column("doc_id").to_pylist()
-        w = words_of(table.column("text"))
-        h = run_hashes(_LOWER[w.data], w.start, w.end)
-        n = len(self.ids)
-        self.first = w.first + np.arange(n + 1)
-        self.token = np.full(len(h) + n, END, _U)
-        at = np.arange(len(h)) + np.repeat(np.arange(n), np.diff(w.first))
-        self.token[at] = h
-        self.out = np.array([held_out(i) for i in self.ids], bool)
+    def __init__(self, table: pa.Table, bits: int):
+        ids, size, key, code = (table.column(c)[0].as_py() for c in ("ids", "size", "key", "code"))
+        self.ids = ids
+        self.key, self.code = unpack(key), unpack(code, False).astype(np.int64)
+        self.first = np.concatenate([[0], np.cumsum(unpack(size, False).astype(np.int64))])
+        self.out = np.array([held_out(i) for i in ids], bool)
         self.trains = np.repeat(~self.out, np.diff(self.first))
+        self._bits = bits
 
-    def context(self, order: int) -> np.ndarray:
-        """Hash of the ``order - 1`` tokens before each token."""
-        back = np.zeros(len(self.token), _U)
-        place = np.arange(len(self.token)) - np.repeat(self.first[:-1], np.diff(self.first))
+    def pairs(self, order: int):
+        """Distinct contexts of ``order - 1`` tokens, distinct (context, word) by numbers, each token's pair."""
+        token = self.key[self.code]
+        back = np.zeros(len(token), _U)
+        place = np.arange(len(token)) - np.repeat(self.first[:-1], np.diff(self.first))
         for k in range(1, order):
-            left = np.full(len(self.token), BEGIN, _U)
-            left[k:] = self.token[:-k]
+            left = np.full(len(token), BEGIN, _U)
+            left[k:] = token[:-k]
             left[place < k] = BEGIN
             back = mixed(back * _U(0x9E3779B97F4A7C15) + left)
-        return back
-
+        context, of = ranked(back >> _U(64 - self._bits), self._bits)
+        own, word, group = pair_ranks(of, self.code)
+        return context, own, self.key[word] >> _U(64 - WORD_BITS), group
 
-def _grouped(context: np.ndarray, word: np.ndarray):
-    """Distinct pairs rising, and each row's group."""
-    order = np.lexsort((word, context))
-    c, w = context[order], word[order]
-    new = np.ones(len(c), bool)
-    new[1:] = (c[1:] != c[:-1]) | (w[1:] != w[:-1])
-    group = np.empty(len(c), np.int64)
-    group[order] = np.cumsum(new) - 1
-    return c[new], w[new], group
 
-
-_SHORT = _U(64 - WORD_BITS)
-_MESSAGE = "block int, shard int, kind int, keys binary, words binary, counts binary"
-_REPLY = "block int, shard int, kind int, first binary, second binary"
+_MESSAGE = "block long, shard int, kind int, keys binary, sizes binary, words binary, counts binary"
+_REPLY = "block long, shard int, kind int, first binary, second binary"
 _STATS = "kind int, n long, v long, once long, twice long"
 _KINDS = {"int": pa.int32(), "binary": pa.binary(), "long": pa.int64()}
 
@@ -265,24 +300,31 @@ def _table(schema: str, rows: list[tuple]) -> pa.Table:
     return pa.table({n: pa.array(c, _KINDS[t]) for (n, t), c in zip(fields, cols, strict=True)})
 
 
-def _send(order: int, bits: int):
-    def send(table: pa.Table) -> pa.Table:
-        t, block = _Tokens(table), table.column("block")[0].as_py()
-        key, group = np.unique(t.token, return_inverse=True)
-        count = np.bincount(group, weights=t.trains, minlength=len(key))
+def _borders(own: np.ndarray, n: int) -> np.ndarray:
+    """Where the pairs of each of n contexts begin."""
+    return np.searchsorted(own, np.arange(n + 1))
+
+
+def _send(order: int, bits: int, width: int):
+    def send(table: pa.Table, block: int) -> pa.Table:
+        t = _Tokens(table, width)
+        count = np.bincount(t.code, weights=t.trains, minlength=len(t.key))
         rows = [
-            (block, s, 1, pack(key[cut]), None, pack(count[cut], False)) for s, cut in by_shard(key, bits)
+            (block, s, 1, pack(t.key[cut]), None, None, pack(count[cut], False)) for s, cut in by_shard(t.key, bits)
         ]
         for n in range(2, order + 1):
-            c, w, group = _grouped(t.context(n), t.token >> _SHORT)
-            count = np.bincount(group, weights=t.trains, minlength=len(c))
-            rows += [
-                (block, s + (n - 1 << bits), n, pack(c[cut]), pack(w[cut], False), pack(count[cut], False))
-                for s, cut in by_shard(c, bits)
-            ]
+            context, own, word, group = t.pairs(n)
+            count = np.bincount(group, weights=t.trains, minlength=len(own))
+            border = _borders(own, len(context))
+            for s, cut in by_shard(context, bits, width):
+                part = slice(border[cut.start], border[cut.stop])
+                rows.append(
+                    (block, s + (n - 1 << bits), n, pack(context[cut]), pack(np.diff(border[cut.start : cut.stop + 1]), False),
+                     pack(word[part], False), pack(count[part], False))
+                )
         return _table(_MESSAGE, rows)
 
-    return send
+    return each_block(send)
 
 
 def _gather(table: pa.Table, column: str, sort: bool = False):
@@ -292,45 +334,60 @@ def _gather(table: pa.Table, column: str, sort: bool = False):
 def _word_totals(table: pa.Table):
     key, border = _gather(table, "keys", True)
     count = _gather(table, "counts")[0].astype(np.int64)
-    _, group = np.unique(key, return_inverse=True)
+    _, group = ranked(key)
     return border, group, np.bincount(group, weights=count).astype(np.int64)
 
 
-def _pair_totals(table: pa.Table):
+def _pair_totals(table: pa.Table, width: int):
+    """Contexts of all messages, their borders, and distinct pairs with totals."""
     context, border = _gather(table, "keys", True)
-    word, count = _gather(table, "words")[0], _gather(table, "counts")[0].astype(np.int64)
-    c, w, group = _grouped(context, word)
-    return border, c, w, group, np.bincount(group, weights=count, minlength=len(c))
-
-
-def _stats(table: pa.Table) -> pa.Table:
-    kind = table.column("kind")[0].as_py()
-    total = _word_totals(table)[2] if kind == 1 else _pair_totals(table)[4]
-    own = (int(total.sum()), int((total > 0).sum()), int((total == 1).sum()), int((total == 2).sum()))
-    return _table(_STATS, [(kind, *own)])
-
-
-def _answer(table: pa.Table) -> pa.Table:
-    kind = table.column("kind")[0].as_py()
-    blocks, shards = table.column("block").to_pylist(), table.column("shard").to_pylist()
-    if kind == 1:
-        border, group, total = _word_totals(table)
-        first, second = total[group], None
-    else:
-        border, c, w, group, total = _pair_totals(table)
-        seen = total > 0
-        d = discount(*(table.column(x)[0].as_py()[kind - 1] for x in ("once", "twice")))
-        with tempfile.NamedTemporaryFile() as f:
-            toc = TrieLevel.build(c[seen], w[seen], total[seen], d).save(f)
-            f.flush()
-            level = TrieLevel.map(f.name, toc)
-            first, second = (x[group] for x in level.look_up(c, w))
-            del level
-    rows = []
-    for i, (block, shard) in enumerate(zip(blocks, shards, strict=True)):
-        cut = slice(border[i], border[i + 1])
-        rows.append((block, shard, kind, pack(first[cut], False), None if second is None else pack(second[cut], False)))
-    return _table(_REPLY, rows)
+    sizes = _gather(table, "sizes")[0].astype(np.int64)
+    word, pairs = _gather(table, "words")
+    key, of = ranked(context, width)
+    names, w = ranked(word, WORD_BITS)
+    own, called, group = pair_ranks(np.repeat(of, sizes), w)
+    count = _gather(table, "counts")[0].astype(np.int64)
+    total = np.bincount(group, weights=count, minlength=len(own)).astype(np.int64)
+    return border, pairs, of, key, own, names[called], group, total
+
+
+def _stats(width: int):
+    def count(table: pa.Table) -> pa.Table:
+        kind = table.column("kind")[0].as_py()
+        total = _word_totals(table)[2] if kind == 1 else _pair_totals(table, width)[-1]
+        return _table(_STATS, [(kind, int(total.sum()), *(int(x.sum()) for x in (total > 0, total == 1, total == 2)))])
+
+    return count
+
+
+def _answer(width: int):
+    def answer(table: pa.Table) -> pa.Table:
+        kind = table.column("kind")[0].as_py()
+        blocks, shards = table.column("block").to_pylist(), table.column("shard").to_pylist()
+        if kind == 1:
+            border, group, total = _word_totals(table)
+            codes = [(total[group[a:z]], None) for a, z in zip(border, border[1:], strict=False)]
+        else:
+            border, pairs, of, key, own, word, group, total = _pair_totals(table, width)
+            seen = total > 0
+            d = discount(*(table.column(x)[0].as_py()[kind - 1] for x in ("once", "twice")))
+            with tempfile.NamedTemporaryFile() as f:
+                toc = TrieLevel.build(key[own[seen]], word[seen], total[seen], d).save(f)
+                f.flush()
+                level = TrieLevel.map(f.name, toc)
+                first, second = level.look_up(key, own, word)
+                del level
+            codes = [
+                (first[group[a:z]], second[of[b:y]])
+                for a, z, b, y in zip(pairs, pairs[1:], border, border[1:], strict=False)
+            ]
+        rows = [
+            (block, shard, kind, pack(one, False), None if two is None else pack(two, False))
+            for block, shard, (one, two) in zip(blocks, shards, codes, strict=True)
+        ]
+        return _table(_REPLY, rows)
+
+    return answer
 
 
 _RESULT = (
@@ -339,34 +396,33 @@ _RESULT = (
 )
 
 
-def _score(order: int, bits: int):
+def _score(order: int, bits: int, width: int):
     def score(table: pa.Table, replies: pa.Table) -> pa.Table:
         names = [f.strip().split(" ")[0] for f in _RESULT.split(",")]
         kinds = [pa.int64(), pa.bool_(), *[pa.int64()] * 3, pa.float64(), pa.float64()]
         if not table.num_rows:
             return pa.table([pa.array([], k) for k in kinds], names)
-        t = _Tokens(table)
+        t = _Tokens(opened(table.column("body")[0].as_buffer()), width)
         col = {c: replies.column(c).to_pylist() for c in ("shard", "first", "second")}
         at = {s: i for i, s in enumerate(col["shard"])}
         n, v, once, twice = (replies.column(c)[0].as_py() for c in ("n", "v", "once", "twice"))
 
-        def read(key: np.ndarray, base: int, side: str) -> np.ndarray:
-            parts = [unpack(col[side][at[s + base]], False) for s, _ in by_shard(key, bits)]
-            return np.concatenate(parts) if parts else np.zeros(0, _U)
+        def read(shards: list[int], side: str) -> np.ndarray:
+            return np.concatenate([unpack(col[side][at[s]], False) for s in shards]).astype(np.int64)
 
-        key, group = np.unique(t.token, return_inverse=True)
-        c = read(key, 0, "first").astype(np.int64)[group]
+        c = read([s for s, _ in by_shard(t.key, bits)], "first")[t.code]
         d = discount(once[0], twice[0])
         p = np.where(c > 0, (c - d) / n, d * v / n) if n else np.ones(len(c))
         for k in range(2, order + 1):
-            ctx, w, group = _grouped(t.context(k), t.token >> _SHORT)
-            own = value(read(ctx, k - 1 << bits, "first"))[group]
-            p = own + value(read(ctx, k - 1 << bits, "second"))[group] * p
+            context, own, _, group = t.pairs(k)
+            shards = [s + (k - 1 << bits) for s, _ in by_shard(context, bits, width)]
+            weight = value(read(shards, "second"))
+            p = value(read(shards, "first"))[group] + weight[own][group] * p
         first = t.first[:-1]
         base = np.log10((c + ADDED) / (n + ADDED * (v + 1)))
         known = np.add.reduceat((c > 0).astype(np.int64), first)
         cols = [
-            table.column("doc_id"),
+            t.ids,
             t.out,
             np.diff(t.first),
             known,
@@ -374,20 +430,22 @@ def _score(order: int, bits: int):
             np.add.reduceat(base, first),
             np.add.reduceat(np.log10(p), first),
         ]
-        return pa.table([x if isinstance(x, pa.ChunkedArray) else pa.array(x, k) for x, k in zip(cols, kinds, strict=True)], names)
+        return pa.table([pa.array(x, k) for x, k in zip(cols, kinds, strict=True)], names)
 
     return score
 
 
-def score_documents(docs: DataFrame, order: int = ORDER, shard_keys: int = SHARD_KEYS) -> DataFrame:
+def score_documents(
+    docs: DataFrame, order: int = ORDER, shard_keys: int = SHARD_KEYS, block_bytes: int = BLOCK_BYTES
+) -> DataFrame:
     """Train on rows not held out and score every row."""
-    rows, layout = in_blocks(docs, shard_keys=shard_keys)
-    bits = layout.shard_bits
-    sent = rows.groupBy("block").applyInArrow(_send(order, bits), _MESSAGE).repartition("shard")
+    blocks, layout = in_blocks(docs, block_bytes, shard_keys, _close)
+    bits, width = layout.shard_bits, layout.key_bits
+    sent = blocks.select("block", "body").mapInArrow(_send(order, bits, width), _MESSAGE).repartition("shard")
     of = lambda k, c: F.coalesce(F.sum(F.when(F.col("kind") == k, F.col(c))), F.lit(0))
     stats = (
         sent.groupBy("shard")
-        .applyInArrow(_stats, _STATS)
+        .applyInArrow(_stats(width), _STATS)
         .agg(
             *[of(1, c).alias(c) for c in ("n", "v")],
             *[F.array(*[of(k, c) for k in range(1, order + 1)]).alias(c) for c in ("once", "twice")],
@@ -396,9 +454,10 @@ def score_documents(docs: DataFrame, order: int = ORDER, shard_keys: int = SHARD
     )
     # stats is one row; every order's discount is known before its shards smooth
     counted = sent.withColumn("_all", F.lit(0)).join(F.broadcast(stats.select("_all", "once", "twice")), "_all")
-    replies = counted.drop("_all").groupBy("shard").applyInArrow(_answer, _REPLY).withColumn("_all", F.lit(0))
+    replies = counted.drop("_all").groupBy("shard").applyInArrow(_answer(width), _REPLY).withColumn("_all", F.lit(0))
     replies = replies.join(F.broadcast(stats), "_all").drop("_all")
-    return rows.groupBy("block").cogroup(replies.groupBy("block")).applyInArrow(_score(order, bits), _RESULT)
+    scored = blocks.select("block", "body").groupBy("block").cogroup(replies.groupBy("block"))
+    return scored.applyInArrow(_score(order, bits, width), _RESULT)
 
 
 def op4_ngram_scores(spark, sf_dir: str) -> DataFrame:

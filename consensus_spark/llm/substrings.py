@@ -22,7 +22,16 @@ import numpy as np
 import pyarrow as pa
 from pyspark.sql import DataFrame
 
-from consensus_spark.llm.blocks import by_shard, in_blocks, ragged
+from consensus_spark.llm.blocks import (
+    BLOCK_BYTES,
+    SHARD_KEYS,
+    by_shard,
+    each_block,
+    in_blocks,
+    opened,
+    ragged,
+    ranked,
+)
 from consensus_spark.llm.textbytes import (
     pack,
     run_hashes,
@@ -36,8 +45,8 @@ WINDOW = 13
 _FIRST_BITS = np.uint64(16)  # dropped in the first round
 _TOP = np.uint64(1 << 63)
 
-_MESSAGE = "block int, shard int, keys binary, more binary, owner binary, flags binary"
-_REPLY = "block int, shard int, flags binary, hit binary"
+_MESSAGE = "block long, shard int, keys binary, more binary, owner binary, flags binary"
+_REPLY = "block long, shard int, flags binary, hit binary"
 _RESULT = (
     "doc_id long, n_words long, n_removed long, kept_sha256 string, text string, "
     "removed array<struct<from:long,to:long>>"
@@ -61,7 +70,7 @@ class _Block:
         self.known = known[w.text_of[self.at]]
         self._h = h
         self.short = self.hash >> _FIRST_BITS
-        self.keys, self.key_of = np.unique(self.short, return_inverse=True)
+        self.keys, self.key_of = ranked(self.short, 64 - int(_FIRST_BITS))
 
     def second(self) -> np.ndarray:
         """Independent 32-bit hash of the same windows."""
@@ -87,7 +96,7 @@ def _mask(blob: bytes, n: int) -> np.ndarray:
 
 
 def _rows(schema: str, rows: list[tuple]) -> pa.Table:
-    kinds = {"int": pa.int32(), "binary": pa.binary()}
+    kinds = {"int": pa.int32(), "long": pa.int64(), "binary": pa.binary()}
     fields = [f.strip().split(" ") for f in schema.split(",")]
     cols = list(zip(*rows, strict=True)) or [[] for _ in fields]
     return pa.table({n: pa.array(c, kinds[t]) for (n, t), c in zip(fields, cols, strict=True)})
@@ -99,9 +108,9 @@ def _split(keys: np.ndarray, bits: int):
 
 
 def _ask(k: int, bits: int):
-    def send(table: pa.Table) -> pa.Table:
+    def send(table: pa.Table, block: int) -> pa.Table:
         b = _Block(table, k)
-        block, two = table.column("block")[0].as_py(), b.in_two()
+        two = b.in_two()
         return _rows(
             _MESSAGE,
             [
@@ -110,7 +119,7 @@ def _ask(k: int, bits: int):
             ],
         )
 
-    return send
+    return each_block(send)
 
 
 def _seen_twice(table: pa.Table) -> pa.Table:
@@ -148,7 +157,7 @@ def _tell(k: int, bits: int):
     def send(table: pa.Table, replies: pa.Table) -> pa.Table:
         if not table.num_rows:
             return _rows(_MESSAGE, [])
-        b = _Block(table, k)
+        b = _Block(opened(table.column("body")[0].as_buffer()), k)
         _, _, one, two, ids, flag = _candidates(b, replies, bits)
         block = table.column("block")[0].as_py()
         cuts = dict(by_shard(one, bits))
@@ -186,10 +195,10 @@ def _owned_before(table: pa.Table) -> pa.Table:
 
 def _remove(k: int, bits: int, whole: bool):
     def finish(table: pa.Table, replies: pa.Table) -> pa.Table:
-        n_docs = table.num_rows
-        if not n_docs:
+        if not table.num_rows:
             return _result([], [], [], [], [], [])
-        b = _Block(table, k)
+        table = opened(table.column("body")[0].as_buffer())
+        n_docs, b = table.num_rows, _Block(table, k)
         w = b.words
         gone = np.zeros(len(w.start) + 1, np.int32)
         if len(b.keys):
@@ -239,21 +248,18 @@ def _result(ids, n_words, n_removed, sha, texts, spans) -> pa.Table:
     )
 
 
-def dedup_substrings(docs: DataFrame, window: int = WINDOW, whole: bool = True) -> DataFrame:
+def dedup_substrings(
+    docs: DataFrame, window: int = WINDOW, whole: bool = True, shard_keys: int = SHARD_KEYS, block_bytes: int = BLOCK_BYTES
+) -> DataFrame:
     """Per row: word counts, digest, and with ``whole`` the kept text and removed intervals."""
-    rows, layout = in_blocks(docs)
+    blocks, layout = in_blocks(docs, block_bytes, shard_keys)
     bits = layout.shard_bits
-    asked = rows.groupBy("block").applyInArrow(_ask(window, bits), _MESSAGE)
+    texts = blocks.select("block", "body")
+    asked = texts.mapInArrow(_ask(window, bits), _MESSAGE)
     maybe = asked.groupBy("shard").applyInArrow(_seen_twice, _REPLY)
-    told = (
-        rows.groupBy("block").cogroup(maybe.groupBy("block")).applyInArrow(_tell(window, bits), _MESSAGE)
-    )
+    told = texts.groupBy("block").cogroup(maybe.groupBy("block")).applyInArrow(_tell(window, bits), _MESSAGE)
     known = told.groupBy("shard").applyInArrow(_owned_before, _REPLY)
-    return (
-        rows.groupBy("block")
-        .cogroup(known.groupBy("block"))
-        .applyInArrow(_remove(window, bits, whole), _RESULT)
-    )
+    return texts.groupBy("block").cogroup(known.groupBy("block")).applyInArrow(_remove(window, bits, whole), _RESULT)
 
 
 def op6_substrings(spark, sf_dir: str) -> DataFrame:

@@ -1,11 +1,12 @@
 """Token counts by a compiled transducer over chunks, joined by a prefix scan.
 
-A text is cut into chunks of equal size.  A chunk's state map says what it does to
-any state it is entered in: up to its first blank it only prolongs the pre-token it
-finds pending, after that it starts afresh.  So a map is the place of the chunk's
-first blank, the place after its last one, and the count between them; maps compose
-associatively and a doubling scan gives every chunk its entry state.  The pending
-pieces that the scan closes are then counted in one more pass.
+A text is cut into chunks of about equal size, inside words as a rule.  A chunk's state
+map takes the transducer's state at its start to the state at its end and the number of
+tokens emitted on the way.  Only the bytes up to the chunk's first pre-token border
+depend on the entry state; what follows is counted once.  So a map is that head, the
+count behind it and the exit state; a chunk without a border is all head.  Composing
+two maps runs the right one's head from the left one's exit state; composition is
+associative, and a doubling scan over the chunks of each text gives its count.
 
 Defined cases: a null text is empty and has no tokens; an empty text likewise;
 repeated rows are counted each; texts with characters outside the transducer's
@@ -22,7 +23,7 @@ import pyarrow as pa
 from pyspark.sql import DataFrame
 from pyspark.sql import functions as F
 
-from consensus_spark.llm.textbytes import BLANK, flat_bytes
+from consensus_spark.llm.textbytes import flat_bytes
 from consensus_spark.llm.transducer import Bpe, Transducer, pretokens
 
 CHUNK_BYTES = 1 << 14
@@ -65,69 +66,136 @@ def slices(off: np.ndarray, most: int = SLICE_BYTES):
 
 @dataclass
 class Maps:
-    """State maps of consecutive chunks; ``head < 0``: no blank, the chunk stays open."""
+    """State maps of consecutive chunks (or runs of chunks) over the bytes ``data``.
 
-    head: np.ndarray
-    tail: np.ndarray
-    text: np.ndarray
-
-    def scan(self) -> np.ndarray:
-        """Where the pre-token pending at each chunk's end began (-1: at the text's start).
+    ``open``: no pre-token border inside, so the exit state is not known without the
+    entry state.  ``closes``: the head's last byte ends its pre-token.
+    """
 
-        Doubling: after round r a map covers 2^r chunks of the same text; composing
-        keeps the right tail unless the right map is open.
-        """
-        tail = np.where(self.head < 0, -1, self.tail)
-        step, n = 1, len(tail)
+    tr: Transducer
+    data: np.ndarray
+    text: np.ndarray
+    head: np.ndarray
+    length: np.ndarray
+    closes: np.ndarray
+    open: np.ndarray
+    count: np.ndarray
+    exit: np.ndarray
+
+    _ARRAYS = ("text", "head", "length", "closes", "open", "count", "exit")
+
+    def take(self, at) -> Maps:
+        at = np.asarray(at, np.int64)
+        return Maps(self.tr, self.data, *(getattr(self, c)[at] for c in self._ARRAYS))
+
+    @staticmethod
+    def joined(a: Maps, b: Maps) -> Maps:
+        return Maps(a.tr, a.data, *(np.concatenate([getattr(a, c), getattr(b, c)]) for c in Maps._ARRAYS))
+
+    def compose(self, right: Maps) -> Maps:
+        """Maps of each left run followed by its right run."""
+        emitted, after, _ = self.tr.advance(
+            self.data, right.head, np.where(self.open, 0, right.length), self.exit, right.closes
+        )
+        # an open left run prolongs the right one's head; the heads lie side by side
+        return Maps(
+            self.tr,
+            self.data,
+            self.text,
+            self.head,
+            np.where(self.open, self.length + right.length, self.length),
+            np.where(self.open, right.closes, self.closes),
+            self.open & right.open,
+            np.where(self.open, right.count, self.count + emitted + right.count),
+            np.where(right.open & ~self.open, after, right.exit),
+        )
+
+    def scan(self) -> Maps:
+        """Each chunk's map of all its text up to its end: after round r, of 2^r chunks."""
+        done, step, n = self, 1, len(self.text)
         while step < n:
-            left = np.full(n, -1, np.int64)
-            same = self.text[step:] == self.text[:-step]
-            left[step:][same] = tail[:-step][same]
-            new = np.where(tail < 0, left, tail)
-            if (new == tail).all():
+            later = np.flatnonzero(self.text[step:] == self.text[:-step]) + step
+            if not len(later):
                 break
-            tail, step = new, step * 2
-        return tail
+            whole = done.take(later - step).compose(done.take(later))
+            arrays = {c: getattr(done, c).copy() for c in Maps._ARRAYS}
+            for c, v in arrays.items():
+                v[later] = getattr(whole, c)
+            done, step = Maps(self.tr, self.data, **arrays), step * 2
+        return done
+
+
+_LETTERS = np.zeros(256, bool)
+for _first in (ord("A"), ord("a")):
+    _LETTERS[_first : _first + 26] = True
+
+
+def chunks(data: np.ndarray, off: np.ndarray, chunk: int) -> tuple[np.ndarray, np.ndarray]:
+    """Offsets of chunks and the text of each.
+
+    Cuts lie between two letters that no contraction reaches, so the byte before a cut
+    never ends its pre-token; the next such place after every ``chunk`` bytes is taken.
+    """
+    letter = _LETTERS[data]
+    fine = np.zeros(len(data), bool)
+    fine[1:] = letter[1:] & letter[:-1]
+    for back in range(1, 5):
+        fine[back:] &= data[:-back] != 0x27
+    place = np.flatnonzero(fine)
+    n = np.maximum(0, (np.diff(off) - 1) // chunk)
+    text = np.repeat(np.arange(len(n)), n)
+    wish = off[text] + chunk * (np.arange(len(text)) - np.repeat(np.cumsum(n) - n, n) + 1)
+    at = np.searchsorted(place, wish)
+    have = at < len(place)
+    cut = place[at[have]]
+    inside = cut < off[text[have] + 1]
+    cut = np.unique(np.concatenate([off[:-1][np.diff(off) > 0], cut[inside]]))
+    return np.append(cut, len(data)), np.searchsorted(off, cut, side="right") - 1
+
+
+def state_maps(tr: Transducer, data: np.ndarray, off: np.ndarray, chunk: int) -> tuple[Maps, np.ndarray]:
+    """The map of every chunk, and which texts the transducer can't read."""
+    cut, text = chunks(data, off, chunk)
+    low, start, length, bad = pretokens(data, cut)
+    n = len(text)
+    begins = np.ones(n, bool)
+    begins[1:] = text[1:] != text[:-1]
+    ends = np.ones(n, bool)
+    ends[:-1] = begins[1:]
+    owner = np.searchsorted(cut, start, side="right") - 1
+    first = np.searchsorted(owner, np.arange(n))
+    last = np.searchsorted(owner, np.arange(n), side="right") - 1
+    some = last >= first  # a chunk of blanks has no pre-token
+    pending = np.zeros(len(start), bool)  # pre-tokens that go on in the next chunk
+    pending[last[some & ~ends]] = True
+    heads = np.zeros(len(start), bool)  # pre-tokens that began in the chunk before
+    heads[first[some & ~begins]] = True
+    inner = np.flatnonzero(~heads)
+    tr.refresh()
+    zero = np.zeros(len(inner), np.int64)
+    emitted, state, _ = tr.advance(low, start[inner], length[inner], zero, ~pending[inner])
+    count = np.bincount(owner[inner], weights=emitted, minlength=n).astype(np.int64)
+    exits = np.zeros(n, np.int64)
+    tails = pending[inner]
+    exits[owner[inner[tails]]] = state[tails]
+    head, size, closes = cut[:-1].copy(), np.zeros(n, np.int64), np.ones(n, bool)
+    own = np.flatnonzero(heads)
+    head[owner[own]], size[owner[own]], closes[owner[own]] = start[own], length[own], ~pending[own]
+    opened = np.zeros(n, bool)
+    opened[owner[own]] = pending[own]
+    unsafe = np.zeros(len(off) - 1, bool)
+    unsafe[text[bad]] = True
+    return Maps(tr, low, text, head, size, closes, opened, count, exits), unsafe
 
 
 def count_bytes(tr: Transducer, data: np.ndarray, off: np.ndarray, chunk: int = CHUNK_BYTES):
     """Tokens of each text, and which texts the transducer can't read."""
-    n = len(off) - 1
-    total, unsafe = np.zeros(n, np.int64), np.zeros(n, bool)
+    total = np.zeros(len(off) - 1, np.int64)
     if not len(data):
-        return total, unsafe
-    size = np.diff(off)
-    per = np.maximum(1, -(-size // chunk))
-    text = np.repeat(np.arange(n), per)
-    k = np.arange(len(text)) - np.repeat(np.cumsum(per) - per, per)
-    a = off[text] + k * chunk
-    z = np.minimum(a + chunk, off[text + 1])
-    blank = np.flatnonzero(BLANK[data])
-    lo, hi = np.searchsorted(blank, a), np.searchsorted(blank, z)
-    has = hi > lo
-    pad = np.append(blank, 0)
-    maps = Maps(np.where(has, pad[lo], -1), np.where(has, pad[np.maximum(hi - 1, 0)] + 1, -1), text)
-    ends = maps.scan()
-    # pending piece closed by each chunk that holds a blank, and by each text's end
-    entry = np.full(len(text), -1, np.int64)
-    inner = k > 0
-    entry[inner] = ends[:-1][inner[1:]]
-    begin = np.where(entry < 0, off[text], entry)
-    final = k == per[text] - 1
-    last = np.where(ends < 0, off[text], ends)
-    spans = (
-        (maps.head[has], maps.tail[has], text[has]),
-        (begin[has], maps.head[has], text[has]),
-        (last[final], off[text[final] + 1], text[final]),
-    )
-    lo, hi, owner = (np.concatenate(x) for x in zip(*spans, strict=True))
-    order = np.lexsort((hi, lo))
-    lo, hi, owner = lo[order], hi[order], owner[order]
-    low, start, length, bad = pretokens(data, np.append(lo, len(data)) if len(lo) else off)
-    # the spans tile the texts, so their borders cut the same bytes
-    tokens, _ = tr.run(low, start, length)
-    np.add.at(total, np.searchsorted(off, start, side="right") - 1, tokens)
-    unsafe[owner[np.flatnonzero(bad)]] = True
+        return total, np.zeros(len(total), bool)
+    maps, unsafe = state_maps(tr, data, off, chunk)
+    whole = maps.scan()
+    total[whole.text] = whole.count  # the last chunk's map is that of the whole text
     return total, unsafe
 
 

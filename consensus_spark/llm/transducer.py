@@ -199,23 +199,34 @@ class Transducer:
             return
         raise ValueError(f"no token ends an encoding of {read}")
 
+    def refresh(self) -> None:
+        """Forget all states if they have become too many."""
+        if len(self.states) > self.max_states:
+            self._clear()
+
     def run(self, data: np.ndarray, start: np.ndarray, length: np.ndarray, keep: bool = False):
-        """Tokens of each pre-token; with ``keep`` also the state after every byte.
+        """Tokens of each whole pre-token; with ``keep`` also the state after every byte."""
+        self.refresh()
+        count, _, trail = self.advance(data, start, length, np.zeros(len(start), np.int64), np.ones(len(start), bool), keep)
+        return count, trail
 
-        All pre-tokens advance together, longest first, so those still running are
-        a prefix.
+    def advance(self, data, start, length, entry, closes, keep: bool = False):
+        """Emitted tokens and exit state of each run of bytes, entered in state ``entry``.
+
+        ``closes``: whether the run's last byte ends its pre-token.  All runs advance
+        together, longest first, so those still running are a prefix.  State numbers
+        hold until ``refresh``.
         """
-        if len(self.states) > self.max_states:
-            self._clear()
         order = np.argsort(-length, kind="stable")
         at, size = start[order], length[order]
         running = np.searchsorted(-size, -np.arange(int(size[0]) if len(size) else 0), side="left")
-        state = np.zeros(len(at), np.int64)
+        state = entry[order]
+        ends = np.where(closes[order], size, 0)
         count = np.zeros(len(at), np.int64)
         trail = np.zeros(len(data), np.int32) if keep else None
         for j, n in enumerate(running):
             symbol = data[at[:n] + j].astype(np.int64)
-            symbol[size[:n] == j + 1] += 256
+            symbol[ends[:n] == j + 1] += 256
             here = state[:n]
             column = self.column[symbol]
             to = np.where(column < 0, -1, self.next[here, column])
@@ -228,9 +239,9 @@ class Transducer:
             state[:n] = to
             if keep:
                 trail[at[:n] + j] = to
-        out = np.empty_like(count)
-        out[order] = count
-        return out, trail
+        out, exits = np.empty_like(count), np.empty_like(count)
+        out[order], exits[order] = count, state
+        return out, exits, trail
 
     def tokens(self, data: np.ndarray, start: np.ndarray, length: np.ndarray):
         """Ids of all pre-tokens end to end, and how many each has."""

@@ -13,6 +13,7 @@ import pytest
 import xxhash
 
 from consensus_spark.llm import (
+    blocks,
     lines,
     mixture,
     neighbours,
@@ -195,22 +196,42 @@ def test_ngram_scores_of_order_three_over_many_shards(docs):
         assert got[i][0]["score"] == pytest.approx(s, abs=0.001 * len(w))
 
 
+def test_scores_do_not_depend_on_the_layout(docs):
+    ways = [{}, {"shard_keys": 1_000_000}, {"shard_keys": 150}, {"shard_keys": 150, "block_bytes": 3000}]
+    got = [sorted((str(r["doc_id"]), r["n_tokens"], r["n_known"], round(r["score"], 9)) for r in ngram_trie.score_documents(docs, 3, **w).collect()) for w in ways]
+    assert got[0] == got[1] == got[2] == got[3]
+
+
 def test_trie_search_stays_between_pointers():
-    context = np.array([1, 1, 9, 9, 9], np.uint64) << np.uint64(56)
-    level = ngram_trie.TrieLevel.build(context, np.array([3, 8, 2, 3, 7], np.uint64), np.array([4, 1, 1, 2, 1]), 0.5)
-    level.pointers = ngram_trie.EliasFano.encode(np.array([0, 1, 5]), 6)
-    prob, _ = level.look_up(context, np.array([3, 8, 2, 3, 7], np.uint64))
+    context, of = np.array([1, 9], np.uint64), np.array([0, 0, 1, 1, 1])
+    word = np.array([3, 8, 2, 3, 7], np.uint64)
+    level = ngram_trie.TrieLevel.build(context[of], word, np.array([4, 1, 1, 2, 1]), 0.5)
+    assert (level.look_up(context, of, word)[0] > 0).all()
+    level.pointers = ngram_trie.EliasFano.encode(np.array([0, 1, 5]))
+    prob, _ = level.look_up(context, of, word)
     assert (prob > 0).tolist() == [True, False, True, True, True]
+    prob, back = level.look_up(np.array([0, 5, 12], np.uint64), np.array([0, 1, 2]), word[:3])
+    assert not prob.any() and (back == ngram_trie.LEVELS).all()
 
 
 def test_elias_fano_successor():
     rng = np.random.default_rng(0)
     for n in (0, 1, 7, 3000):
-        v = np.unique(rng.integers(0, 1 << 40, n).astype(np.uint64))
-        e = ngram_trie.EliasFano.encode(v, 1 << 40)
-        q = np.concatenate([v, rng.integers(0, 1 << 40, 500).astype(np.uint64)])
-        at = e.successor(q)
-        assert (at == np.searchsorted(v, q)).all() and (e.holds(at, q) == np.isin(q, v)).all()
+        for shift in (0, 22, 39):
+            v = np.unique(rng.integers(0, 1 << 40, n).astype(np.uint64) >> np.uint64(shift)) + np.uint64(5)
+            e = ngram_trie.EliasFano.encode(v)
+            q = np.concatenate([v, v + np.uint64(1), rng.integers(0, 1 << 40, 500).astype(np.uint64)])
+            at, hit = e.successor(q)
+            assert (at == np.searchsorted(v, q)).all() and (hit == np.isin(q, v)).all()
+            assert (e.at(np.arange(len(v))) == v).all()
+
+
+def test_ranks_of_keys_alike_in_their_leading_bits():
+    rng = np.random.default_rng(3)
+    for keys, width in ((rng.integers(0, 50, 999), 6), (rng.integers(0, 50, 999) + (1 << 62), 64), (rng.integers(0, 1 << 62, 99), 64)):
+        want, rank = np.unique(keys.astype(np.uint64), return_inverse=True)
+        got = blocks.ranked(keys.astype(np.uint64), width)
+        assert (got[0] == want).all() and (got[1] == rank).all()
 
 
 def test_mixture(docs, empty):
@@ -241,15 +262,15 @@ def test_mixture_schedule_is_near_weights_in_every_prefix(docs):
         assert all(abs(seen[s] - k * total[s] / n) < 6 for s in total)
 
 
-@pytest.mark.parametrize("whole", [True, False])
-def test_substrings(docs, empty, whole):
+@pytest.mark.parametrize("whole, layout", [(True, {}), (False, {}), (False, {"shard_keys": 90, "block_bytes": 3000})])
+def test_substrings(docs, empty, whole, layout):
     k, rows = 13, fixture_rows()
     first = {}
     for i, t, *_ in sorted(rows, key=lambda r: r[0]):
         w = words(t)
         for j in range(len(w) - k + 1):
             first.setdefault(tuple(w[j : j + k]), i)
-    got = by_id(substrings.dedup_substrings(docs, whole=whole))
+    got = by_id(substrings.dedup_substrings(docs, whole=whole, **layout))
     for i, t, *_ in rows:
         w = words(t)
         keep = [True] * len(w)
@@ -312,17 +333,50 @@ def test_token_counts(docs, empty):
     assert token_counts.count_tokens(empty).count() == 0
 
 
-def test_token_counts_of_any_chunking():
+def _chunked_texts():
     rng = random.Random(3)
     alpha = "ab'strevmld SDT\n0123.,!-_éÉßÿÄ\t<|*x"
     texts = ["".join(rng.choice(alpha) for _ in range(rng.randint(0, 120))) for _ in range(300)] + ["", "a" * 5000, "it's"]
-    path = token_counts.vocabulary_path()
+    return texts + [" ".join("".join(rng.choice("etaoinshr") for _ in range(rng.randint(1, 60))) for _ in range(40)) for _ in range(30)]
+
+
+def test_token_counts_of_any_chunking():
+    texts, path = _chunked_texts(), token_counts.vocabulary_path()
     tr = token_counts.transducer(path)
     want = [len(x) for x in token_counts.library_ids(path, texts)]
     data, off = textbytes.flat_bytes(pa.array(texts))
     for chunk in (1, 3, 64, 1 << 14):
         counts, unsafe = token_counts.count_bytes(tr, data, off, chunk)
         assert all(a == b for a, b, u in zip(counts, want, unsafe, strict=True) if not u)
+        assert unsafe.sum() < 200
+    cut, _ = token_counts.chunks(data, off, 3)
+    assert len(cut) > 1000  # chunks end inside pre-tokens
+
+
+def test_token_counts_need_the_scan(monkeypatch):
+    """Without composition each chunk starts from nothing, and counts differ."""
+    texts, path = _chunked_texts(), token_counts.vocabulary_path()
+    want = [len(x) for x in token_counts.library_ids(path, texts)]
+    data, off = textbytes.flat_bytes(pa.array(texts))
+    monkeypatch.setattr(token_counts.Maps, "scan", lambda self: self)
+    counts, unsafe = token_counts.count_bytes(token_counts.transducer(path), data, off, 64)
+    assert any(a != b for a, b, u in zip(counts, want, unsafe, strict=True) if not u)
+
+
+def test_chunk_maps_compose_in_any_order():
+    path = token_counts.vocabulary_path()
+    tr = token_counts.transducer(path)
+    data, off = textbytes.flat_bytes(pa.array(["international misunderstandings notwithstanding " * 3 + "x" * 40]))
+    maps, _ = token_counts.state_maps(tr, data, off, 5)
+    left = maps
+    while len(left.count) > 1:  # ((a b) c) d ...
+        left = token_counts.Maps.joined(left.take([0]).compose(left.take([1])), left.take(range(2, len(left.count))))
+    right = maps
+    while len(right.count) > 1:  # a (b (c d)) ...
+        n = len(right.count)
+        right = token_counts.Maps.joined(right.take(range(n - 2)), right.take([n - 2]).compose(right.take([n - 1])))
+    want = len(token_counts.library_ids(path, [data.tobytes().decode()])[0])
+    assert left.count[0] == right.count[0] == maps.scan().count[-1] == want
 
 
 def test_line_templates(docs, empty):
