@@ -7,13 +7,19 @@ part, a query is routed to several most probable parts, and all vectors of those
 parts are reranked by exact distance.  How many parts a query needs is measured on
 sample vectors that the classifier has not seen.
 
-A part is searched in blocks: cells of part, candidate block and query block, so a
-part that holds a third of all rows is spread over many tasks of bounded size.
+A part is searched in cells of candidate block and query block.  A part has as many
+blocks as its own size needs, so a part that holds a third of all rows is spread over
+many tasks of bounded size and small parts are not copied about.  Within a cell,
+distances come from matrix products over tiles of queries; those near the edge of the
+k best are computed again exactly.  The share of rows reranked is what the data allow:
+on vectors without clusters most parts are probed, and the work per query then grows
+with the table.
 
 Defined cases: vectors that are null, zero, of another dimension than the most
 common one, or with null or non-finite components take no part; rows with the
-query's id are its own; repeated query rows answer once; ties go to the smaller id;
-with fewer candidates than asked, all are returned; an empty table gives no rows.
+query's id are its own; repeated query rows answer once, and of different vectors
+under one query id the least by components asks; ties go to the smaller id; with fewer
+candidates than asked, all are returned; an empty table gives no rows.
 """
 
 from __future__ import annotations
@@ -28,15 +34,22 @@ from pyspark.sql import Window as W
 from pyspark.sql import functions as F
 
 SAMPLE = 6_000
-PARTS = 16
+#: Parts grow with the root of the table up to what the sample can teach.
+PARTS = (16, 64)
 GRAPH_DEGREE = 10
 HIDDEN = 128
-AIM = 0.95
-CELL_ROWS = 8_192
-QUERY_ROWS = 2_048
+AIM = 0.93
+CELL_ROWS = 65_536
+QUERY_ROWS = 65_536
+#: Distances held at once within a cell.
+TILE = 1 << 22
 K = 10
 
 
+def parts_for(n: int) -> int:
+    return min(PARTS[1], max(PARTS[0], round(math.sqrt(n) / 4)))
+
+
 def usable(vector: Column, dim: int) -> Column:
     """Whether the vector takes part."""
     fine = F.forall(vector, lambda x: x.isNotNull() & (F.abs(x) < float("inf")) & ~F.isnan(x))
@@ -147,7 +160,7 @@ class Index:
     scale: float
 
 
-def learn(x: np.ndarray, parts: int = PARTS, k: int = K, aim: float = AIM) -> Index:
+def learn(x: np.ndarray, parts: int = PARTS[0], k: int = K, aim: float = AIM) -> Index:
     """Graph, parts, classifier and the number of probes that reaches ``aim`` on unseen rows."""
     scale = float(np.sqrt((x * x).sum(axis=1)).mean()) / math.sqrt(x.shape[1]) or 1.0
     x = x / scale
@@ -213,24 +226,46 @@ def _routes(index: Index, sizes: dict[int, int], k: int):
 _FOUND = "query_id long, vec_id long, score double"
 
 
+def _own(ids: np.ndarray, asked: np.ndarray) -> tuple[np.ndarray, np.ndarray]:
+    """(query, row) places of the rows that bear the query's own id."""
+    order = np.argsort(ids, kind="stable")
+    a, z = (np.searchsorted(ids[order], asked, side=s) for s in ("left", "right"))
+    query = np.repeat(np.arange(len(asked)), z - a)
+    return query, order[np.arange(len(query)) - np.repeat(np.cumsum(z - a) - (z - a), z - a) + np.repeat(a, z - a)]
+
+
+def nearest(x: np.ndarray, ids: np.ndarray, asked: np.ndarray, own: np.ndarray, k: int):
+    """The k nearest rows of each query in one cell: query id, row id, exact distance."""
+    out = []
+    square = (x * x).sum(axis=1)
+    step = max(1, TILE // max(1, len(x)))
+    for a in range(0, len(asked), step):
+        q, mine = asked[a : a + step], own[a : a + step]
+        rough = square - 2 * (q @ x.T)
+        rough[_own(ids, mine)] = np.inf
+        near = rough < np.inf
+        if len(x) > k:
+            edge = np.partition(rough, k - 1, axis=1)[:, k - 1 : k]
+            with np.errstate(invalid="ignore"):
+                near &= rough <= edge + 1e-9 * (1 + np.abs(edge) + (q * q).sum(axis=1)[:, None])
+        query, row = np.nonzero(near)
+        exact = np.sqrt(((x[row] - q[query]) ** 2).sum(axis=1))
+        order = np.lexsort((ids[row], exact, query))
+        query, row, exact = query[order], row[order], exact[order]
+        place = np.arange(len(query)) - np.searchsorted(query, query)
+        best = place < k
+        out.append((mine[query[best]], ids[row[best]], exact[best]))
+    return [np.concatenate(c) for c in zip(*out, strict=True)]
+
+
 def _nearest(k: int):
     def search(rows: pa.Table, queries: pa.Table) -> pa.Table:
-        out: list[tuple[np.ndarray, ...]] = []
+        cols = [[], [], []]
         if rows.num_rows and queries.num_rows:
-            x, ids = _matrix(rows.column("vector")), np.asarray(rows.column("vec_id"))
-            square = (x * x).sum(axis=1)
-            asked = _matrix(queries.column("vector"))
-            for q, own in zip(asked, np.asarray(queries.column("vec_id")), strict=True):
-                rough = square - 2 * (x @ q)
-                rough[ids == own] = np.inf
-                keep = np.flatnonzero(rough < np.inf)
-                if len(keep) > k:
-                    edge = np.partition(rough, k - 1)[k - 1]
-                    keep = np.flatnonzero(rough <= edge + 1e-9 * (1 + abs(edge) + q @ q))
-                exact = np.sqrt(((x[keep] - q) ** 2).sum(axis=1))
-                best = np.lexsort((ids[keep], exact))[:k]
-                out.append((np.full(len(best), own), ids[keep][best], exact[best]))
-        cols = [np.concatenate(c) for c in zip(*out, strict=True)] if out else [[], [], []]
+            cols = nearest(
+                _matrix(rows.column("vector")), np.asarray(rows.column("vec_id")),
+                _matrix(queries.column("vector")), np.asarray(queries.column("vec_id")), k,
+            )
         kinds = (pa.int64(), pa.int64(), pa.float64())
         return pa.table([pa.array(c, t) for c, t in zip(cols, kinds, strict=True)], ["query_id", "vec_id", "score"])
 
@@ -241,7 +276,7 @@ def search(
     vectors: DataFrame,
     is_query: Column,
     k: int = K,
-    parts: int = PARTS,
+    parts: int | None = None,
     sample: int = SAMPLE,
     id_column: str = "vec_id",
     vector_column: str = "embedding",
@@ -264,21 +299,18 @@ def search(
     picked = rows.select("vector").orderBy(F.xxhash64("vec_id"), "vec_id").limit(sample).toPandas()
     if not len(picked):
         return vectors.sparkSession.createDataFrame([], "query_id long, rank int, vec_id long, score double")
-    index = learn(np.array(picked["vector"].tolist(), np.float64), parts, k)
-    kind = "array<double>"
-    homes = rows.select("vec_id", F.col("vector").cast(kind).alias("vector")).mapInArrow(
-        _homes(index), f"vec_id long, vector {kind}, part int"
-    )
+    index = learn(np.array(picked["vector"].tolist(), np.float64), parts or parts_for(n), k)
+    kind = rows.schema["vector"].dataType.simpleString()  # moved as given, computed in double precision
+    homes = rows.select("vec_id", "vector").mapInArrow(_homes(index), f"vec_id long, vector {kind}, part int")
     sizes = {r[0]: r[1] for r in homes.groupBy("part").count().collect()}  # at most ``parts`` rows
-    queries = rows.filter("_query").select("vec_id", F.col("vector").cast(kind).alias("vector"))
-    routed = queries.dropDuplicates(["vec_id"]).mapInArrow(
-        _routes(index, sizes, k), f"vec_id long, vector {kind}, part int"
-    )
-    blocks, query_blocks = max(1, -(-n // CELL_ROWS)), max(1, -(-n // 100 // QUERY_ROWS))
-    hashed = lambda m: F.pmod(F.xxhash64("vec_id"), F.lit(m)).cast("int")
-    every = lambda m: F.explode(F.sequence(F.lit(0), F.lit(m - 1)))
-    stored = homes.withColumn("block", hashed(blocks)).withColumn("asked", every(query_blocks))
-    probing = routed.withColumn("asked", hashed(query_blocks)).withColumn("block", every(blocks))
+    asking = rows.filter("_query").groupBy("vec_id").agg(F.min("vector").alias("vector"))
+    routed = asking.mapInArrow(_routes(index, sizes, k), f"vec_id long, vector {kind}, part int")
+    query_blocks = max(1, -(-asking.count() // QUERY_ROWS))
+    blocks = F.element_at(F.array(*[F.lit(max(1, -(-sizes.get(p, 0) // CELL_ROWS))) for p in range(index.parts)]), F.col("part") + 1)
+    hashed = lambda m: F.pmod(F.xxhash64("vec_id"), m).cast("int")
+    every = lambda m: F.explode(F.sequence(F.lit(0), m - 1))
+    stored = homes.withColumn("block", hashed(blocks)).withColumn("asked", every(F.lit(query_blocks)))
+    probing = routed.withColumn("asked", hashed(F.lit(query_blocks))).withColumn("block", every(blocks))
     cell = ["part", "block", "asked"]
     found = stored.groupBy(*cell).cogroup(probing.groupBy(*cell)).applyInArrow(_nearest(k), _FOUND)
     best = W.partitionBy("query_id").orderBy("score", "vec_id")

@@ -135,6 +135,27 @@ def test_neighbours_recall_and_exact_scores(spark):
     assert few.count() == 6
 
 
+def test_neighbours_in_many_cells(spark, monkeypatch):
+    """All parts probed: equal to brute force, with ties, repeated ids and rows, in any blocks."""
+    monkeypatch.setattr(neighbours, "CELL_ROWS", 20)
+    monkeypatch.setattr(neighbours, "QUERY_ROWS", 5)
+    monkeypatch.setattr(neighbours, "TILE", 60)
+    rng = np.random.default_rng(8)
+    x = rng.integers(0, 3, (400, 6)).astype(float) + 1
+    rows = [(i % 390, v.tolist()) for i, v in enumerate(x)] + [(None, [1.0] * 6)]
+    df = spark.createDataFrame(rows, "vec_id long, embedding array<float>")
+    monkeypatch.setattr(neighbours, "AIM", 2.0)
+    monkeypatch.setattr(neighbours.learn, "__defaults__", (16, 10, 2.0))
+    got = collections.defaultdict(list)
+    for r in neighbours.search(df, df["vec_id"] % 10 == 0, sample=300).collect():
+        got[r["query_id"]].append((r["rank"], r["vec_id"], r["score"]))
+    assert set(got) == set(range(0, 390, 10))
+    for q, found in got.items():
+        own = min(v for i, v in rows[:-1] if i == q)
+        want = sorted((math.dist(own, v), i) for i, v in rows[:-1] if i != q)[:10]
+        assert [(v, pytest.approx(s)) for _, v, s in sorted(found)] == [(i, s) for s, i in want]
+
+
 def test_ngram_scores(docs, empty):
     got = by_id(ngram_trie.score_documents(docs))
     rows = fixture_rows()
@@ -252,6 +273,63 @@ def test_mixture(docs, empty):
     assert mixture.mix(empty).count() == 0
 
 
+def _targets(sizes, weights=(3, 1, 2), share=1.5):
+    """Shares dealt by weight again and again until no source stands above twice its size."""
+    order = sorted(sizes, key=lambda s: (s is None, s or ""))
+    weight = {s: weights[i % len(weights)] for i, s in enumerate(order)}
+    total, fixed = share * sum(sizes.values()), {}
+    while True:
+        free = [s for s in order if s not in fixed]
+        left = total - sum(fixed.values())
+        got = {s: left * weight[s] / sum(weight[f] for f in free) for s in free}
+        over = [s for s in free if got[s] > 2 * sizes[s]]
+        if not over:
+            return got | fixed
+        fixed |= {s: 2 * sizes[s] for s in over}
+
+
+@pytest.mark.parametrize("block", [4, 16, 128])
+def test_mixture_against_brute_force(docs, block):
+    from pyspark.sql import functions as F
+
+    rows = [
+        (r["doc_id"], r["source"], len(words(r["text"])), r["h"])
+        for r in docs.select("*", F.size(rules.words_of(F.col("text"))).cast("long").alias("size"))
+        .select("*", F.xxhash64(F.lit(mixture.SEED), "doc_id", "size").alias("h")).collect()
+    ]
+    sizes = collections.Counter()
+    for _, s, n, _ in rows:
+        sizes[s] += n
+    target = _targets(sizes)
+    order = sorted((s for s in sizes if sizes[s]), key=lambda s: (s is None, s or ""))
+    blocks = {s: -(-sizes[s] // block) for s in order}
+    goal = {s: int(target[s] + 1e-9) for s in order}
+    slots = {s: goal[s] // sizes[s] * blocks[s] + -(-(goal[s] % sizes[s]) // block) for s in order}
+    n = sum(slots.values())
+    # slot k takes point k * step mod n; its source is the one whose stretch of points holds it
+    owner = [s for s in order for _ in range(slots[s])]
+    step, rank, used = mixture._golden_step(n), collections.Counter(), collections.defaultdict(collections.Counter)
+    for k in range(n):
+        s = owner[k * step % n]
+        epoch, b = divmod(rank[s], blocks[s])
+        room = goal[s] - epoch * sizes[s] - b * block
+        used[s, b][min(block, sizes[s] - b * block, room)] += 1
+        rank[s] += 1
+    want = collections.Counter()
+    for s in order:
+        at = 0
+        for i, _, size, _ in sorted((r for r in rows if r[1] == s and r[2]), key=lambda r: (r[3], r[0])):
+            taken = 0
+            for w in range(at, at + size):
+                b, place = divmod(w, block)
+                taken += sum(c for length, c in used[s, b].items() if place < length)
+            want[i, s, size, taken] += 1
+            at += size
+    got = mixture.mix(docs, block_tokens=block).collect()
+    assert all(r["target"] == pytest.approx(target[r["source"]]) and r["source_size"] == sizes[r["source"]] for r in got)
+    assert collections.Counter((r["doc_id"], r["source"], r["size"], r["taken"]) for r in got if r["size"]) == want
+
+
 def test_mixture_schedule_is_near_weights_in_every_prefix(docs):
     rows = mixture.sized(docs)
     slots = mixture.schedule(mixture.source_targets(rows), 4).collect()
