@@ -35,7 +35,7 @@ MIN_TOKENS = 3
 MIN_TEXTS = 2
 SIMILARITY = 0.75
 DEPTH = 3
-BLOCK_LINES = 1_000
+BLOCK_LINES = 256
 #: From so many lines on, candidate templates come from an index.
 INDEXED = 200
 #: A template's lines are dealt over so many cells wherever they meet their template.
