@@ -36,6 +36,20 @@ def test_error(ex: DataFrame, params: DataFrame, model) -> DataFrame:
     return p.agg(F.avg((F.col("y") != F.col("predicted")).cast("double")).alias("error"), F.count(F.lit(1)).alias("n"))
 
 
+def worker_losses(ex: DataFrame, params: DataFrame, model) -> DataFrame:
+    """Mean loss over all rows of each worker's own model: (owner, loss)."""
+    own = packed(params).select(F.col("worker").alias("owner"), "w")  # one row per worker
+    rows = ex.drop("worker").join(F.broadcast(own), F.lit(True))
+    return rows.select("owner", model.loss_column(F.col("w"), F.col("x"), F.col("y")).alias("l")).groupBy("owner").agg(F.avg("l").alias("loss"))
+
+
+def worker_errors(ex: DataFrame, params: DataFrame, model) -> DataFrame:
+    """Error of each worker's own model over all rows: (worker, error)."""
+    rows = ex.drop("worker").join(F.broadcast(packed(params)), F.lit(True))
+    wrong = argmax(logits(F.col("w"), F.col("x"), model.n_features, model.n_classes)) != F.col("y")
+    return rows.select("worker", wrong.cast("double").alias("e")).groupBy("worker").agg(F.avg("e").alias("error"))
+
+
 def confusion(ex: DataFrame, params: DataFrame, model) -> DataFrame:
     return predictions(ex, params, model).groupBy("y", "predicted").agg(F.count(F.lit(1)).alias("n"))
 

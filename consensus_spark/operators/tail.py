@@ -7,6 +7,7 @@ from pyspark.sql import DataFrame, SparkSession
 from pyspark.sql import functions as F
 
 from consensus_spark.operators.mixing import mix
+from consensus_spark.operators.quality import worker_losses
 
 
 def collapse(matrices: list[np.ndarray], tol: float, spread: float = 1.0) -> tuple[np.ndarray, int]:
@@ -49,3 +50,25 @@ def output_model(params: DataFrame, how: str = "mean", worker: int = 0) -> DataF
     if how == "mean":
         return params.groupBy("idx").agg(F.avg("val").alias("val"))
     return params.filter(F.col("worker") == worker).select("idx", "val")
+
+
+def best_worker(ex: DataFrame, params: DataFrame, model) -> DataFrame:
+    """The parameters of the worker whose own model has the least loss (ties: the first)."""
+    losses = worker_losses(ex, params, model).select(F.struct(F.round("loss", 9).alias("loss"), "owner").alias("o"))
+    one = losses.agg(F.min("o").getField("owner").alias("_best"))
+    return params.join(F.broadcast(one), F.col("worker") == F.col("_best")).drop("_best")
+
+
+def iterations_to_agree(start: np.ndarray, mats, tols: list[float], whole: bool = False) -> tuple[list[tuple[int, float, float]], dict[float, int]]:
+    """Mixing alone: (iteration, largest squared distance to the mean, drift of the mean) along the
+    phase, and the iterations that each tolerance takes.  It ends with the last tolerance, or with
+    ``whole`` after all matrices."""
+    w, mean, rows, first = start.copy(), start.mean(axis=0), [], {}
+    for used, m in enumerate(mats, 1):
+        w = m.T @ w
+        spread = float(((w - w.mean(axis=0)) ** 2).sum(axis=1).max())
+        rows.append((used, spread, float(np.abs(w.mean(axis=0) - mean).max())))
+        first |= {t: used for t in tols if spread <= t and t not in first}
+        if len(first) == len(tols) and not whole:
+            break
+    return rows, first

@@ -6,9 +6,11 @@ from pyspark.sql import DataFrame, SparkSession
 from pyspark.sql import functions as F
 
 from consensus_spark.operators import connectivity, timing, waiting, weights
+from consensus_spark.operators.cover import find_cover
 from consensus_spark.operators.schedule import clairvoyant_epochs, link_times, path_cover_schedule
 from consensus_spark.operators.weights import rounded
 from consensus_spark.plans import oracle as O
+from consensus_spark.plans.durable import cut
 from consensus_spark.sources import graphs, tables
 from consensus_spark.sources.times import law, trace_from_events
 
@@ -76,7 +78,27 @@ for _name, (_kind, _p, _value) in LAWS.items():
     )
 
 
-@query("t8_random_slow_law")
+def _uniform_sql(seed: str, key: str) -> str:
+    return f"('0x' || substr(md5('{seed}|' || {key}), 1, 8))::BIGINT / 4294967296.0"
+
+
+_WORKER_K = "worker || '|' || k"
+
+
+def _times_sql(law_name: str, seed: int, last: int, n: int = N) -> str:
+    """Compute times of a law, as a select of k, worker, t."""
+    grid = f"SELECT CAST(i // {n} + 1 AS INT) AS k, CAST(i % {n} AS INT) AS worker FROM range({n * last}) r(i)"
+    value = {
+        "uniform": "0.5 + u", "exponential": "-ln(1 - u)", "shifted_exponential": "1 - ln(1 - u)", "pareto": "1 + pow(1 - u, -1 / 1.5)",
+        "random_slow": f"(0.5 + u) * CASE WHEN {_uniform_sql(f'{seed}s', _WORKER_K)} < 0.1 THEN 10.0 ELSE 1.0 END",
+        "slow_one": "(0.5 + u) * CASE WHEN worker = 0 THEN 5.0 ELSE 1.0 END",
+        "one_random_slow": f"(0.5 + u) * CASE WHEN worker = floor({_uniform_sql(f'{seed}c', 'k')} * {n}) THEN 10.0 ELSE 1.0 END",
+        "size_proportional": "[1.0, 1.1, 0.9, 1.05, 0.95, 1.0][worker + 1] * (1 + 0.1 * (u - 0.5))",
+    }[law_name]
+    return f"SELECT k, worker, {value} AS t FROM (SELECT k, worker, {_uniform_sql(seed, _WORKER_K)} AS u FROM ({grid}))"
+
+
+@query("t8_random_slow_law", f"SELECT k, worker, round(t, 6) AS t FROM ({_times_sql('random_slow', 7, 500)})")
 def _(spark, d):
     return law(spark, "random_slow", 6, 500, 7).withColumn("t", rounded("t"))
 
@@ -116,8 +138,6 @@ def _(spark, d):
 @query("m10_covers")
 def _(spark, d):
     """Covers of each kind on several topologies: links and how many."""
-    from consensus_spark.operators.cover import find_cover
-
     rows = []
     for kind in ("random", "ring", "path", "star", "complete", "tree", "grid"):
         links = graphs.graph(kind, 6, 3)
@@ -462,7 +482,29 @@ def _(spark, d):
     )
 
 
-@query("a22_connectivity")
+def _reach(n: int, width: int, mode: str) -> str:
+    """Connected windows of the active edges in the CTE ``active``, by growing the set reached from worker 0."""
+    name, aligned = f"{mode}{width}", mode == "aligned"
+    place = f"(k - 1) // {width}" if aligned else f"unnest(range(greatest(1, k - {width} + 1), k + 1))"
+    every = f"0, last // {width}" if aligned else f"1, last - {width} + 2"
+    parts = [
+        f"e{name} AS MATERIALIZED (SELECT DISTINCT w, src, dst FROM (SELECT {place} AS w, src, dst FROM active))",
+        f"r{name}_0 AS (SELECT unnest(range({every})) AS w, 0 AS v FROM z)",
+    ]
+    for i in range(1, n):
+        parts.append(f"r{name}_{i} AS MATERIALIZED (SELECT w, v FROM r{name}_{i - 1} UNION SELECT e.w, e.dst FROM e{name} e JOIN r{name}_{i - 1} r ON r.w = e.w AND r.v = e.src)")
+    parts.append(f"c{name} AS (SELECT '{mode}' AS mode, {width} AS width, count(*) AS windows, CAST(sum(CAST(n = {n} AS INT)) AS BIGINT) AS connected FROM (SELECT w, count(*) AS n FROM r{name}_{n - 1} GROUP BY w))")
+    return ", ".join(parts)
+
+
+_A22 = (("aligned", 5), ("sliding", 5), ("sliding", 9))
+
+
+@query(
+    "a22_connectivity",
+    f"{O.path_cover()}, z AS (SELECT max(k) AS last FROM times), " + ", ".join(_reach(N, w, m) for m, w in _A22)
+    + " " + " UNION ALL ".join(f"SELECT * FROM c{m}{w}" for m, w in _A22),
+)
 def _(spark, d):
     """Aligned epochs, sliding windows of D and of 2D - 1: how many are connected."""
     p = adaptive(spark, d)
@@ -477,12 +519,25 @@ def _(spark, d):
     return parts[0].unionByName(parts[1]).unionByName(parts[2])
 
 
-@query("a23_positivity")
+_A23 = (1, 2, 3, 6)
+_PRODUCTS = f"""beta AS (SELECT min(w) AS b FROM mix WHERE w > 0), whole AS (SELECT max(k) // 5 AS n FROM times),
+  prod AS (SELECT e.epochs, CAST(f AS INT) AS first, 0 AS step, CAST(s AS INT) AS src, CAST(d AS INT) AS dst, CASE WHEN s = d THEN 1.0 ELSE 0.0 END::DOUBLE AS v
+    FROM (VALUES {', '.join(f'({n})' for n in _A23)}) e(epochs), (SELECT unnest(range(n)) AS f FROM whole), range(6) a(s), range(6) b(d) WHERE f <= (SELECT n FROM whole) - e.epochs
+    UNION ALL SELECT p.epochs, p.first, p.step + 1, p.src, m.dst, sum(p.v * m.w) FROM prod p JOIN mix m ON m.k = p.first * 5 + p.step + 1 AND m.src = p.dst
+    WHERE p.step < p.epochs * 5 GROUP BY p.epochs, p.first, p.step, p.src, m.dst)"""
+
+
+@query(
+    "a23_positivity",
+    f"""{O.path_cover()}, {O.METROPOLIS.replace('mix AS (', 'mix AS MATERIALIZED (')}, {_PRODUCTS}
+  SELECT CAST(epochs AS INT) AS epochs, first, round(CASE WHEN count(*) < 36 THEN 0.0 ELSE min(v) END, 8) AS least, round(pow(any_value(b), epochs * 5), 12) AS bound,
+  count(*) = 36 AND min(v) > 0 AS positive FROM prod, beta WHERE step = epochs * 5 GROUP BY epochs, first""",
+)
 def _(spark, d):
     """Least entries of epoch products over all iterations against their bound."""
     p = adaptive(spark, d)
     m = dict(weights.in_order(weights.metropolis(p.active, p.times), N))
-    rows = [(n, e, low, bound, low > 0) for n in (1, 2, 3, 6) for e, low, bound in connectivity.positivity(m, 5, n)]
+    rows = [(n, e, round(low, 8), round(bound, 12), low > 0) for n in _A23 for e, low, bound in connectivity.positivity(m, 5, n)]
     return spark.createDataFrame(rows, "epochs int, first int, least double, bound double, positive boolean")
 
 
@@ -497,7 +552,16 @@ def _(spark, d):
     return every.join(own, "k").join(back, "k").select("k", "full_duration", "duration", rounded("mean_backup").alias("mean_backup"))
 
 
-@query("w11_law_reductions")
+_LAW_CASES = ("uniform", "exponential", "shifted_exponential", "pareto", "random_slow", "slow_one", "one_random_slow", "size_proportional")
+
+
+def _law_reduction_sql(name: str) -> str:
+    return f"""SELECT '{name}' AS law, (WITH RECURSIVE times AS MATERIALIZED ({_times_sql(name, 11, 500)}), {O.cover_values()}, {O.LINKS}, {O.schedule()},
+    f AS (SELECT k, max(t) AS f FROM times GROUP BY k)
+    SELECT round(1 - avg(s.cutoff) / avg(f.f), 6) FROM f JOIN schedule s USING (k)) AS reduction"""
+
+
+@query("w11_law_reductions", " UNION ALL ".join(_law_reduction_sql(x) for x in _LAW_CASES))
 def _(spark, d):
     """Mean duration cut of the rule under each compute-time law."""
     out, sizes = None, [1.0, 1.1, 0.9, 1.05, 0.95, 1.0]
@@ -514,14 +578,25 @@ def _(spark, d):
     return out
 
 
-@query("w08_topologies")
+_KINDS = ("random", "ring", "path", "star", "complete", "grid", "tree", "regular")
+_WINDOW = {kind: 2 * len(find_cover(graphs.graph(kind, N, 5), N)) - 1 for kind in _KINDS}
+
+
+def _topology_sql(kind: str) -> str:
+    links = graphs.graph(kind, N, 5)
+    cover = find_cover(links, N)
+    return f"""SELECT '{kind}' AS topology, (WITH RECURSIVE {O.edge_values(links)}, {O.cover_values(cover)}, {O.LINKS}, {O.schedule(len(cover))}, {O.ACTIVE},
+    f AS (SELECT k, max(t) AS f FROM times GROUP BY k)
+    SELECT struct_pack(reduction := (SELECT round(1 - avg(s.cutoff) / avg(f.f), 6) FROM f JOIN schedule s USING (k)),
+      mean_backup := (SELECT round(avg(n_backup), 6) FROM ({_BACK}))) ) AS r"""
+
+
+@query("w08_topologies", f"""WITH {O.times()} SELECT topology, r.reduction AS reduction, r.mean_backup AS mean_backup FROM ({' UNION ALL '.join(_topology_sql(x) for x in _KINDS)})""")
 def _(spark, d):
     """Reduction and mean backups by topology on the six-worker trace."""
-    from consensus_spark.operators.cover import find_cover
-
-    t, out = trace(spark, d), None
+    t, out = cut(trace(spark, d)), None
     base = t.groupBy("k").agg(F.max("t").alias("duration"))
-    for kind in ("random", "ring", "path", "star", "complete", "grid", "tree", "regular"):
+    for kind in _KINDS:
         links = graphs.graph(kind, N, 5)
         p = waiting.PathCover(find_cover(links, N)).plan(t, graphs.edges(spark, links))
         r = timing.duration_reduction(base, p.schedule.select("k", F.col("cutoff").alias("duration")))
@@ -533,6 +608,32 @@ def _(spark, d):
     return out
 
 
+@query("w08_topology_connectivity")
+def _(spark, d):
+    """Share of connected windows (two covers less one long) by topology, six workers."""
+    t, out = cut(trace(spark, d)), None
+    last = t.agg(F.max("k")).first()[0] or 0
+    for kind in _KINDS:
+        links = graphs.graph(kind, N, 5)
+        p = waiting.PathCover(find_cover(links, N)).plan(t, graphs.edges(spark, links))
+        c = connectivity.bounded_connectivity(p.active, N, last, _WINDOW[kind], "sliding")
+        row = c.agg(F.avg(F.col("connected").cast("double")).alias("share")).select(F.lit(kind).alias("topology"), F.lit(_WINDOW[kind]).alias("width"), "share")
+        out = row if out is None else out.unionByName(row)
+    return out
+
+
+@query("w08_nation_region")
+def _(spark, d):
+    """Twenty-five workers on the graph of nations and regions: durations and backups."""
+    edges = cut(graphs.nation_region_edges(tables.load(spark, d, "nation")))
+    t = cut(trace(spark, d, 25))
+    p = waiting.PathCover(find_cover(graphs.links_of(edges), 25, "tree")).plan(t, edges)
+    base = t.groupBy("k").agg(F.max("t").alias("duration"))
+    r = timing.duration_reduction(base, timing.iteration_duration(p.active, t))
+    b = p.wait().agg(F.avg("n_backup").alias("mean_backup"), F.avg("n_nbr").alias("mean_degree"))
+    return r.join(F.broadcast(b), F.lit(True)).select(rounded("reduction").alias("reduction"), rounded("mean_backup").alias("mean_backup"), rounded("mean_degree").alias("mean_degree"))
+
+
 @query("w17_policies")
 def _(spark, d):
     """Every waiting policy on one trace: mean duration, reduction, mean backups, late share."""

@@ -2,14 +2,13 @@
 
 from __future__ import annotations
 
-import os
-import tempfile
 import uuid
 
 from pyspark.sql import Window as W
 from pyspark.sql import functions as F
 
 from consensus_spark.operators import timing, waiting
+from consensus_spark.operators.cover import find_cover
 from consensus_spark.operators.schedule import path_cover_schedule
 from consensus_spark.operators.weights import rounded
 from consensus_spark.plans import oracle as O
@@ -182,44 +181,143 @@ def _(spark, d):
     return S.replay(twice.select("event_id"), _name()).agg(F.count(F.lit(1)).alias("n"))
 
 
-@query("o_sliding")
+@query("o_sliding", """WITH w AS (SELECT unnest([time_bucket(INTERVAL '1 hour', ts), time_bucket(INTERVAL '1 hour', ts) - INTERVAL '1 hour']) AS start, value FROM events)
+  SELECT start, count(*) AS n, CAST(sum(CAST(value > 100 AS INT)) AS BIGINT) AS slow FROM w GROUP BY start""")
 def _(spark, d):
     """Straggler rate of sliding windows over the replayed stream."""
-    return S.replay(S.straggler_rate(_event_stream(spark, d)), _name(), "complete").select("w.start", "n", "slow")
+    return S.replay(S.straggler_rate(_event_stream(spark, d)), _name(), "complete").select(F.col("w.start").cast("timestamp_ntz").alias("start"), "n", "slow")
 
 
-@query("o_session_heartbeats")
+@query("o_session_heartbeats", f"""WITH e AS (SELECT CAST(user_id % {N} AS INT) AS worker, ts FROM events),
+  g AS (SELECT *, CASE WHEN ts < lag(ts) OVER (PARTITION BY worker ORDER BY ts) + INTERVAL '30 minutes' THEN 0 ELSE 1 END AS fresh FROM e),
+  s AS (SELECT *, sum(fresh) OVER (PARTITION BY worker ORDER BY ts ROWS UNBOUNDED PRECEDING) AS session FROM g)
+  SELECT worker, min(ts) AS start, max(ts) + INTERVAL '30 minutes' AS "end", count(*) AS n FROM s GROUP BY worker, session""")
 def _(spark, d):
-    return S.replay(S.heartbeats(_event_stream(spark, d), N), _name(), "append").select("worker", "s.start", "s.end", "n")
+    return S.replay(S.heartbeats(_event_stream(spark, d), N), _name(), "complete").select(
+        "worker", F.col("s.start").cast("timestamp_ntz").alias("start"), F.col("s.end").cast("timestamp_ntz").alias("end"), "n"
+    )
+
+
+def online_examples(events, n: int):
+    """Type of the event one-hot and a constant; the target is the event's scaled value."""
+    kinds = ("click", "purchase", "view", "signup", "error")
+    x = F.array(*[(F.col("event_type") == k).cast("double") for k in kinds], F.lit(1.0))
+    return events.filter("value IS NOT NULL").select((F.col("user_id") % n).cast("int").alias("worker"), x.alias("x"), (F.col("value") / 100).alias("y"), "value")
 
 
 @query("w20_online")
 def _(spark, d):
-    """Online training: every micro-batch of the stream is one iteration of a scalar mean.
+    """Online training: every micro-batch of the replayed stream is one iteration under the path cover.
 
-    Workers keep the running mean of their own completions and mix along the ring.
+    A worker's time is the mean value of its events in the batch; its gradient is taken over
+    them.  Parameters and used links pass from batch to batch; a replayed batch counts once.
     """
     import numpy as np
 
-    w, rows = np.zeros(N), []
-    near = [(i, (i + 1) % N) for i in range(N)]
+    from consensus_spark.operators.models import LeastSquares
+    from consensus_spark.plans.durable import shared_dir
+    from consensus_spark.plans.trainer import Run, _gradients
+
+    folder, model = f"{shared_dir(spark)}/stream-{uuid.uuid4().hex}", LeastSquares(6)
+    load(spark, d, "events").repartitionByRange(16, "ts").write.parquet(f"{folder}/in")
+    run, used, rows = Run("online", np.zeros((N, model.size)), {}, {}, {}, {}), [], {}
 
     def one(batch, k):
-        nonlocal w
-        sums = batch.groupBy((F.col("user_id") % N).cast("int").alias("worker")).agg(F.avg("value").alias("m")).collect()
-        for r in sums:  # one row per worker
-            w[r["worker"]] -= 0.5 * (w[r["worker"]] - r["m"])
-        mixed = w.copy()
-        for a, b in near:
-            mixed[a] += (w[b] - w[a]) / 3
-            mixed[b] += (w[a] - w[b]) / 3
-        w = mixed
-        rows.append((int(k), float(w.mean()), float(np.ptp(w))))
-
-    folder = tempfile.mkdtemp() if spark.sparkContext.master.startswith("local[") else os.path.join(spark.conf.get("spark.checkpoint.dir"), _name())
-    q = _event_stream(spark, d).writeStream.foreachBatch(one).option("checkpointLocation", folder).trigger(availableNow=True).start()
+        if k in rows:
+            return
+        ex = online_examples(batch, N)
+        seen = {r["worker"]: r for r in ex.groupBy("worker").agg(F.avg("value").alias("t"), F.count(F.lit(1)).alias("n")).collect()}  # a row per worker
+        if not seen:
+            return
+        grad = _gradients(ex, [run], model, N)[0]
+        t = [seen[i]["t"] if i in seen else float("inf") for i in range(N)]
+        cutoff, lid = min((max(t[a], t[b]), i) for i, (a, b) in enumerate(graphs.SIX_COVER) if i not in used)
+        used.append(lid)
+        if len(used) == len(graphs.SIX_COVER):
+            used.clear()
+        ready = [x <= cutoff for x in t]
+        active = [(a, b) for a, b in graphs.SIX if ready[a] and ready[b]]
+        near = graphs.neighbours(active, N)
+        m = np.zeros((N, N))
+        for a, b in active:
+            m[a, b] = m[b, a] = 1 / (1 + max(len(near[a]), len(near[b])))
+        m += np.diag(1 - m.sum(axis=1))
+        run.w = m.T @ (run.w - 0.3 * grad)
+        mean = run.w.mean(axis=0)
+        rows[k] = (int(k) + 1, int(sum(r["n"] for r in seen.values())), float(cutoff), 2 * (len(graphs.SIX) - len(active)), float(np.linalg.norm(grad.mean(axis=0))), float(((run.w - mean) ** 2).sum(axis=1).max()))
+
+    stream = spark.readStream.schema(EVENTS).option("maxFilesPerTrigger", 1).parquet(f"{folder}/in")
+    q = stream.writeStream.foreachBatch(one).option("checkpointLocation", f"{folder}/state").trigger(availableNow=True).start()
     q.awaitTermination()
-    return spark.createDataFrame(rows, "k int, mean double, spread double")
+    return spark.createDataFrame([rows[k] for k in sorted(rows)], "k int, n int, cutoff double, backups int, gradient_norm double, disagreement double")
+
+
+@query("s_formats", f"WITH {O.times()} SELECT kind, count(*) AS n, round(sum(t), 4) AS total FROM times, (VALUES ('csv'), ('json'), ('orc'), ('parquet')) f(kind) GROUP BY kind")
+def _(spark, d):
+    """The trace written and read again in every format, under its schema."""
+    from consensus_spark.plans.durable import cut, shared_dir
+    from consensus_spark.sources.tables import TIMES, read_rows, write_rows
+
+    t, out = cut(trace(spark, d)), None
+    for kind in ("csv", "json", "orc", "parquet"):
+        path = f"{shared_dir(spark)}/rows-{uuid.uuid4().hex}"
+        write_rows(t, path, kind)
+        part = read_rows(spark, path, kind, TIMES).agg(F.count(F.lit(1)).alias("n"), rounded(F.sum("t"), 4).alias("total")).withColumn("kind", F.lit(kind))
+        out = part if out is None else out.unionByName(part)
+    return out
+
+
+@query("s_history", f"""{O.path_cover()}, a AS (SELECT 'adaptive' AS run, k, cutoff FROM schedule), f AS (SELECT 'full' AS run, k, max(t) AS cutoff FROM times GROUP BY k)
+  SELECT run, count(*) AS n, round(sum(cutoff), 4) AS total FROM (SELECT * FROM a UNION ALL SELECT * FROM f) GROUP BY run""")
+def _(spark, d):
+    """Two runs appended to one history and read back run by run."""
+    from consensus_spark.plans.durable import shared_dir
+    from consensus_spark.sources.tables import append_history
+
+    path, t = f"{shared_dir(spark)}/history-{uuid.uuid4().hex}", trace(spark, d)
+    for name, plan in (("adaptive", waiting.PathCover(graphs.SIX_COVER)), ("full", waiting.FullWait())):
+        append_history(plan.plan(t, six(spark)).schedule.select("k", "cutoff").withColumn("run", F.lit(name)), path)
+    read = lambda name: spark.read.parquet(path).filter(F.col("run") == name)
+    both = read("adaptive").unionByName(read("full"))
+    return both.groupBy("run").agg(F.count(F.lit(1)).alias("n"), rounded(F.sum("cutoff"), 4).alias("total"))
+
+
+@query("u_sql_functions", f"""WITH {O.edge_values()}, q AS (SELECT dst AS w, count(*) AS n FROM edges GROUP BY dst)
+  SELECT e.src, e.dst, round(1.0 / (1 + greatest(x.n, y.n)), 9)::DOUBLE AS weight, round(0.2 * pow(0.95, e.src), 9) AS step, (e.src * e.dst + 2.0)::DOUBLE AS dot
+  FROM edges e JOIN q x ON x.w = e.src JOIN q y ON y.w = e.dst""")
+def _(spark, d):
+    """Registered SQL functions in SQL text."""
+    from consensus_spark.functions.registered import register
+
+    register(spark)
+    six(spark).createOrReplaceTempView("six_edges")
+    return spark.sql(
+        """WITH q AS (SELECT dst AS w, count(*) AS n FROM six_edges GROUP BY dst)
+        SELECT e.src, e.dst, round(metropolis_weight(x.n, y.n), 9) AS weight, round(geometric_step(e.src), 9) AS step,
+          vector_dot(array(CAST(e.src AS DOUBLE), 1D), array(CAST(e.dst AS DOUBLE), 2D)) AS dot
+        FROM six_edges e JOIN q x ON x.w = e.src JOIN q y ON y.w = e.dst"""
+    )
+
+
+@query("u_pandas_functions", f"""{O.path_cover()} SELECT t.k, round(sum(greatest(t.t - s.cutoff, 0)), 6) AS late, round(max(t.t) - min(t.t), 6) AS spread
+  FROM times t JOIN schedule s USING (k) GROUP BY t.k""")
+def _(spark, d):
+    """A pandas scalar and a pandas aggregate function over the schedule."""
+    from consensus_spark.functions.registered import excess, spread
+
+    p = adaptive(spark, d)
+    t = p.times.join(p.schedule.select("k", "cutoff"), "k")
+    late = t.select("k", excess("t", "cutoff").alias("e")).groupBy("k").agg(rounded(F.sum("e")).alias("late"))
+    return late.join(t.groupBy("k").agg(F.round(spread("t"), 6).alias("spread")), "k")
+
+
+@query("u_cover_table", f"WITH {O.values('c', 'lid, a, b', [(i, a, b) for i, (a, b) in enumerate(find_cover(graphs.graph('grid', 6, 5), 6))])} SELECT lid, a, b FROM c")
+def _(spark, d):
+    """A cover as a table function in SQL text."""
+    from consensus_spark.functions.registered import register
+
+    register(spark)
+    return spark.sql("SELECT lid, a, b FROM cover_links('grid', 6)")
 
 
 @query("o_outer_compare", f"""{O.path_cover()} SELECT coalesce(a.k, b.k) AS k, a.cutoff AS adaptive, b.m AS other FROM schedule a

@@ -2,12 +2,18 @@
 
 from __future__ import annotations
 
+import hashlib
+from dataclasses import dataclass
+
+import numpy as np
+import pyarrow as pa
 from pyspark.sql import Column, DataFrame, SparkSession
 from pyspark.sql import Window as W
 from pyspark.sql import functions as F
 
 from consensus_spark.functions.hashing import bucket, word
 from consensus_spark.functions.prefix import rank_within
+from consensus_spark.functions.vectors import argmax, dot, let
 from consensus_spark.sources.tables import load
 
 # Letters of the language task.
@@ -44,15 +50,11 @@ def planted_weight(cls: int, idx: int) -> str:
 
 def planted_examples(emb: DataFrame, n_classes: int = 10, seed: int = SEED, noise: bool = False) -> DataFrame:
     """Unit vectors; label by the largest of fixed linear maps (or the table's own label)."""
-    import hashlib
-
     def u(c: int, i: int) -> float:
         return int(hashlib.md5(f"{seed}|{c}|{i}".encode()).hexdigest()[:8], 16) / (1 << 32) - 0.5
 
     x = F.transform("embedding", lambda v: v.cast("double"))
     maps = F.array(*[F.array(*[F.lit(u(c, i)) for i in range(64)]) for c in range(n_classes)])
-    from consensus_spark.functions.vectors import argmax, dot
-
     y = F.col("label").cast("int") if noise else argmax(F.transform(maps, lambda w: dot(w, F.col("e"))))
     return emb.filter("embedding IS NOT NULL").select("vec_id", "label", x.alias("e")).select(
         F.col("vec_id").alias("row_id"),
@@ -128,6 +130,85 @@ def standardise(ex: DataFrame, how: str = "global") -> DataFrame:
     return out.withColumn("x", x).drop("stat", "_g")
 
 
+def dirichlet_cuts(alpha: float, n: int, classes: int, seed: int) -> np.ndarray:
+    """Upper edges of the workers' quotas in [0, 1) for each label."""
+    return np.cumsum(np.random.default_rng(seed).dirichlet([alpha] * n, classes), axis=1)
+
+
+def bigram_examples(docs: DataFrame, dims: int) -> DataFrame:
+    """``row_id``, ``x``: the shares of ``bigram_hash``, with one md5 per different pair of a batch."""
+
+    def shares(batches):
+        for b in batches:
+            place: dict[str, int] = {}
+            out = []
+            for t in b.column("low").to_pylist():
+                code = np.frombuffer(t.encode("utf-32-le"), "<u4").astype(np.uint64)
+                pair, count = np.unique((code[:-1] << np.uint64(32)) | code[1:], return_counts=True)
+                x = np.zeros(dims)
+                for p, c in zip(pair.tolist(), count.tolist(), strict=True):
+                    key = chr(p >> 32) + chr(p & 0xFFFFFFFF)
+                    if key not in place:
+                        place[key] = int(hashlib.md5(key.encode()).hexdigest()[:8], 16) % dims
+                    x[place[key]] += c
+                out.append(x / max(1, len(code) - 1))
+            yield pa.record_batch([b.column("row_id"), pa.array(out, pa.list_(pa.float64()))], ["row_id", "x"])
+
+    rows = docs.filter("length(text) > 1").select(F.col("row_id").cast("long").alias("row_id"), F.lower("text").alias("low"))
+    return rows.mapInArrow(shares, "row_id long, x array<double>")
+
+
+@dataclass(frozen=True)
+class Pca:
+    """Leading directions of centred features, scaled by one global number, and a constant."""
+
+    mean: np.ndarray
+    directions: np.ndarray
+    scale: float
+    share: np.ndarray
+
+    @staticmethod
+    def fit(ex: DataFrame, width: int, k: int) -> Pca:
+        """Second moments by one vector of sums per task; eigenvectors on the driver (width^2 numbers)."""
+        n, total, square = moments(ex, width)
+        mean = total / n
+        values, vectors = np.linalg.eigh(square / n - np.outer(mean, mean))
+        order = np.argsort(-values)[:k]
+        lead = vectors[:, order] * np.sign(vectors[np.abs(vectors[:, order]).argmax(axis=0), order])
+        return Pca(mean, lead, float(np.sqrt(max(values[order].mean(), 1e-12))), values[order] / values.sum())
+
+    def apply(self, ex: DataFrame) -> DataFrame:
+        """``x`` replaced by k components and a constant, in whole-stage expressions."""
+        flat = F.array(*[F.array(*[F.lit(float(v)) for v in d]) for d in self.directions.T / self.scale])
+        centred = F.zip_with("x", F.array(*[F.lit(float(v)) for v in self.mean]), lambda a, m: a - m)
+        x = let(centred, lambda c: F.transform(flat, lambda w: dot(w, c)))
+        return ex.withColumn("x", F.array_append(x, F.lit(1.0)))
+
+
+def moments(ex: DataFrame, width: int) -> tuple[float, np.ndarray, np.ndarray]:
+    """Rows, feature sums and X'X over the first ``width`` features; a task emits one vector."""
+
+    def partial(batches):
+        out = np.zeros((width + 1, width))
+        n = 0
+        for b in batches:
+            if b.num_rows:
+                x = np.asarray(b.column("x").flatten()).reshape(b.num_rows, -1)[:, :width]
+                n += len(x)
+                out[0] += x.sum(axis=0)
+                out[1:] += x.T @ x
+        yield pa.record_batch([pa.array([n]), pa.array([out.ravel()], pa.list_(pa.float64()))], ["n", "v"])
+
+    parts = ex.select("x").mapInArrow(partial, "n long, v array<double>")
+    n = parts.agg(F.sum("n")).first()[0] or 1
+    sums = parts.select(F.posexplode("v").alias("i", "v")).groupBy("i").agg(F.sum("v").alias("v")).collect()
+    flat = np.zeros((width + 1) * width)
+    for r in sums:  # width (width + 1) rows
+        flat[r["i"]] = r["v"]
+    table = flat.reshape(width + 1, width)
+    return float(n), table[0], table[1:]
+
+
 def shard(ex: DataFrame, n: int, how: str = "iid", **o) -> DataFrame:
     """Add ``worker``: ``iid`` by hash, ``by_label`` in label order, ``by_key`` of a column,
     ``sizes`` by unequal quotas, ``dirichlet`` with per-label quotas."""
@@ -154,10 +235,7 @@ def shard(ex: DataFrame, n: int, how: str = "iid", **o) -> DataFrame:
             pick = F.when(u < e, i).otherwise(pick)
         return ex.withColumn("worker", pick.cast("int"))
     if how == "dirichlet":
-        import numpy as np
-
-        rng = np.random.default_rng(seed)
-        cuts = np.cumsum(rng.dirichlet([o.get("alpha", 0.5)] * n, o["n_classes"]), axis=1)
+        cuts = dirichlet_cuts(o.get("alpha", 0.5), n, o["n_classes"], seed)
         table = F.array(*[F.array(*[F.lit(float(v)) for v in row]) for row in cuts])
         mine = F.element_at(table, F.col("y") + 1)
         return ex.withColumn("worker", F.least(F.size(F.filter(mine, lambda c: c <= u)), F.lit(n - 1)).cast("int"))

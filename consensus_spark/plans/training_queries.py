@@ -6,18 +6,16 @@ import numpy as np
 from pyspark.sql import functions as F
 
 from consensus_spark.functions.prefix import rank_within
-from consensus_spark.functions.vectors import argmax, logits
 from consensus_spark.operators import mixing, quality, steps, tail, theory, timing, waiting, weights
-from consensus_spark.operators.cover import find_cover
-from consensus_spark.operators.models import LeastSquares, Mlp, Softmax, least_squares_optimum
+from consensus_spark.operators.models import LeastSquares, Quadratic, Softmax, least_squares_optimum
 from consensus_spark.operators.weights import rounded
 from consensus_spark.plans import oracle as O
 from consensus_spark.plans import tasks
 from consensus_spark.plans.schedule_queries import N, adaptive, full, six, trace
-from consensus_spark.plans.trainer import Config, compare, relational_train
+from consensus_spark.plans.durable import cut
+from consensus_spark.plans.trainer import Config, Slots, compare, relational_train, train_runs, trained
 from consensus_spark.sources import graphs
 from consensus_spark.sources.tables import load
-from consensus_spark.sources.times import law
 
 QUERIES: dict = {}
 ORACLE_SQL: dict[str, str] = {}
@@ -58,35 +56,40 @@ TIER_SQL = f"""ex AS (SELECT row_number() OVER () AS row_id,
     CAST({word_sql('shard1', '(l_orderkey * 10 + l_linenumber)')} % 6 AS INT) AS worker FROM lineitem)"""
 
 
-def train_sql(data: str, mix_cte: str, features: int, classes: int, last: int, kind: str = "step_first", keep: str = "NOT is_test") -> str:
-    """Unrolled training of ``last`` full-batch iterations, ending in CTE ``p<last>``.
+def train_sql(
+    data: str, mix_cte: str, features: int, classes: int, last: int, kind: str = "step_first", keep: str = "NOT is_test",
+    batch: int | None = None, l2: float = 0.0,
+) -> str:
+    """Unrolled training of ``last`` iterations, ending in CTE ``p<last>``.
 
     ``kind``: step_first, mix_first, discard, server, single (no mixing of one worker),
-    or squares (least squares, one class).
+    or squares (least squares, one class).  ``batch``: rows of a worker in a slot, or all.
     """
+    slots = f"(SELECT greatest(1, count(*) // {6 * (batch or 1)}) FROM ex WHERE {keep})"
     out = [
         data,
-        f"tr AS (SELECT row_id, worker, x, {'target AS y' if kind == 'squares' else 'y'} FROM ex WHERE {keep})",
-        "cnt AS (SELECT worker, count(*) n FROM tr GROUP BY worker)",
+        f"""al AS (SELECT row_id, worker, x, {'target AS y' if kind == 'squares' else 'y'},
+      {word_sql('slot1', 'row_id') + ' % ' + slots if batch else '0'} AS slot, {slots if batch else '1'} AS n_slots FROM ex WHERE {keep})""",
         mix_cte,
         f"""p0 AS (SELECT CAST(w AS INT) AS worker, CAST(c AS INT) AS cls, CAST(i AS INT) AS idx, 0.0::DOUBLE AS val
       FROM range(6) a(w), range({classes}) b(c), range({features}) d(i))""",
     ]
     for k in range(1, last + 1):
         step = steps.value_at("geometric", k) if kind != "squares" else 0.1
-        q = k - 1
+        q, tr, cnt = k - 1, f"tr{k}", f"cnt{k}"
+        out.append(f"tr{k} AS (SELECT * FROM al WHERE slot = {q} % n_slots), cnt{k} AS (SELECT worker, count(*) n FROM tr{k} GROUP BY worker)")
         out.append(
-            f"lg{k} AS (SELECT e.row_id, e.worker, p.cls, sum(e.x[p.idx + 1] * p.val) z FROM tr e JOIN p{q} p ON p.worker = e.worker GROUP BY e.row_id, e.worker, p.cls)"
+            f"lg{k} AS (SELECT e.row_id, e.worker, p.cls, sum(e.x[p.idx + 1] * p.val) z FROM {tr} e JOIN p{q} p ON p.worker = e.worker GROUP BY e.row_id, e.worker, p.cls)"
         )
         if kind == "squares":
-            out.append(f"rs{k} AS (SELECT l.row_id, l.worker, l.cls, l.z - e.y AS d FROM lg{k} l JOIN tr e ON e.row_id = l.row_id)")
+            out.append(f"rs{k} AS (SELECT l.row_id, l.worker, l.cls, l.z - e.y AS d FROM lg{k} l JOIN {tr} e ON e.row_id = l.row_id)")
         else:
             out += [
                 f"sx{k} AS (SELECT row_id, worker, cls, exp(z - max(z) OVER (PARTITION BY row_id)) ez FROM lg{k})",
-                f"rs{k} AS (SELECT s.row_id, s.worker, s.cls, s.ez / sum(s.ez) OVER (PARTITION BY s.row_id) - CASE WHEN s.cls = e.y THEN 1.0 ELSE 0.0 END AS d FROM sx{k} s JOIN tr e ON e.row_id = s.row_id)",
+                f"rs{k} AS (SELECT s.row_id, s.worker, s.cls, s.ez / sum(s.ez) OVER (PARTITION BY s.row_id) - CASE WHEN s.cls = e.y THEN 1.0 ELSE 0.0 END AS d FROM sx{k} s JOIN {tr} e ON e.row_id = s.row_id)",
             ]
         out.append(
-            f"gr{k} AS (SELECT r.worker, r.cls, CAST(i.i AS INT) AS idx, sum(r.d * e.x[i.i + 1]) / any_value(c.n) AS g FROM rs{k} r JOIN tr e ON e.row_id = r.row_id JOIN cnt c ON c.worker = r.worker, range({features}) i(i) GROUP BY r.worker, r.cls, i.i)"
+            f"gr{k} AS (SELECT r.worker, r.cls, CAST(i.i AS INT) AS idx, sum(r.d * e.x[i.i + 1]) / any_value(c.n) AS g FROM rs{k} r JOIN {tr} e ON e.row_id = r.row_id JOIN {cnt} c ON c.worker = r.worker, range({features}) i(i) GROUP BY r.worker, r.cls, i.i)"
         )
         mixed = "SELECT m.dst AS worker, h.cls, h.idx, sum(m.w * h.val) AS val FROM {h} h JOIN mix m ON m.src = h.worker AND m.k = {k} GROUP BY m.dst, h.cls, h.idx"
         if kind == "mix_first":
@@ -99,7 +102,7 @@ def train_sql(data: str, mix_cte: str, features: int, classes: int, last: int, k
             part = f"JOIN times t ON t.k = {k} AND t.worker = p.worker JOIN schedule s ON s.k = {k}"
             share = "CASE WHEN t.t <= s.cutoff THEN 1.0 ELSE 0.0 END"
         out.append(
-            f"hf{k} AS (SELECT p.worker, p.cls, p.idx, p.val - {step} * {share} * coalesce(g.g, 0) AS val FROM p{q} p LEFT JOIN gr{k} g ON g.worker = p.worker AND g.cls = p.cls AND g.idx = p.idx {part})"
+            f"hf{k} AS (SELECT p.worker, p.cls, p.idx, p.val - {step} * {share} * (coalesce(g.g, 0) + {l2} * p.val) AS val FROM p{q} p LEFT JOIN gr{k} g ON g.worker = p.worker AND g.cls = p.cls AND g.idx = p.idx {part})"
         )
         out.append(f"p{k} AS ({mixed.format(h=f'hf{k}', k=k)})")
     return ", ".join(out)
@@ -122,8 +125,8 @@ def final_params(k: int, features: int = _F) -> str:
     return f"SELECT worker, CAST(cls * {features} + idx AS INT) AS idx, round(val, 6) AS val FROM p{k}"
 
 
-def lang_sql(mix_cte: str, k: int, kind: str = "step_first", end: str | None = None, more: str = "") -> str:
-    return f"WITH RECURSIVE {train_sql(_LANG, mix_cte, _F, _C, k, kind)}{more} {end or final_params(k)}"
+def lang_sql(mix_cte: str, k: int, kind: str = "step_first", end: str | None = None, more: str = "", **o) -> str:
+    return f"WITH RECURSIVE {train_sql(_LANG, mix_cte, _F, _C, k, kind, **o)}{more} {end or final_params(k)}"
 
 
 # ---- shards, batches, features ------------------------------------------------
@@ -168,7 +171,18 @@ def _(spark, d):
     return tasks.language(spark, d, "a", how="sizes", sizes=[1, 2, 3, 4, 5, 6]).select("row_id", "worker")
 
 
-@query("m04_dirichlet")
+def _quotas(alpha: float, n: int, classes: int, seed: int = 1) -> str:
+    cuts = tasks.dirichlet_cuts(alpha, n, classes, seed)
+    rows = ", ".join(f"({c}, {i}, {float(v)!r}::DOUBLE)" for c, row in enumerate(cuts) for i, v in enumerate(row[:-1]))
+    return f"q(y, i, edge) AS (VALUES {rows})"
+
+
+@query(
+    "m04_dirichlet",
+    f"""WITH {_quotas(0.3, 6, 4)}, e AS (SELECT doc_id, list_position(['de', 'en', 'es', 'fr'], lang) - 1 AS y, {word_sql('quota1', 'doc_id')} / 4294967296.0 AS u
+    FROM documents WHERE length(text) > 0), w AS (SELECT e.doc_id, any_value(e.y) AS y, count(*) FILTER (q.edge <= e.u) AS worker FROM e JOIN q ON q.y = e.y GROUP BY e.doc_id)
+  SELECT CAST(worker AS INT) AS worker, CAST(y AS INT) AS y, count(*) AS n FROM w GROUP BY worker, y""",
+)
 def _(spark, d):
     ex = tasks.language(spark, d, "a", how="dirichlet", alpha=0.3, n_classes=4)
     return ex.groupBy("worker", "y").agg(F.count(F.lit(1)).alias("n"))
@@ -267,9 +281,9 @@ def small(spark, d):
 SOFT = Softmax(_F, _C)
 
 
-def run_small(spark, d, plan, k: int, **options):
-    train = small(spark, d).filter("NOT is_test")
-    return relational_train(spark, lambda _: train, plan, SOFT, Config(k_total=k, **options))
+def run_small(spark, d, plan, k: int, model=SOFT, **options):
+    train = cut(small(spark, d).filter("NOT is_test"))  # features are computed once, not in every iteration
+    return relational_train(spark, lambda _: train, plan, model, Config(k_total=k, **options))
 
 
 def shown(params):
@@ -321,7 +335,7 @@ for _name, (_k, _mix, _kind, _plan, _opt) in _RUNS.items():
 
 @query("w04_adaptive_k2", f"WITH RECURSIVE {train_sql(TIER_SQL, _ADAPT, 5, 3, 2)} {final_params(2, 5)}")
 def _(spark, d):
-    ex = tasks.shard(tasks.revenue_examples(load(spark, d, "lineitem")), N).filter("NOT is_test")
+    ex = cut(tasks.shard(tasks.revenue_examples(load(spark, d, "lineitem")), N).filter("NOT is_test"))
     return shown(relational_train(spark, lambda _: ex, adaptive(spark, d), Softmax(5, 3), Config(k_total=2)))
 
 
@@ -331,11 +345,44 @@ def squares(spark, d):
 
 @query("w15_least_squares_k3", f"WITH RECURSIVE {train_sql(TIER_SQL, _ADAPT, 5, 1, 3, 'squares')} {final_params(3, 5)}")
 def _(spark, d):
-    ex = squares(spark, d).filter("NOT is_test")
+    ex = cut(squares(spark, d).filter("NOT is_test"))
     config = Config(k_total=3, step="constant", step_options={"c": 0.1})
     return shown(relational_train(spark, lambda _: ex, adaptive(spark, d), LeastSquares(5), config))
 
 
+@query("w01_slot_batches_k3", lang_sql(_ADAPT, 3, batch=32))
+def _(spark, d):
+    """Three iterations on mini-batches of 32 rows a worker, each read from its own directory."""
+    config = Config(k_total=3, batch=32)
+    slots = Slots(small(spark, d).filter("NOT is_test"), config)
+    return shown(relational_train(spark, slots.frame, adaptive(spark, d), SOFT, config))
+
+
+@query("w01_slot_batches_arrow_k3", lang_sql(_ADAPT, 3, batch=32))
+def _(spark, d):
+    """The same in the vectorised loop."""
+    return shown(trained(spark, small(spark, d), adaptive(spark, d), SOFT, Config(k_total=3, eval_every=3, batch=32))[0])
+
+
+@query("m03_regulariser_k3", lang_sql(_FULL, 3, l2=0.1))
+def _(spark, d):
+    """Training under a squared penalty on the parameters."""
+    return shown(run_small(spark, d, full(spark, d), 3, Softmax(_F, _C, 0.1)))
+
+
+@query("m03_regulariser_arrow_k3", lang_sql(_FULL, 3, l2=0.1))
+def _(spark, d):
+    config = Config(k_total=3, eval_every=3, batch=None)
+    return shown(trained(spark, small(spark, d), full(spark, d), Softmax(_F, _C, 0.1), config)[0])
+
+
+@query("m06_gradient_by_place", lang_sql(_FULL, 1, end=f"SELECT worker, CAST(cls * {_F} + idx AS INT) AS idx, round(g, 6) AS g FROM gr1"))
+def _(spark, d):
+    """The gradient with parameters joined by place: for states too large to broadcast."""
+    start = mixing.equal_start(spark, N, SOFT.init().tolist())
+    return mixing.long_gradient(small(spark, d).filter("NOT is_test"), start, SOFT).select("worker", "idx", rounded("g").alias("g"))
+
+
 @query("m15_tail_limit", lang_sql(_FULL, 1, end=f"SELECT CAST(w AS INT) AS worker, CAST(cls * {_F} + idx AS INT) AS idx, round(avg(val), 6) AS val FROM p1, range(6) a(w) GROUP BY w, cls, idx"))
 def _(spark, d):
     """Mixing alone takes every worker to the mean vector."""
@@ -355,6 +402,35 @@ def _(spark, d):
     return tail.output_model(run_small(spark, d, full(spark, d), 1), "worker", 0).select("idx", rounded("val").alias("val"))
 
 
+_EACH = """, ez AS (SELECT e.row_id, e.y, e.is_test, p.worker AS w, p.cls, sum(e.x[p.idx + 1] * p.val) z FROM ex e CROSS JOIN p3 p GROUP BY ALL),
+  es AS (SELECT row_id, w, any_value(is_test) is_test, any_value(y) y, max(z) + ln(sum(exp(z - mx))) - sum(CASE WHEN cls = y THEN z ELSE 0 END) AS l,
+    arg_max(cls, (z, -cls)) AS predicted FROM (SELECT *, max(z) OVER (PARTITION BY row_id, w) mx FROM ez) GROUP BY row_id, w)"""
+
+
+@query("m19_output_best", lang_sql(_ADAPT, 3, more=_EACH, end=f"""SELECT p.worker, CAST(cls * {_F} + idx AS INT) AS idx, round(val, 6) AS val FROM p3 p
+  WHERE p.worker = (SELECT arg_min(w, (l, w)) FROM (SELECT w, round(avg(l), 9) AS l FROM es WHERE NOT is_test GROUP BY w))"""))
+def _(spark, d):
+    """The parameters of the worker whose own model has the least training loss."""
+    p = cut(run_small(spark, d, adaptive(spark, d), 3))
+    return shown(tail.best_worker(small(spark, d).filter("NOT is_test"), p, SOFT))
+
+
+@query("a02_worker_errors", lang_sql(_ADAPT, 3, more=_EACH, end="""SELECT w AS worker, round(avg(CASE WHEN predicted <> y THEN 1.0 ELSE 0.0 END), 6)::DOUBLE AS error,
+  round(max(avg(CASE WHEN predicted <> y THEN 1.0 ELSE 0.0 END)) OVER (), 6)::DOUBLE AS worst FROM es WHERE is_test GROUP BY w"""))
+def _(spark, d):
+    """Test error of each worker's own model, beside the worst."""
+    e = cut(quality.worker_errors(small(spark, d).filter("is_test"), run_small(spark, d, adaptive(spark, d), 3), SOFT))
+    return e.join(F.broadcast(e.agg(F.max("error").alias("worst"))), F.lit(True)).select("worker", rounded("error").alias("error"), rounded("worst").alias("worst"))
+
+
+@query("md4_quadratic_k3", f"WITH RECURSIVE {train_sql(TIER_SQL.replace('AS x,', 'AS xs, [1.0]::DOUBLE[] AS x,'), _ADAPT, 1, 1, 3, 'squares')} {final_params(3, 1)}")
+def _(spark, d):
+    """The scalar quadratic: workers seek the mean target of their shards."""
+    ex = squares(spark, d).withColumn("x", F.array(F.lit(1.0)))
+    config = Config(k_total=3, eval_every=3, step="constant", step_options={"c": 0.1}, batch=None)
+    return shown(trained(spark, ex, adaptive(spark, d), Quadratic(), config)[0])
+
+
 _STEPS = {
     "r1_constant": (steps.constant(0.05), "0.05::DOUBLE"),
     "r2_geometric": (steps.geometric(), "0.2 * pow(0.95, k)"),
@@ -379,6 +455,13 @@ def _(spark, d):
     return ready.select("k", rounded(steps.batch_proportional(0.2)(F.lit(1), F.col("a"), F.lit(6.0))).alias("step"))
 
 
+def both_plans(spark, d, last: int, cover=None, edges=None, times=None):
+    """Full wait and path cover over the first ``last`` iterations, which a run of that length reads."""
+    t = cut((trace(spark, d) if times is None else times).filter(F.col("k") <= last))
+    e = six(spark) if edges is None else edges
+    return {"full": waiting.FullWait().plan(t, e), "adaptive": waiting.PathCover(cover or graphs.SIX_COVER, warmup_full=True).plan(t, e)}
+
+
 # ---- accuracy after one full-wait iteration ------------------------------------
 
 _MEAN = f""", mm AS (SELECT cls, idx, avg(val) AS val FROM p1 GROUP BY cls, idx),
@@ -427,185 +510,12 @@ def _(spark, d):
 
 
 @query("a19_gradient_variance", lang_sql(_FULL, 1, end=f"""SELECT worker, round(sum(v), 6) AS variance FROM (SELECT r.worker, r.cls, i.i, var_pop(r.d * e.x[i.i + 1]) v
-  FROM rs1 r JOIN tr e ON e.row_id = r.row_id, range({_F}) i(i) GROUP BY r.worker, r.cls, i.i) GROUP BY worker"""))
+  FROM rs1 r JOIN tr1 e ON e.row_id = r.row_id, range({_F}) i(i) GROUP BY r.worker, r.cls, i.i) GROUP BY worker"""))
 def _(spark, d):
     start = mixing.equal_start(spark, N, SOFT.init().tolist())
     return quality.gradient_variance(small(spark, d).filter("NOT is_test"), start, SOFT).select("worker", rounded("variance").alias("variance"))
 
 
-# ---- curves and sweeps (rows only; pytest checks their behaviour) ---------------
-
-
-def both_plans(spark, d, cover=None, edges=None, times=None):
-    t = trace(spark, d) if times is None else times
-    e = six(spark) if edges is None else edges
-    return {"full": waiting.FullWait().plan(t, e), "adaptive": waiting.PathCover(cover or graphs.SIX_COVER, warmup_full=True).plan(t, e)}
-
-
-def _cached(ex):
-    return ex.select("row_id", "worker", "x", "y", "is_test", *[c for c in ("slot",) if c in ex.columns]).cache()
-
-
-def curve(spark, d, ex, model, k: int = 16, plans=None, n: int = N, **o):
-    return compare(spark, _cached(ex), plans or both_plans(spark, d), model, Config(k_total=k, n=n, eval_every=max(1, k // 6), **o))
-
-
-@query("w01_curve")
-def _(spark, d):
-    """Language task: both rules on the same data and times."""
-    return curve(spark, d, tasks.language(spark, d), Softmax(len(tasks.LETTERS) + 1, 4))
-
-
-@query("w02_curve")
-def _(spark, d):
-    ex = tasks.shard(tasks.planted_examples(load(spark, d, "embeddings")), N)
-    return curve(spark, d, ex, Softmax(65, 10), 12)
-
-
-@query("w03_noise_curve")
-def _(spark, d):
-    ex = tasks.shard(tasks.planted_examples(load(spark, d, "embeddings"), noise=True), N)
-    return curve(spark, d, ex, Softmax(65, 10), 8)
-
-
-@query("w04_curve")
-def _(spark, d):
-    ex = tasks.shard(tasks.revenue_examples(load(spark, d, "lineitem")), N)
-    return curve(spark, d, ex, Softmax(5, 3), 12)
-
-
-@query("w05_mlp")
-def _(spark, d):
-    ex = tasks.language(spark, d)
-    return curve(spark, d, ex, Mlp(len(tasks.LETTERS) + 1, 4), 10)
-
-
-@query("w06_pca_curve")
-def _(spark, d):
-    """Sixteen leading components of the letter features."""
-    ex = _cached(tasks.standardise(tasks.language(spark, d)))
-    width = len(tasks.LETTERS)
-    _, vectors = np.linalg.eigh(gram_matrix(ex.select("row_id", F.slice("x", 1, width).alias("x"), F.lit(0).alias("y")), width))
-    lead = F.array(*[F.array(*[F.lit(float(v)) for v in vectors[:, -1 - i]]) for i in range(16)])
-    from consensus_spark.functions.vectors import dot
-
-    ex = ex.withColumn("x", F.array_append(F.transform(lead, lambda w: dot(w, F.slice("x", 1, width))), F.lit(1.0)))
-    return curve(spark, d, ex, Softmax(17, 4), 6)
-
-
-@query("w07_batch_sweep")
-def _(spark, d):
-    """Batch sizes by slots: a slot of one pass over s slots holds 1/s of each shard."""
-    ex, out = tasks.language(spark, d), None
-    for slots in (8, 4, 2, 1):
-        part = _cached(tasks.assign_slots(ex, slots))
-        h = compare(spark, part, {"adaptive": both_plans(spark, d)["adaptive"]}, Softmax(38, 4), Config(k_total=8, eval_every=8), slots)
-        h = h.withColumn("run", F.lit(f"slots_{slots}"))
-        out = h if out is None else out.unionByName(h)
-    return out
-
-
-@query("w09_speedup")
-def _(spark, d):
-    """More workers, the same total batch per worker: loss after equal iterations and clock."""
-    out = None
-    for n in (2, 4, 8):
-        ex = tasks.shard(tasks.revenue_examples(load(spark, d, "lineitem")), n)
-        links = graphs.graph("ring", n)
-        t = law(spark, "exponential", n, 8, 3)
-        plans = both_plans(spark, d, find_cover(links, n), graphs.edges(spark, links), t)
-        config = Config(k_total=8, n=n, eval_every=8, step="horizon", step_options={"n": n, "last": 200})
-        h = compare(spark, _cached(ex), plans, Softmax(5, 3), config).withColumn("run", F.concat(F.col("run"), F.lit(f"_{n}")))
-        out = h if out is None else out.unionByName(h)
-    return out
-
-
-@query("w10_noniid")
-def _(spark, d):
-    out = None
-    for how, o in (("iid", {}), ("by_label", {}), ("dirichlet", {"alpha": 0.3, "n_classes": 4})):
-        h = curve(spark, d, tasks.language(spark, d, how=how, **o), Softmax(38, 4), 8)
-        h = h.withColumn("run", F.concat(F.col("run"), F.lit(f"_{how}")))
-        out = h if out is None else out.unionByName(h)
-    return out
-
-
-@query("w13_time_to_accuracy")
-def _(spark, d):
-    """First iteration and clock at which the training loss reaches a target."""
-    h = curve(spark, d, tasks.language(spark, d), Softmax(38, 4), 12)
-    return quality.iterations_to(h, "loss", 0.6)
-
-
-@query("w14_steps")
-def _(spark, d):
-    out, ex = None, _cached(tasks.language(spark, d))
-    for name, kind, o in (("constant", "constant", {"c": 0.1}), ("geometric", "geometric", {}), ("horizon", "horizon", {"n": 6, "last": 60})):
-        h = compare(spark, ex, {name: both_plans(spark, d)["adaptive"]}, Softmax(38, 4), Config(k_total=6, eval_every=6, step=kind, step_options=o))
-        out = h if out is None else out.unionByName(h)
-    return out
-
-
-@query("w16_tail")
-def _(spark, d):
-    """Spread of the workers' parameters along the mixing-only phase."""
-    p = adaptive(spark, d)
-    w = np.arange(N, dtype=float)[:, None]
-    rows = []
-    for k, m in weights.in_order(weights.metropolis(p.active, p.times), N):
-        w = m.T @ w
-        rows.append((k, float(((w - w.mean()) ** 2).max()), float(w.mean())))
-    return spark.createDataFrame(rows, "k int, disagreement double, mean double")
-
-
-@query("w18_quality")
-def _(spark, d):
-    """Labelled quality by shares of letters and signs: an imbalanced two-class task."""
-    ex = tasks.shard(tasks.quality_examples(load(spark, d, "documents"), load(spark, d, "labels")), N)
-    return curve(spark, d, ex, Softmax(len(tasks.QUALITY_SIGNS) + 1, 2), 6)
-
-
-@query("w19_transfer")
-def _(spark, d):
-    """The language model on pages; the path of a page's address holds its language."""
-    ex = tasks.language(spark, d).filter("NOT is_test")
-    plan = full(spark, d)
-    model = Softmax(len(tasks.LETTERS) + 1, 4)
-    params = relational_train(spark, lambda _: ex, plan, model, Config(k_total=4))
-    pages = load(spark, d, "pages").select(
-        F.col("page_id").alias("row_id"),
-        F.regexp_replace("html", "(?s)<(script|style).*?</\\1>|<[^>]*>", " ").alias("text"),
-        F.regexp_extract("html", "lang=\"?([a-z]{2})", 1).alias("lang"),
-    ).filter(F.col("lang").isin(*tasks.LANGUAGES) & (F.length("text") > 0))
-    x = tasks.letter_shares(F.col("text"), tasks.LETTERS)
-    y = (F.array_position(F.array(*[F.lit(v) for v in tasks.LANGUAGES]), F.col("lang")) - 1).cast("int")
-    return quality.confusion(pages.select("row_id", x.alias("x"), y.alias("y")), params, model)
-
-
-@query("w21_tradeoff")
-def _(spark, d):
-    """More backups against convergence: q fastest neighbours, full wait and path cover on one clock."""
-    t, e = trace(spark, d), six(spark)
-    plans = {f"fastest_{q}": waiting.FastestCount(q).plan(t, e) for q in (0, 1, 2, 3)} | both_plans(spark, d)
-    return compare(spark, _cached(tasks.language(spark, d, how="by_label")), plans, Softmax(38, 4), Config(k_total=8, eval_every=4))
-
-
-@query("b08_server_backup_curve")
-def _(spark, d):
-    t, e = trace(spark, d), six(spark)
-    plans = {"server_sync": waiting.ServerSync().plan(t, e), "server_backup2": waiting.ServerBackup(2).plan(t, e), "none": waiting.NoMixing().plan(t, e)}
-    return compare(spark, _cached(tasks.language(spark, d)), plans, Softmax(38, 4), Config(k_total=8, eval_every=4))
-
-
-@query("b11_single_worker")
-def _(spark, d):
-    """One worker: plain stochastic gradient descent."""
-    t = trace(spark, d, 1).filter("k <= 8")
-    e = six(spark).filter("false")
-    plan = {"single": waiting.PathCover([]).plan(t, e)}
-    return compare(spark, _cached(tasks.language(spark, d, n=1)), plan, Softmax(38, 4), Config(k_total=8, n=1, eval_every=4))
-
-
 # ---- theory --------------------------------------------------------------------
 
 
@@ -650,56 +560,108 @@ def _(spark, d):
     best = least_squares_optimum(g, xy)
     c = float(train.agg(F.avg(F.col("y") * F.col("y"))).first()[0])
     least = 0.5 * (c - 2 * best @ xy + best @ g @ best)
-    config = Config(k_total=12, eval_every=2, step="constant", step_options={"c": 0.1})
-    h = compare(spark, _cached(ex), both_plans(spark, d), LeastSquares(5), config)
+    config = Config(k_total=60, eval_every=10, step="constant", step_options={"c": 0.1}, batch=None)
+    h = compare(spark, ex, both_plans(spark, d, 60), LeastSquares(5), config)
     bound = theory.loss_gap_bound(F.col("k"), float(best @ best), 0.1, theory.smoothness(g, "squares"), N, 0.0)
     return h.select("run", "k", (F.col("loss") - float(least)).alias("gap"), bound.alias("bound"))
 
 
-@query("a14_rate_fit")
+@query("m18_unrolled")
 def _(spark, d):
-    return theory.rate_fit(QUERIES["a11_loss_gap"](spark, d).filter("run = 'adaptive'").withColumn("n", F.lit(N)))
+    """Largest difference between a run's parameters and its closed expansion, on the run's own gradients."""
+    k, grads, start = 12, [], []
 
+    def watch(_, runs, g):
+        start.append(runs[0].w.copy())
+        grads.append(g[0].copy())
 
-@query("m18_unrolled")
-def _(spark, d):
-    """Largest difference between the recursion and its closed expansion."""
-    rng, n, k = np.random.default_rng(2), N, 12
-    p = adaptive(spark, d)
-    mats = weights.matrices(weights.metropolis(p.active.filter(f"k <= {k}"), p.times.filter(f"k <= {k}")), n)
-    w0 = rng.normal(size=(n, 4))
-    grads, eta, w = [rng.normal(size=(n, 4)) for _ in range(k)], [0.1 * 0.9**i for i in range(k)], w0
-    for i in range(k):
-        w = mats[i + 1].T @ (w - eta[i] * grads[i])
-    ordered = [mats[i + 1] for i in range(k)]
-    diff = float(np.abs(tail.unrolled(w0, grads, eta, ordered) - w).max())
-    mean = float(np.abs(tail.mean_iterate(w0, grads, eta) - w.mean(axis=0)).max())
+    plan = adaptive(spark, d)
+    config = Config(k_total=k, eval_every=k, batch=32)
+    runs, _ = train_runs(spark, small(spark, d), {"adaptive": plan}, SOFT, config, watch)
+    eta, mats = [float(config.step_at(i)[0]) for i in range(1, k + 1)], [runs[0].mats[i] for i in range(1, k + 1)]
+    diff = float(np.abs(tail.unrolled(start[0], grads, eta, mats) - runs[0].w).max())
+    mean = float(np.abs(tail.mean_iterate(start[0], grads, eta) - runs[0].w.mean(axis=0)).max())
     return spark.createDataFrame([(k, diff < 1e-12, mean < 1e-12)], "k int, expansion_equals boolean, mean_equals boolean")
 
 
-# ---- baselines discussed, as simulators ----------------------------------------
+@query("m21_exact_wait")
+def _(spark, d):
+    """Least total wait that keeps every three successive unions connected, by enumeration over four
+    iterations of the four-worker graph, beside the path cover and full wait."""
+    from consensus_spark.operators.schedule import exact_min_wait, path_cover_schedule, times_by_iteration
+
+    t = cut(trace(spark, d, 4).filter("k <= 24"))
+    cover = {r["k"]: r["cutoff"] for r in path_cover_schedule(t, graphs.FOUR_COVER).select("k", "cutoff").collect()}
+    at = {r["k"]: r["at"] for r in times_by_iteration(t).collect()}
+    rows = []
+    for first in range(1, 24, 3):
+        ks = [k for k in range(first, first + 3) if k in at]
+        exact = exact_min_wait([at[k] for k in ks], graphs.FOUR, 4, 3)
+        rows.append((first, float(exact), float(sum(cover[k] for k in ks)), float(sum(max(at[k]) for k in ks))))
+    return spark.createDataFrame(rows, "first int, exact double, path_cover double, full double")
 
 
-@query("b09_server_async")
+@query("t9_measured_times")
 def _(spark, d):
-    """A server that applies each update on arrival: staleness of every update (event order)."""
+    """Compute times measured: seconds of each worker's gradient kernel on each of eight slots."""
+    import time
+
+    from consensus_spark.sources.times import measured
+
+    ex = tasks.assign_slots(tasks.language(spark, d), 8).filter("NOT is_test").select((F.col("slot") + 1).alias("k"), "worker", "x", "y")
+    model = Softmax(len(tasks.LETTERS) + 1, 4)
+    w = model.init()
+
+    def timed(batches):
+        import pyarrow as pa
+
+        for b in batches:
+            k, worker = np.asarray(b.column("k")), np.asarray(b.column("worker"))
+            x, y = np.asarray(b.column("x").flatten()).reshape(b.num_rows, -1), np.asarray(b.column("y"))
+            pairs = np.unique(np.stack([k, worker]), axis=1).T if b.num_rows else []
+            for i, j in pairs:
+                at = (k == i) & (worker == j)
+                begun = time.perf_counter()
+                model.grad_sum(w, x[at], y[at])
+                yield pa.record_batch([pa.array([i], pa.int32()), pa.array([j], pa.int32()), pa.array([time.perf_counter() - begun])], ["k", "worker", "seconds"])
+
+    return measured(ex.mapInArrow(timed, "k int, worker int, seconds double"))
+
+
+# ---- baselines discussed, as simulators ----------------------------------------
+
+
+def arrivals(t):
+    """Every update of every worker by order of arrival: running totals over whole chunks of
+    iterations first, then inside chunks."""
     from pyspark.sql import Window as W
 
-    # running totals of a worker: whole chunks of iterations first, then inside chunks
-    t = trace(spark, d).withColumn("_c", F.floor(F.col("k") / 4096))
+    t = t.withColumn("_c", F.floor(F.col("k") / 4096))
     upto = W.partitionBy("worker").orderBy("_c").rowsBetween(W.unboundedPreceding, -1)
     starts = t.groupBy("worker", "_c").agg(F.sum("t").alias("_s")).select(
         "worker", "_c", F.coalesce(F.sum("_s").over(upto), F.lit(0.0)).alias("_start")
     )
     inside = W.partitionBy("worker", "_c").orderBy("k").rowsBetween(W.unboundedPreceding, 0)
     done = t.withColumn("_l", F.sum("t").over(inside)).join(starts, ["worker", "_c"]).select(
-        "worker", "k", (F.col("_start") + F.col("_l")).alias("arrival")
+        "worker", "k", F.round(F.col("_start") + F.col("_l"), 6).alias("arrival")
     )
-    done = rank_within(done, [], F.floor(F.col("arrival") / 5000.0), ["arrival", "worker"], "version")
+    return rank_within(done, [], F.floor(F.col("arrival") / 5000.0), ["arrival", "worker"], "version")
+
+
+@query(
+    "b09_server_async",
+    f"""WITH {O.times()}, a AS (SELECT worker, k, round(sum(t) OVER (PARTITION BY worker ORDER BY k), 6) AS arrival FROM times),
+  v AS (SELECT *, row_number() OVER (ORDER BY arrival, worker) AS version FROM a)
+  SELECT v.worker, v.k, round(v.arrival, 4) AS arrival, v.version, v.version - coalesce(b.version, 0) - 1 AS staleness
+  FROM v LEFT JOIN v b ON b.worker = v.worker AND b.k = v.k - 1""",
+)
+def _(spark, d):
+    """A server that applies each update on arrival: staleness of every update (event order)."""
+    done = arrivals(trace(spark, d))
     before = done.select("worker", (F.col("k") + 1).alias("k"), F.col("version").alias("_read"))
     read = F.coalesce("_read", F.lit(0))
     return done.join(before, ["worker", "k"], "left").select(
-        "worker", "k", "arrival", "version", (F.col("version") - read - 1).alias("staleness")
+        "worker", "k", rounded("arrival", 4).alias("arrival"), "version", (F.col("version") - read - 1).alias("staleness")
     )
 
 

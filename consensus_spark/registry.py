@@ -2,10 +2,16 @@
 
 from __future__ import annotations
 
-from consensus_spark.plans import schedule_queries, surrounding_queries, training_queries
+from consensus_spark.plans import (
+    schedule_queries,
+    speedup_queries,
+    surrounding_queries,
+    training_queries,
+    workload_queries,
+)
 
 QUERIES: dict = {}
 ORACLE_SQL: dict[str, str] = {}
-for _module in (schedule_queries, training_queries, surrounding_queries):
+for _module in (schedule_queries, training_queries, speedup_queries, workload_queries, surrounding_queries):
     QUERIES |= _module.QUERIES
     ORACLE_SQL |= _module.ORACLE_SQL

@@ -4,7 +4,7 @@ import numpy as np
 import pytest
 
 from consensus_spark.operators import weights
-from consensus_spark.plans import schedule_queries, surrounding_queries, training_queries
+from consensus_spark.plans import schedule_queries, surrounding_queries, training_queries, workload_queries
 from consensus_spark.plans.schedule_queries import N, adaptive, trace
 
 SF = "/root/testdata/sf0.01"
@@ -46,8 +46,8 @@ def test_products_and_tail(spark, times):
     some = weights.metropolis(p.active.filter("k <= 20"), p.times.filter("k <= 20"))
     dense = weights.matrices(some, N)
     assert all((m == dense[k]).all() for k, m in weights.in_order(some, N)) and len(dense) == 20
-    tail = training_queries.QUERIES["w16_tail"](spark, SF).collect()
-    assert [r["k"] for r in tail] == list(range(1, len(times) + 1))
+    tail = workload_queries.QUERIES["w16_tail"](spark, SF).collect()
+    assert [r["k"] for r in tail] == list(range(workload_queries.TRAINED + 1, len(times) + 1))
     firsts = [r for r in schedule_queries.QUERIES["a23_positivity"](spark, SF).collect() if r["epochs"] == 1]
     assert len(firsts) == len(times) // 5
 
