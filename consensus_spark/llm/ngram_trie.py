@@ -34,7 +34,6 @@ from pyspark.sql import DataFrame
 from pyspark.sql import functions as F
 
 from consensus_spark.llm.blocks import (
-    BLOCK_BYTES,
     SHARD_KEYS,
     by_shard,
     closed,
@@ -53,6 +52,8 @@ QUERY_ORDER = 3
 HELD_OUT_MODULUS = 10
 ADDED = 0.1
 WORD_BITS = 32
+#: A block's texts; larger blocks send fewer distinct n-grams.
+BLOCK_BYTES = 8_000_000
 END = np.uint64(0x0E9D0E9D0E9D0E9D)
 BEGIN = np.uint64(0xBE61BE61BE61BE61)
 LOWEST, LEVELS = -12.0, 65535
