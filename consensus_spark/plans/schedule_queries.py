@@ -37,12 +37,18 @@ def six(spark: SparkSession) -> DataFrame:
     return graphs.edges(spark, graphs.SIX)
 
 
-def adaptive(spark: SparkSession, sf_dir: str, **options) -> waiting.Plan:
-    return waiting.PathCover(graphs.SIX_COVER, **options).plan(trace(spark, sf_dir), six(spark))
+def early(spark: SparkSession, sf_dir: str, last: int | None) -> DataFrame:
+    """The trace, or what a run of ``last`` iterations reads of it, ranked once."""
+    t = trace(spark, sf_dir)
+    return t if last is None else cut(t.filter(F.col("k") <= last))
 
 
-def full(spark: SparkSession, sf_dir: str) -> waiting.Plan:
-    return waiting.FullWait().plan(trace(spark, sf_dir), six(spark))
+def adaptive(spark: SparkSession, sf_dir: str, last: int | None = None, **options) -> waiting.Plan:
+    return waiting.PathCover(graphs.SIX_COVER, **options).plan(early(spark, sf_dir, last), six(spark))
+
+
+def full(spark: SparkSession, sf_dir: str, last: int | None = None) -> waiting.Plan:
+    return waiting.FullWait().plan(early(spark, sf_dir, last), six(spark))
 
 
 def with_times(sql: str) -> str:

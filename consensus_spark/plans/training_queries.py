@@ -11,7 +11,7 @@ from consensus_spark.operators.models import LeastSquares, Quadratic, Softmax, l
 from consensus_spark.operators.weights import rounded
 from consensus_spark.plans import oracle as O
 from consensus_spark.plans import tasks
-from consensus_spark.plans.schedule_queries import N, adaptive, full, six, trace
+from consensus_spark.plans.schedule_queries import N, adaptive, early, full, six, trace
 from consensus_spark.plans.durable import cut
 from consensus_spark.plans.trainer import Config, Slots, compare, relational_train, train_runs, trained
 from consensus_spark.sources import graphs
@@ -324,19 +324,19 @@ _RUNS = {
     "w01_adaptive_late_discard_k3": (3, _ADAPT, "discard", adaptive, {"late": "discard"}),
     "w01_mix_first_k3": (3, _FULL, "mix_first", full, {"order": "mix_first"}),
     "w01_server_sync_k3": (
-        3, _SERVER, "server", lambda spark, d: waiting.ServerSync().plan(trace(spark, d), six(spark)), {"weights": "uniform"},
+        3, _SERVER, "server", lambda spark, d, last: waiting.ServerSync().plan(early(spark, d, last), six(spark)), {"weights": "uniform"},
     ),
 }
 for _name, (_k, _mix, _kind, _plan, _opt) in _RUNS.items():
     query(_name, lang_sql(_mix, _k, _kind))(
-        lambda spark, d, k=_k, plan=_plan, o=_opt: shown(run_small(spark, d, plan(spark, d), k, **o))
+        lambda spark, d, k=_k, plan=_plan, o=_opt: shown(run_small(spark, d, plan(spark, d, k), k, **o))
     )
 
 
 @query("w04_adaptive_k2", f"WITH RECURSIVE {train_sql(TIER_SQL, _ADAPT, 5, 3, 2)} {final_params(2, 5)}")
 def _(spark, d):
     ex = cut(tasks.shard(tasks.revenue_examples(load(spark, d, "lineitem")), N).filter("NOT is_test"))
-    return shown(relational_train(spark, lambda _: ex, adaptive(spark, d), Softmax(5, 3), Config(k_total=2)))
+    return shown(relational_train(spark, lambda _: ex, adaptive(spark, d, 2), Softmax(5, 3), Config(k_total=2)))
 
 
 def squares(spark, d):
@@ -347,7 +347,7 @@ def squares(spark, d):
 def _(spark, d):
     ex = cut(squares(spark, d).filter("NOT is_test"))
     config = Config(k_total=3, step="constant", step_options={"c": 0.1})
-    return shown(relational_train(spark, lambda _: ex, adaptive(spark, d), LeastSquares(5), config))
+    return shown(relational_train(spark, lambda _: ex, adaptive(spark, d, 3), LeastSquares(5), config))
 
 
 @query("w01_slot_batches_k3", lang_sql(_ADAPT, 3, batch=32))
@@ -355,25 +355,25 @@ def _(spark, d):
     """Three iterations on mini-batches of 32 rows a worker, each read from its own directory."""
     config = Config(k_total=3, batch=32)
     slots = Slots(small(spark, d).filter("NOT is_test"), config)
-    return shown(relational_train(spark, slots.frame, adaptive(spark, d), SOFT, config))
+    return shown(relational_train(spark, slots.frame, adaptive(spark, d, 3), SOFT, config))
 
 
 @query("w01_slot_batches_arrow_k3", lang_sql(_ADAPT, 3, batch=32))
 def _(spark, d):
     """The same in the vectorised loop."""
-    return shown(trained(spark, small(spark, d), adaptive(spark, d), SOFT, Config(k_total=3, eval_every=3, batch=32))[0])
+    return shown(trained(spark, small(spark, d), adaptive(spark, d, 3), SOFT, Config(k_total=3, eval_every=3, batch=32))[0])
 
 
 @query("m03_regulariser_k3", lang_sql(_FULL, 3, l2=0.1))
 def _(spark, d):
     """Training under a squared penalty on the parameters."""
-    return shown(run_small(spark, d, full(spark, d), 3, Softmax(_F, _C, 0.1)))
+    return shown(run_small(spark, d, full(spark, d, 3), 3, Softmax(_F, _C, 0.1)))
 
 
 @query("m03_regulariser_arrow_k3", lang_sql(_FULL, 3, l2=0.1))
 def _(spark, d):
     config = Config(k_total=3, eval_every=3, batch=None)
-    return shown(trained(spark, small(spark, d), full(spark, d), Softmax(_F, _C, 0.1), config)[0])
+    return shown(trained(spark, small(spark, d), full(spark, d, 3), Softmax(_F, _C, 0.1), config)[0])
 
 
 @query("m06_gradient_by_place", lang_sql(_FULL, 1, end=f"SELECT worker, CAST(cls * {_F} + idx AS INT) AS idx, round(g, 6) AS g FROM gr1"))
@@ -394,12 +394,12 @@ def _(spark, d):
 
 @query("m16_mean_iterate", lang_sql(_ADAPT, 3, end=f"SELECT CAST(cls * {_F} + idx AS INT) AS idx, round(avg(val), 6) AS val FROM p3 GROUP BY cls, idx"))
 def _(spark, d):
-    return mixing.mean_model(run_small(spark, d, adaptive(spark, d), 3)).select("idx", rounded("val").alias("val"))
+    return mixing.mean_model(run_small(spark, d, adaptive(spark, d, 3), 3)).select("idx", rounded("val").alias("val"))
 
 
 @query("m19_output_worker0", lang_sql(_FULL, 1, end=f"SELECT CAST(cls * {_F} + idx AS INT) AS idx, round(val, 6) AS val FROM p1 WHERE worker = 0"))
 def _(spark, d):
-    return tail.output_model(run_small(spark, d, full(spark, d), 1), "worker", 0).select("idx", rounded("val").alias("val"))
+    return tail.output_model(run_small(spark, d, full(spark, d, 1), 1), "worker", 0).select("idx", rounded("val").alias("val"))
 
 
 _EACH = """, ez AS (SELECT e.row_id, e.y, e.is_test, p.worker AS w, p.cls, sum(e.x[p.idx + 1] * p.val) z FROM ex e CROSS JOIN p3 p GROUP BY ALL),
@@ -411,7 +411,7 @@ _EACH = """, ez AS (SELECT e.row_id, e.y, e.is_test, p.worker AS w, p.cls, sum(e
   WHERE p.worker = (SELECT arg_min(w, (l, w)) FROM (SELECT w, round(avg(l), 9) AS l FROM es WHERE NOT is_test GROUP BY w))"""))
 def _(spark, d):
     """The parameters of the worker whose own model has the least training loss."""
-    p = cut(run_small(spark, d, adaptive(spark, d), 3))
+    p = cut(run_small(spark, d, adaptive(spark, d, 3), 3))
     return shown(tail.best_worker(small(spark, d).filter("NOT is_test"), p, SOFT))
 
 
@@ -419,7 +419,7 @@ def _(spark, d):
   round(max(avg(CASE WHEN predicted <> y THEN 1.0 ELSE 0.0 END)) OVER (), 6)::DOUBLE AS worst FROM es WHERE is_test GROUP BY w"""))
 def _(spark, d):
     """Test error of each worker's own model, beside the worst."""
-    e = cut(quality.worker_errors(small(spark, d).filter("is_test"), run_small(spark, d, adaptive(spark, d), 3), SOFT))
+    e = cut(quality.worker_errors(small(spark, d).filter("is_test"), run_small(spark, d, adaptive(spark, d, 3), 3), SOFT))
     return e.join(F.broadcast(e.agg(F.max("error").alias("worst"))), F.lit(True)).select("worker", rounded("error").alias("error"), rounded("worst").alias("worst"))
 
 
@@ -428,7 +428,7 @@ def _(spark, d):
     """The scalar quadratic: workers seek the mean target of their shards."""
     ex = squares(spark, d).withColumn("x", F.array(F.lit(1.0)))
     config = Config(k_total=3, eval_every=3, step="constant", step_options={"c": 0.1}, batch=None)
-    return shown(trained(spark, ex, adaptive(spark, d), Quadratic(), config)[0])
+    return shown(trained(spark, ex, adaptive(spark, d, 3), Quadratic(), config)[0])
 
 
 _STEPS = {
@@ -472,7 +472,7 @@ _MEAN = f""", mm AS (SELECT cls, idx, avg(val) AS val FROM p1 GROUP BY cls, idx)
 
 
 def _one(spark, d):
-    return run_small(spark, d, full(spark, d), 1)
+    return run_small(spark, d, full(spark, d, 1), 1)
 
 
 @query("a01_loss", lang_sql(_FULL, 1, more=_MEAN, end="SELECT round(avg(l), 6) AS loss FROM (SELECT avg(l) AS l FROM ls WHERE NOT is_test GROUP BY worker)"))
@@ -575,7 +575,7 @@ def _(spark, d):
         start.append(runs[0].w.copy())
         grads.append(g[0].copy())
 
-    plan = adaptive(spark, d)
+    plan = adaptive(spark, d, k)
     config = Config(k_total=k, eval_every=k, batch=32)
     runs, _ = train_runs(spark, small(spark, d), {"adaptive": plan}, SOFT, config, watch)
     eta, mats = [float(config.step_at(i)[0]) for i in range(1, k + 1)], [runs[0].mats[i] for i in range(1, k + 1)]

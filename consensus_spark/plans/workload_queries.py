@@ -252,14 +252,14 @@ def _(spark, d):
 @query("w18_quality_confusion")
 def _(spark, d):
     ex = cut(quality_task(spark, d))
-    p, _ = trained(spark, ex, adaptive(spark, d), QUALITY, Config(k_total=60, eval_every=60))
+    p, _ = trained(spark, ex, adaptive(spark, d, 60), QUALITY, Config(k_total=60, eval_every=60))
     return quality.confusion(ex.filter("is_test"), p, QUALITY)
 
 
 @query("w18_quality_unlabelled")
 def _(spark, d):
     """The trained classifier on every document without a label."""
-    p, _ = trained(spark, quality_task(spark, d), adaptive(spark, d), QUALITY, Config(k_total=60, eval_every=60))
+    p, _ = trained(spark, quality_task(spark, d), adaptive(spark, d, 60), QUALITY, Config(k_total=60, eval_every=60))
     rest = load(spark, d, "documents").join(load(spark, d, "labels").select("doc_id"), "doc_id", "left_anti").filter("length(text) > 0")
     x = tasks.letter_shares(F.col("text"), tasks.QUALITY_SIGNS)
     rows = rest.select(F.col("doc_id").alias("row_id"), x.alias("x"), F.lit(0).alias("y"))
@@ -269,7 +269,7 @@ def _(spark, d):
 def language_model(spark, d):
     """Parameters of the language model after a run under the path cover."""
     ex = tasks.language(spark, d)
-    return trained(spark, ex, adaptive(spark, d), Softmax(LETTERS, 4), Config(k_total=60, eval_every=60))[0]
+    return trained(spark, ex, adaptive(spark, d, 60), Softmax(LETTERS, 4), Config(k_total=60, eval_every=60))[0]
 
 
 def _rank(c):
