@@ -2,8 +2,8 @@
 
 Statistics of very many keys (windows, n-grams) are not sent as one row per key.
 The rows a task reads are bundled, as they come, into compressed blocks of a bounded
-number of bytes and written to the shared folder, so no text is shuffled to form them
-and a lost executor costs a re-read.  A block sends each shard one compressed message
+number of bytes and written to the shared folder in buckets, so no text is shuffled to
+form them or to meet their answers, and a lost executor costs a re-read.  A block sends each shard one compressed message
 with its sorted distinct keys, the shard answers with a message whose entries stand in
 the same order.  A key that every document holds costs one entry per block.
 """
@@ -21,13 +21,16 @@ from pyspark import TaskContext
 from pyspark.sql import DataFrame
 from pyspark.sql import functions as F
 
-from consensus_spark.llm.durable import materialise
+from consensus_spark.llm.durable import bucketed
 from consensus_spark.llm.textbytes import flat_bytes
 
 BLOCK_BYTES = 4_000_000
 SHARD_KEYS = 1_500_000
 #: A token and the blank after it are taken to be so many bytes.
 TOKEN_BYTES = 6
+BLOCKS_A_BUCKET = 2
+#: Spark's own limit, unless a session raises it.
+MOST_BUCKETS = 100_000
 _BLOCK = "block long, n_bytes long, body binary"
 
 
@@ -93,7 +96,9 @@ def in_blocks(
     Keys are cut to the bits that leave one in a million of them with a double.
     """
     rows = docs.select(F.col("doc_id").cast("long").alias("doc_id"), "text")
-    blocks = materialise(rows.mapInArrow(_bundles(block_bytes, close), _BLOCK))
+    text_bytes = rows.agg(F.sum(F.octet_length("text"))).first()[0] or 0
+    buckets = min(MOST_BUCKETS, 1 + text_bytes // (BLOCKS_A_BUCKET * block_bytes))
+    blocks = bucketed(rows.mapInArrow(_bundles(block_bytes, close), _BLOCK), "block", buckets)
     total, n = blocks.agg(F.sum("n_bytes"), F.count(F.lit(1))).first()
     tokens = max(1, (total or 0) / TOKEN_BYTES)
     bits = max(0, math.ceil(math.log2(max(1, tokens / shard_keys))))
