@@ -52,6 +52,10 @@ QUERY_ORDER = 3
 HELD_OUT_MODULUS = 10
 ADDED = 0.1
 WORD_BITS = 32
+#: Words that messages name by their place in a common book (the others by their hash), and
+#: about how many blocks it is taken from.  The book bears on the size of messages alone.
+BOOK_WORDS = 65_535
+BOOK_BLOCKS = 16
 #: A block's texts; larger blocks send fewer distinct n-grams.
 BLOCK_BYTES = 8_000_000
 END = np.uint64(0x0E9D0E9D0E9D0E9D)
@@ -249,33 +253,46 @@ def held_out(doc_id: int | None) -> bool:
     return zlib.crc32(b"" if doc_id is None else str(doc_id).encode()) % HELD_OUT_MODULUS == 0
 
 
+_PARTS = ("size", "key", "count", "code")
+
+
+def _by_count(count: np.ndarray) -> np.ndarray:
+    """Numbers of a block's tokens, the most frequent first."""
+    return np.argsort(-count.astype(np.int64), kind="stable")
+
+
 def _close(table: pa.Table) -> bytes:
-    """A block as ids, tokens per text, distinct token hashes and the texts as numbers of them."""
+    """A block as ids, tokens per text, distinct token hashes with their counts, and the texts as places by count."""
     w = words_of(table.column("text"))
     h = run_hashes(_LOWER[w.data], w.start, w.end)
     n = table.num_rows
     token = np.full(len(h) + n, END, _U)
     token[np.arange(len(h)) + np.repeat(np.arange(n), np.diff(w.first))] = h
     key, code = ranked(token)
-    parts = [pack(np.diff(w.first) + 1, False), pack(key), pack(code, False)]
+    count = np.bincount(code, minlength=len(key))
+    place = np.empty(len(key), np.int64)
+    place[_by_count(count)] = np.arange(len(key))  # small numbers for frequent tokens
+    parts = [pack(np.diff(w.first) + 1, False), pack(key), pack(count, False), pack(place[code], False)]
     ids = table.column("doc_id").combine_chunks()
-    return closed(pa.table({"ids": pa.array([ids.to_pylist()], pa.list_(pa.int64()))} | {c: [p] for c, p in zip(("size", "key", "code"), parts, strict=True)}))
+    return closed(pa.table({"ids": pa.array([ids.to_pylist()], pa.list_(pa.int64()))} | {c: [p] for c, p in zip(_PARTS, parts, strict=True)}))
 
 
 class _Tokens:
     """Hashed tokens of a block: each text's lower-cased words, then its end."""
 
     def __init__(self, table: pa.Table, bits: int):
-        ids, size, key, code = (table.column(c)[0].as_py() for c in ("ids", "size", "key", "code"))
+        ids = table.column("ids")[0].as_py()
+        size, key, count, code = (table.column(c)[0].as_py() for c in _PARTS)
         self.ids = ids
-        self.key, self.code = unpack(key), unpack(code, False).astype(np.int64)
+        self.key = unpack(key)
+        self.code = _by_count(unpack(count, False))[unpack(code, False).astype(np.int64)]
         self.first = np.concatenate([[0], np.cumsum(unpack(size, False).astype(np.int64))])
         self.out = np.array([held_out(i) for i in ids], bool)
         self.trains = np.repeat(~self.out, np.diff(self.first))
         self._bits = bits
 
     def pairs(self, order: int):
-        """Distinct contexts of ``order - 1`` tokens, distinct (context, word) by numbers, each token's pair."""
+        """Distinct contexts of ``order - 1`` tokens, numbers of distinct (context, word), each token's pair."""
         token = self.key[self.code]
         back = np.zeros(len(token), _U)
         place = np.arange(len(token)) - np.repeat(self.first[:-1], np.diff(self.first))
@@ -286,10 +303,10 @@ class _Tokens:
             back = mixed(back * _U(0x9E3779B97F4A7C15) + left)
         context, of = ranked(back >> _U(64 - self._bits), self._bits)
         own, word, group = pair_ranks(of, self.code)
-        return context, own, self.key[word] >> _U(64 - WORD_BITS), group
+        return context, own, word, group
 
 
-_MESSAGE = "block long, shard int, kind int, keys binary, sizes binary, words binary, counts binary"
+_MESSAGE = "block long, shard int, kind int, keys binary, sizes binary, words binary, rare binary, counts binary"
 _REPLY = "block long, shard int, kind int, first binary, second binary"
 _STATS = "kind int, n long, v long, once long, twice long"
 _KINDS = {"int": pa.int32(), "binary": pa.binary(), "long": pa.int64()}
@@ -306,12 +323,39 @@ def _borders(own: np.ndarray, n: int) -> np.ndarray:
     return np.searchsorted(own, np.arange(n + 1))
 
 
-def _send(order: int, bits: int, width: int):
+def _often(table: pa.Table, block: int) -> pa.Table:
+    """Words that occur in a block more than once, with their counts there."""
+    key, count = (unpack(table.column(c)[0].as_py(), c == "key") for c in ("key", "count"))
+    more = count > 1
+    return pa.table({"word": (key[more] >> _U(64 - WORD_BITS)).astype(np.int64), "n": count[more].astype(np.int64)})
+
+
+def _book(blocks: DataFrame, n_blocks: int) -> np.ndarray:
+    """Hashes of frequent words, the most frequent first, after a place for all others."""
+    some = blocks.where(F.pmod(F.xxhash64("block"), F.lit(max(1, n_blocks // BOOK_BLOCKS))) == 0)
+    words = some.select("block", "body").mapInArrow(each_block(_often), "word long, n long").groupBy("word").agg(F.sum("n").alias("n"))
+    top = words.orderBy(F.desc("n"), "word").limit(BOOK_WORDS).select("word").toArrow()
+    return np.concatenate([np.zeros(1, _U), top.column(0).to_numpy().astype(_U)])
+
+
+def _places(book: np.ndarray, word: np.ndarray) -> np.ndarray:
+    """Each word's place in the book, or 0."""
+    order = np.argsort(book[1:])
+    had = book[1:][order]
+    if not len(had):
+        return np.zeros(len(word), np.int64)
+    at = np.minimum(np.searchsorted(had, word), len(had) - 1)
+    return np.where(had[at] == word, order[at] + 1, 0)
+
+
+def _send(order: int, bits: int, width: int, book: np.ndarray):
     def send(table: pa.Table, block: int) -> pa.Table:
         t = _Tokens(table, width)
+        name = t.key >> _U(64 - WORD_BITS)
+        place = _places(book, name)
         count = np.bincount(t.code, weights=t.trains, minlength=len(t.key))
         rows = [
-            (block, s, 1, pack(t.key[cut]), None, None, pack(count[cut], False)) for s, cut in by_shard(t.key, bits)
+            (block, s, 1, pack(t.key[cut]), None, None, None, pack(count[cut], False)) for s, cut in by_shard(t.key, bits)
         ]
         for n in range(2, order + 1):
             context, own, word, group = t.pairs(n)
@@ -319,9 +363,10 @@ def _send(order: int, bits: int, width: int):
             border = _borders(own, len(context))
             for s, cut in by_shard(context, bits, width):
                 part = slice(border[cut.start], border[cut.stop])
+                at = place[word[part]]
                 rows.append(
                     (block, s + (n - 1 << bits), n, pack(context[cut]), pack(np.diff(border[cut.start : cut.stop + 1]), False),
-                     pack(word[part], False), pack(count[part], False))
+                     pack(at, False), pack(name[word[part][at == 0]], False), pack(count[part], False))
                 )
         return _table(_MESSAGE, rows)
 
@@ -339,11 +384,13 @@ def _word_totals(table: pa.Table):
     return border, group, np.bincount(group, weights=count).astype(np.int64)
 
 
-def _pair_totals(table: pa.Table, width: int):
+def _pair_totals(table: pa.Table, width: int, book: np.ndarray):
     """Contexts of all messages, their borders, and distinct pairs with totals."""
     context, border = _gather(table, "keys", True)
     sizes = _gather(table, "sizes")[0].astype(np.int64)
-    word, pairs = _gather(table, "words")
+    at, pairs = _gather(table, "words")
+    word = book[at.astype(np.int64)]
+    word[at == 0] = _gather(table, "rare")[0]
     key, of = ranked(context, width)
     names, w = ranked(word, WORD_BITS)
     own, called, group = pair_ranks(np.repeat(of, sizes), w)
@@ -352,16 +399,16 @@ def _pair_totals(table: pa.Table, width: int):
     return border, pairs, of, key, own, names[called], group, total
 
 
-def _stats(width: int):
+def _stats(width: int, book: np.ndarray):
     def count(table: pa.Table) -> pa.Table:
         kind = table.column("kind")[0].as_py()
-        total = _word_totals(table)[2] if kind == 1 else _pair_totals(table, width)[-1]
+        total = _word_totals(table)[2] if kind == 1 else _pair_totals(table, width, book)[-1]
         return _table(_STATS, [(kind, int(total.sum()), *(int(x.sum()) for x in (total > 0, total == 1, total == 2)))])
 
     return count
 
 
-def _answer(width: int):
+def _answer(width: int, book: np.ndarray):
     def answer(table: pa.Table) -> pa.Table:
         kind = table.column("kind")[0].as_py()
         blocks, shards = table.column("block").to_pylist(), table.column("shard").to_pylist()
@@ -369,7 +416,7 @@ def _answer(width: int):
             border, group, total = _word_totals(table)
             codes = [(total[group[a:z]], None) for a, z in zip(border, border[1:], strict=False)]
         else:
-            border, pairs, of, key, own, word, group, total = _pair_totals(table, width)
+            border, pairs, of, key, own, word, group, total = _pair_totals(table, width, book)
             seen = total > 0
             d = discount(*(table.column(x)[0].as_py()[kind - 1] for x in ("once", "twice")))
             with tempfile.NamedTemporaryFile() as f:
@@ -442,11 +489,12 @@ def score_documents(
     """Train on rows not held out and score every row."""
     blocks, layout = in_blocks(docs, block_bytes, shard_keys, _close)
     bits, width = layout.shard_bits, layout.key_bits
-    sent = blocks.select("block", "body").mapInArrow(_send(order, bits, width), _MESSAGE).repartition("shard")
+    book = _book(blocks, layout.n_blocks)
+    sent = blocks.select("block", "body").mapInArrow(_send(order, bits, width, book), _MESSAGE).repartition("shard")
     of = lambda k, c: F.coalesce(F.sum(F.when(F.col("kind") == k, F.col(c))), F.lit(0))
     stats = (
         sent.groupBy("shard")
-        .applyInArrow(_stats(width), _STATS)
+        .applyInArrow(_stats(width, book), _STATS)
         .agg(
             *[of(1, c).alias(c) for c in ("n", "v")],
             *[F.array(*[of(k, c) for k in range(1, order + 1)]).alias(c) for c in ("once", "twice")],
@@ -455,7 +503,7 @@ def score_documents(
     )
     # stats is one row; every order's discount is known before its shards smooth
     counted = sent.withColumn("_all", F.lit(0)).join(F.broadcast(stats.select("_all", "once", "twice")), "_all")
-    replies = counted.drop("_all").groupBy("shard").applyInArrow(_answer(width), _REPLY).withColumn("_all", F.lit(0))
+    replies = counted.drop("_all").groupBy("shard").applyInArrow(_answer(width, book), _REPLY).withColumn("_all", F.lit(0))
     replies = replies.join(F.broadcast(stats), "_all").drop("_all")
     scored = blocks.select("block", "body").groupBy("block").cogroup(replies.groupBy("block"))
     return scored.applyInArrow(_score(order, bits, width), _RESULT)
