@@ -307,7 +307,9 @@ class _Tokens:
 
 
 _MESSAGE = "block long, shard int, kind int, keys binary, sizes binary, words binary, rare binary, counts binary"
-_REPLY = "block long, shard int, kind int, first binary, second binary"
+#: ``first``: counts of words, or the distinct codes after each context; ``kinds``: how many those are;
+#: ``ranks``: each pair's among them; ``second``: back-off codes of contexts.
+_REPLY = "block long, shard int, kind int, first binary, kinds binary, ranks binary, second binary"
 _STATS = "kind int, n long, v long, once long, twice long"
 _KINDS = {"int": pa.int32(), "binary": pa.binary(), "long": pa.int64()}
 
@@ -348,14 +350,21 @@ def _places(book: np.ndarray, word: np.ndarray) -> np.ndarray:
     return np.where(had[at] == word, order[at] + 1, 0)
 
 
+def _wide(width: int) -> int:
+    """Bits that tell words apart when they are counted: more than contexts have."""
+    return min(64, width + 8)
+
+
 def _send(order: int, bits: int, width: int, book: np.ndarray):
     def send(table: pa.Table, block: int) -> pa.Table:
         t = _Tokens(table, width)
         name = t.key >> _U(64 - WORD_BITS)
         place = _places(book, name)
         count = np.bincount(t.code, weights=t.trains, minlength=len(t.key))
+        own = t.key >> _U(64 - _wide(width))
         rows = [
-            (block, s, 1, pack(t.key[cut]), None, None, None, pack(count[cut], False)) for s, cut in by_shard(t.key, bits)
+            (block, s, 1, pack(own[cut]), None, None, None, pack(count[cut], False))
+            for s, cut in by_shard(own, bits, _wide(width))
         ]
         for n in range(2, order + 1):
             context, own, word, group = t.pairs(n)
@@ -377,15 +386,15 @@ def _gather(table: pa.Table, column: str, sort: bool = False):
     return ragged([unpack(x.as_py(), sort) for x in table.column(column)])
 
 
-def _word_totals(table: pa.Table):
+def _word_totals(table: pa.Table, width: int):
     key, border = _gather(table, "keys", True)
     count = _gather(table, "counts")[0].astype(np.int64)
-    _, group = ranked(key)
+    _, group = ranked(key, _wide(width))
     return border, group, np.bincount(group, weights=count).astype(np.int64)
 
 
 def _pair_totals(table: pa.Table, width: int, book: np.ndarray):
-    """Contexts of all messages, their borders, and distinct pairs with totals."""
+    """Contexts of all messages, their borders and sizes, and distinct pairs with totals."""
     context, border = _gather(table, "keys", True)
     sizes = _gather(table, "sizes")[0].astype(np.int64)
     at, pairs = _gather(table, "words")
@@ -396,13 +405,13 @@ def _pair_totals(table: pa.Table, width: int, book: np.ndarray):
     own, called, group = pair_ranks(np.repeat(of, sizes), w)
     count = _gather(table, "counts")[0].astype(np.int64)
     total = np.bincount(group, weights=count, minlength=len(own)).astype(np.int64)
-    return border, pairs, of, key, own, names[called], group, total
+    return border, pairs, sizes, of, key, own, names[called], group, total
 
 
 def _stats(width: int, book: np.ndarray):
     def count(table: pa.Table) -> pa.Table:
         kind = table.column("kind")[0].as_py()
-        total = _word_totals(table)[2] if kind == 1 else _pair_totals(table, width, book)[-1]
+        total = _word_totals(table, width)[2] if kind == 1 else _pair_totals(table, width, book)[-1]
         return _table(_STATS, [(kind, int(total.sum()), *(int(x.sum()) for x in (total > 0, total == 1, total == 2)))])
 
     return count
@@ -413,10 +422,10 @@ def _answer(width: int, book: np.ndarray):
         kind = table.column("kind")[0].as_py()
         blocks, shards = table.column("block").to_pylist(), table.column("shard").to_pylist()
         if kind == 1:
-            border, group, total = _word_totals(table)
-            codes = [(total[group[a:z]], None) for a, z in zip(border, border[1:], strict=False)]
+            border, group, total = _word_totals(table, width)
+            codes = [(total[group[a:z]], None, None, None) for a, z in zip(border, border[1:], strict=False)]
         else:
-            border, pairs, of, key, own, word, group, total = _pair_totals(table, width, book)
+            border, pairs, sizes, of, key, own, word, group, total = _pair_totals(table, width, book)
             seen = total > 0
             d = discount(*(table.column(x)[0].as_py()[kind - 1] for x in ("once", "twice")))
             with tempfile.NamedTemporaryFile() as f:
@@ -425,13 +434,19 @@ def _answer(width: int, book: np.ndarray):
                 level = TrieLevel.map(f.name, toc)
                 first, second = level.look_up(key, own, word)
                 del level
+            # pairs after one context share few codes, so each is sent once and pairs name theirs
+            after = np.repeat(np.arange(len(sizes), dtype=_U), sizes)
+            code, rank = ranked((after << _U(16)) | first[group])
+            start = np.searchsorted(code >> _U(16), np.arange(len(sizes) + 1, dtype=_U))
+            rank -= start[after.astype(np.int64)]
+            code &= _U(LEVELS)
             codes = [
-                (first[group[a:z]], second[of[b:y]])
+                (code[start[b] : start[y]], np.diff(start[b : y + 1]), rank[a:z], second[of[b:y]])
                 for a, z, b, y in zip(pairs, pairs[1:], border, border[1:], strict=False)
             ]
         rows = [
-            (block, shard, kind, pack(one, False), None if two is None else pack(two, False))
-            for block, shard, (one, two) in zip(blocks, shards, codes, strict=True)
+            (block, shard, kind, *(None if part is None else pack(part, False) for part in parts))
+            for block, shard, parts in zip(blocks, shards, codes, strict=True)
         ]
         return _table(_REPLY, rows)
 
@@ -451,7 +466,7 @@ def _score(order: int, bits: int, width: int):
         if not table.num_rows:
             return pa.table([pa.array([], k) for k in kinds], names)
         t = _Tokens(opened(table.column("body")[0].as_buffer()), width)
-        col = {c: replies.column(c).to_pylist() for c in ("shard", "first", "second")}
+        col = {c: replies.column(c).to_pylist() for c in ("shard", "first", "kinds", "ranks", "second")}
         at = {s: i for i, s in enumerate(col["shard"])}
         n, v, once, twice = (replies.column(c)[0].as_py() for c in ("n", "v", "once", "twice"))
 
@@ -465,7 +480,9 @@ def _score(order: int, bits: int, width: int):
             context, own, _, group = t.pairs(k)
             shards = [s + (k - 1 << bits) for s, _ in by_shard(context, bits, width)]
             weight = value(read(shards, "second"))
-            p = value(read(shards, "first"))[group] + weight[own][group] * p
+            many = read(shards, "kinds")
+            first = read(shards, "first")[(np.cumsum(many) - many)[own] + read(shards, "ranks")]
+            p = value(first)[group] + weight[own][group] * p
         first = t.first[:-1]
         base = np.log10((c + ADDED) / (n + ADDED * (v + 1)))
         known = np.add.reduceat((c > 0).astype(np.int64), first)

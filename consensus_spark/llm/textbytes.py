@@ -6,6 +6,7 @@ occur inside a multi-byte character, so runs of bytes are runs of characters.
 
 from __future__ import annotations
 
+import struct
 from dataclasses import dataclass
 
 import numpy as np
@@ -126,17 +127,40 @@ def whole_windows(first: np.ndarray, k: int) -> np.ndarray:
     return np.arange(n) + k <= left
 
 
+#: Ends a packed value of which most entries are alike: number of entries, that entry, bytes of the bit map.
+_ALIKE = struct.Struct("<QQQB")
+
+
 def pack(values: np.ndarray, sort: bool = True) -> bytes:
-    """Unsigned values, as gaps if rising, split into byte planes and compressed."""
+    """Unsigned values, as gaps if rising, split into byte planes and compressed.
+
+    Where over two thirds are the same, a bit tells the others, and those alone are split.
+    """
     v = np.asarray(values, _U)
+    if not sort and len(v) > 64:
+        usual = np.partition(v, len(v) // 2)[len(v) // 2]
+        other = v != usual
+        if 3 * np.count_nonzero(other) < len(v):
+            bits = zstandard.ZstdCompressor(level=1).compress(np.packbits(other).tobytes())
+            return _planes(v[other]) + bits + _ALIKE.pack(len(v), int(usual), len(bits), 255)
     if sort and len(v):
         v = np.concatenate([v[:1], np.diff(v)])
+    return _planes(v)
+
+
+def _planes(v: np.ndarray) -> bytes:
     planes = np.ascontiguousarray(v.astype("<u8").view(np.uint8).reshape(-1, 8).T)
     used = int(np.flatnonzero(planes.any(axis=1))[-1]) + 1 if len(v) and planes.any() else 1
     return zstandard.ZstdCompressor(level=1).compress(planes[:used].tobytes()) + bytes([used])
 
 
 def unpack(blob: bytes, sort: bool = True) -> np.ndarray:
+    if blob[-1] == 255:
+        n, usual, size, _ = _ALIKE.unpack(blob[-_ALIKE.size :])
+        bits = zstandard.ZstdDecompressor().decompress(blob[-_ALIKE.size - size : -_ALIKE.size])
+        v = np.full(n, usual, _U)
+        v[np.unpackbits(np.frombuffer(bits, np.uint8), count=n).view(bool)] = unpack(blob[: -_ALIKE.size - size], False)
+        return v
     used = blob[-1]
     raw = np.frombuffer(zstandard.ZstdDecompressor().decompress(blob[:-1]), np.uint8)
     n = len(raw) // used

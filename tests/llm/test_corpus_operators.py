@@ -247,6 +247,15 @@ def test_elias_fano_successor():
             assert (e.at(np.arange(len(v))) == v).all()
 
 
+@pytest.mark.parametrize("other", [0, 3, 30, 99])
+def test_packed_values_come_back(other):
+    rng = np.random.default_rng(other)
+    for n in (0, 1, 64, 65, 5000):
+        v = np.where(rng.integers(0, 100, n) < other, rng.integers(0, 1 << 63, n), 7).astype(np.uint64)
+        assert (textbytes.unpack(textbytes.pack(v, False), False) == v).all()
+        assert (textbytes.unpack(textbytes.pack(np.sort(v))) == np.sort(v)).all()
+
+
 def test_ranks_of_keys_alike_in_their_leading_bits():
     rng = np.random.default_rng(3)
     for keys, width in ((rng.integers(0, 50, 999), 6), (rng.integers(0, 50, 999) + (1 << 62), 64), (rng.integers(0, 1 << 62, 99), 64)):
