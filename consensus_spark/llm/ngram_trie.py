@@ -13,6 +13,8 @@ many shards; levels are not linked to each other.
 The trie is cut by hash of the context.  Document blocks send each shard their
 distinct n-grams with training counts; the shard builds its trie from them and
 answers every n-gram from the mapped levels, so no machine holds the whole model.
+Words are not counted apart: every word of a text is followed by a token, so its count is
+the total of its bigram context, and the end token's is that of the text's beginning.
 
 Smoothing: interpolated absolute discounting down to the unigram level, with one
 discount per order from the counts of all shards; the discounted unigram mass belongs to the class of unknown words.
@@ -300,16 +302,21 @@ class _Tokens:
             left = np.full(len(token), BEGIN, _U)
             left[k:] = token[:-k]
             left[place < k] = BEGIN
-            back = mixed(back * _U(0x9E3779B97F4A7C15) + left)
-        context, of = ranked(back >> _U(64 - self._bits), self._bits)
+            back = left if k == 1 else mixed(back * _U(0x9E3779B97F4A7C15) + left)
+        bits = _key_bits(order, self._bits)
+        context, of = ranked(back >> _U(64 - bits), bits)
         own, word, group = pair_ranks(of, self.code)
         return context, own, word, group
 
+    def as_contexts(self) -> np.ndarray:
+        """The bigram context whose total is each distinct token's count."""
+        return np.where(self.key == END, BEGIN, self.key) >> _U(64 - _key_bits(2, self._bits))
+
 
 _MESSAGE = "block long, shard int, kind int, keys binary, sizes binary, words binary, rare binary, counts binary"
-#: ``first``: counts of words, or the distinct codes after each context; ``kinds``: how many those are;
-#: ``ranks``: each pair's among them; ``second``: back-off codes of contexts.
-_REPLY = "block long, shard int, kind int, first binary, kinds binary, ranks binary, second binary"
+#: ``first``: the distinct codes after each context; ``kinds``: how many those are; ``ranks``: each pair's
+#: among them; ``second``: back-off codes of contexts; ``totals``: their counts (bigrams only).
+_REPLY = "block long, shard int, kind int, first binary, kinds binary, ranks binary, second binary, totals binary"
 _STATS = "kind int, n long, v long, once long, twice long"
 _KINDS = {"int": pa.int32(), "binary": pa.binary(), "long": pa.int64()}
 
@@ -350,9 +357,14 @@ def _places(book: np.ndarray, word: np.ndarray) -> np.ndarray:
     return np.where(had[at] == word, order[at] + 1, 0)
 
 
-def _wide(width: int) -> int:
-    """Bits that tell words apart when they are counted: more than contexts have."""
-    return min(64, width + 8)
+def _key_bits(order: int, width: int) -> int:
+    """Bits that tell an order's contexts apart: more for single words, which they count."""
+    return min(64, width + 8) if order == 2 else width
+
+
+def _orders(order: int) -> range:
+    """Orders of which pairs are sent; bigrams always, for the words' counts."""
+    return range(2, max(2, order) + 1)
 
 
 def _send(order: int, bits: int, width: int, book: np.ndarray):
@@ -360,17 +372,12 @@ def _send(order: int, bits: int, width: int, book: np.ndarray):
         t = _Tokens(table, width)
         name = t.key >> _U(64 - WORD_BITS)
         place = _places(book, name)
-        count = np.bincount(t.code, weights=t.trains, minlength=len(t.key))
-        own = t.key >> _U(64 - _wide(width))
-        rows = [
-            (block, s, 1, pack(own[cut]), None, None, None, pack(count[cut], False))
-            for s, cut in by_shard(own, bits, _wide(width))
-        ]
-        for n in range(2, order + 1):
+        rows = []
+        for n in _orders(order):
             context, own, word, group = t.pairs(n)
             count = np.bincount(group, weights=t.trains, minlength=len(own))
             border = _borders(own, len(context))
-            for s, cut in by_shard(context, bits, width):
+            for s, cut in by_shard(context, bits, _key_bits(n, width)):
                 part = slice(border[cut.start], border[cut.stop])
                 at = place[word[part]]
                 rows.append(
@@ -386,33 +393,31 @@ def _gather(table: pa.Table, column: str, sort: bool = False):
     return ragged([unpack(x.as_py(), sort) for x in table.column(column)])
 
 
-def _word_totals(table: pa.Table, width: int):
-    key, border = _gather(table, "keys", True)
-    count = _gather(table, "counts")[0].astype(np.int64)
-    _, group = ranked(key, _wide(width))
-    return border, group, np.bincount(group, weights=count).astype(np.int64)
-
-
 def _pair_totals(table: pa.Table, width: int, book: np.ndarray):
-    """Contexts of all messages, their borders and sizes, and distinct pairs with totals."""
+    """Contexts of all messages, their borders and sizes, distinct pairs with totals, and contexts' totals."""
     context, border = _gather(table, "keys", True)
     sizes = _gather(table, "sizes")[0].astype(np.int64)
     at, pairs = _gather(table, "words")
     word = book[at.astype(np.int64)]
     word[at == 0] = _gather(table, "rare")[0]
-    key, of = ranked(context, width)
+    key, of = ranked(context, _key_bits(table.column("kind")[0].as_py(), width))
     names, w = ranked(word, WORD_BITS)
     own, called, group = pair_ranks(np.repeat(of, sizes), w)
     count = _gather(table, "counts")[0].astype(np.int64)
     total = np.bincount(group, weights=count, minlength=len(own)).astype(np.int64)
-    return border, pairs, sizes, of, key, own, names[called], group, total
+    after = np.bincount(own, weights=total, minlength=len(key)).astype(np.int64)
+    return border, pairs, sizes, of, key, own, names[called], group, total, after
 
 
 def _stats(width: int, book: np.ndarray):
     def count(table: pa.Table) -> pa.Table:
         kind = table.column("kind")[0].as_py()
-        total = _word_totals(table, width)[2] if kind == 1 else _pair_totals(table, width, book)[-1]
-        return _table(_STATS, [(kind, int(total.sum()), *(int(x.sum()) for x in (total > 0, total == 1, total == 2)))])
+        *_, pairs, contexts = _pair_totals(table, width, book)
+        told = {kind: pairs} | ({1: contexts} if kind == 2 else {})
+        return _table(
+            _STATS,
+            [(k, int(t.sum()), *(int(x.sum()) for x in (t > 0, t == 1, t == 2))) for k, t in told.items()],
+        )
 
     return count
 
@@ -421,29 +426,25 @@ def _answer(width: int, book: np.ndarray):
     def answer(table: pa.Table) -> pa.Table:
         kind = table.column("kind")[0].as_py()
         blocks, shards = table.column("block").to_pylist(), table.column("shard").to_pylist()
-        if kind == 1:
-            border, group, total = _word_totals(table, width)
-            codes = [(total[group[a:z]], None, None, None) for a, z in zip(border, border[1:], strict=False)]
-        else:
-            border, pairs, sizes, of, key, own, word, group, total = _pair_totals(table, width, book)
-            seen = total > 0
-            d = discount(*(table.column(x)[0].as_py()[kind - 1] for x in ("once", "twice")))
-            with tempfile.NamedTemporaryFile() as f:
-                toc = TrieLevel.build(key[own[seen]], word[seen], total[seen], d).save(f)
-                f.flush()
-                level = TrieLevel.map(f.name, toc)
-                first, second = level.look_up(key, own, word)
-                del level
-            # pairs after one context share few codes, so each is sent once and pairs name theirs
-            after = np.repeat(np.arange(len(sizes), dtype=_U), sizes)
-            code, rank = ranked((after << _U(16)) | first[group])
-            start = np.searchsorted(code >> _U(16), np.arange(len(sizes) + 1, dtype=_U))
-            rank -= start[after.astype(np.int64)]
-            code &= _U(LEVELS)
-            codes = [
-                (code[start[b] : start[y]], np.diff(start[b : y + 1]), rank[a:z], second[of[b:y]])
-                for a, z, b, y in zip(pairs, pairs[1:], border, border[1:], strict=False)
-            ]
+        border, pairs, sizes, of, key, own, word, group, total, after = _pair_totals(table, width, book)
+        seen = total > 0
+        d = discount(*(table.column(x)[0].as_py()[kind - 1] for x in ("once", "twice")))
+        with tempfile.NamedTemporaryFile() as f:
+            toc = TrieLevel.build(key[own[seen]], word[seen], total[seen], d).save(f)
+            f.flush()
+            level = TrieLevel.map(f.name, toc)
+            first, second = level.look_up(key, own, word)
+            del level
+        # pairs after one context share few codes, so each is sent once and pairs name theirs
+        of_pair = np.repeat(np.arange(len(sizes), dtype=_U), sizes)
+        code, rank = ranked((of_pair << _U(16)) | first[group])
+        start = np.searchsorted(code >> _U(16), np.arange(len(sizes) + 1, dtype=_U))
+        rank -= start[of_pair.astype(np.int64)]
+        code &= _U(LEVELS)
+        codes = [
+            (code[start[b] : start[y]], np.diff(start[b : y + 1]), rank[a:z], second[of[b:y]], after[of[b:y]] if kind == 2 else None)
+            for a, z, b, y in zip(pairs, pairs[1:], border, border[1:], strict=False)
+        ]
         rows = [
             (block, shard, kind, *(None if part is None else pack(part, False) for part in parts))
             for block, shard, parts in zip(blocks, shards, codes, strict=True)
@@ -466,19 +467,22 @@ def _score(order: int, bits: int, width: int):
         if not table.num_rows:
             return pa.table([pa.array([], k) for k in kinds], names)
         t = _Tokens(opened(table.column("body")[0].as_buffer()), width)
-        col = {c: replies.column(c).to_pylist() for c in ("shard", "first", "kinds", "ranks", "second")}
+        col = {c: replies.column(c).to_pylist() for c in ("shard", "first", "kinds", "ranks", "second", "totals")}
         at = {s: i for i, s in enumerate(col["shard"])}
         n, v, once, twice = (replies.column(c)[0].as_py() for c in ("n", "v", "once", "twice"))
 
         def read(shards: list[int], side: str) -> np.ndarray:
             return np.concatenate([unpack(col[side][at[s]], False) for s in shards]).astype(np.int64)
 
-        c = read([s for s, _ in by_shard(t.key, bits)], "first")[t.code]
-        d = discount(once[0], twice[0])
-        p = np.where(c > 0, (c - d) / n, d * v / n) if n else np.ones(len(c))
-        for k in range(2, order + 1):
+        for k in _orders(order):
             context, own, _, group = t.pairs(k)
-            shards = [s + (k - 1 << bits) for s, _ in by_shard(context, bits, width)]
+            shards = [s + (k - 1 << bits) for s, _ in by_shard(context, bits, _key_bits(k, width))]
+            if k == 2:
+                c = read(shards, "totals")[np.searchsorted(context, t.as_contexts())][t.code]
+                d = discount(once[0], twice[0])
+                p = np.where(c > 0, (c - d) / n, d * v / n) if n else np.ones(len(c))
+            if k > order:
+                break
             weight = value(read(shards, "second"))
             many = read(shards, "kinds")
             first = read(shards, "first")[(np.cumsum(many) - many)[own] + read(shards, "ranks")]
