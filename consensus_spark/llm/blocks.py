@@ -135,17 +135,18 @@ def ragged(parts: list[np.ndarray]) -> tuple[np.ndarray, np.ndarray]:
     return (np.concatenate(parts) if parts else np.zeros(0, np.uint64)), border
 
 
-def ranked(keys: np.ndarray, width: int = 64) -> tuple[np.ndarray, np.ndarray]:
-    """Distinct keys of ``width`` bits, rising, and each key's rank among them.
+def ranked(keys: np.ndarray) -> tuple[np.ndarray, np.ndarray]:
+    """Distinct keys, rising, and each key's rank among them.
 
     Sorts values that carry their place in the low bits, several times faster than
-    sorting places; where keys that differ in those bits alone stand wrong, all are
-    sorted the plain way.
+    sorting places; leading bits that all keys share make room.  Where keys that differ
+    in the bits left out alone stand wrong, all are sorted the plain way.
     """
     n = len(keys)
     bits = max(1, n.bit_length())
     low = np.uint64((1 << bits) - 1)
-    high = keys << np.uint64(max(0, min(bits, 64 - width)))
+    width = int(keys.max() ^ keys.min()).bit_length() if n else 0
+    high = keys << np.uint64(min(bits, 64 - width))
     order = (np.sort((high & ~low) | np.arange(n, dtype=np.uint64)) & low).astype(np.int64)
     k = keys[order]
     if (k[1:] < k[:-1]).any():
@@ -162,7 +163,7 @@ def pair_ranks(first: np.ndarray, second: np.ndarray) -> tuple[np.ndarray, np.nd
     """Distinct pairs of two rank arrays, rising, and each row's pair number."""
     if not len(first):
         return first, second, first
-    narrow, wide = int(first.max()).bit_length(), int(second.max()).bit_length()
+    wide = int(second.max()).bit_length()
     own = np.uint64(wide)
-    both, row = ranked((first.astype(np.uint64) << own) | second.astype(np.uint64), max(1, narrow + wide))
+    both, row = ranked((first.astype(np.uint64) << own) | second.astype(np.uint64))
     return (both >> own).astype(np.int64), (both & np.uint64((1 << wide) - 1)).astype(np.int64), row

@@ -94,14 +94,15 @@ class Bits:
 
     def _inside(self, word: np.ndarray, i: np.ndarray) -> np.ndarray:
         """Place of one number i of each word, by halves."""
-        word, at = word.copy(), np.zeros(len(i), np.int64)
+        word, at, i = word.copy(), np.zeros(len(i), np.uint8), i.astype(np.uint8)
         for half in (32, 16, 8, 4, 2, 1):
-            below = np.bitwise_count(word & _U((1 << half) - 1)).astype(np.int64)
+            below = np.bitwise_count(word & _U((1 << half) - 1))
             over = i >= below
-            i = i - below * over
-            at += half * over
-            word >>= (over * half).astype(_U)
-        return at
+            i -= below * over
+            step = over * np.uint8(half)
+            at += step
+            word >>= step.astype(_U)
+        return at.astype(np.int64)
 
     def one(self, i: np.ndarray) -> np.ndarray:
         """Position of one number i (from 0)."""
@@ -114,6 +115,14 @@ class Bits:
         w = np.searchsorted(zeros, i, side="right") - 1
         return 64 * w + self._inside(~self.words[w], i - zeros[w])
 
+    def next_zero(self, p: np.ndarray, i: np.ndarray) -> np.ndarray:
+        """Position of zero number i, known to be the first from p on."""
+        left = ~self.words[p >> 6] >> (p & 63).astype(_U)
+        at = p + np.bitwise_count((left & (~left + _U(1))) - _U(1))
+        far = np.flatnonzero(left == 0)  # a run of ones goes on into other words
+        at[far] = self.zero(i[far])
+        return at
+
 
 class EliasFano:
     """A rising sequence above ``base``: low bits packed, high bits as gaps in unary."""
@@ -166,8 +175,9 @@ class EliasFano:
         # zeros of the high part enclose the values that share q's high part
         most = 64 * len(self.high.words) - self.n - 1
         top = np.minimum((q >> _U(self.low_bits)).astype(np.int64), most)
-        a = np.where(top > 0, self.high.zero(np.maximum(top - 1, 0)) + 1 - top, 0)
-        z = np.maximum(np.minimum(self.high.zero(top) - top, self.n), a)
+        run = np.where(top > 0, self.high.zero(np.maximum(top - 1, 0)) + 1, 0)
+        a = run - top
+        z = np.maximum(np.minimum(self.high.next_zero(run, top) - top, self.n), a)
         if begin is not None:
             a, z = np.clip(a, begin, end), np.clip(z, begin, end)
         a, z = np.minimum(a, self.n), np.minimum(z, self.n)
@@ -304,7 +314,7 @@ class _Tokens:
             left[place < k] = BEGIN
             back = left if k == 1 else mixed(back * _U(0x9E3779B97F4A7C15) + left)
         bits = _key_bits(order, self._bits)
-        context, of = ranked(back >> _U(64 - bits), bits)
+        context, of = ranked(back >> _U(64 - bits))
         own, word, group = pair_ranks(of, self.code)
         return context, own, word, group
 
@@ -400,8 +410,8 @@ def _pair_totals(table: pa.Table, width: int, book: np.ndarray):
     at, pairs = _gather(table, "words")
     word = book[at.astype(np.int64)]
     word[at == 0] = _gather(table, "rare")[0]
-    key, of = ranked(context, _key_bits(table.column("kind")[0].as_py(), width))
-    names, w = ranked(word, WORD_BITS)
+    key, of = ranked(context)
+    names, w = ranked(word)
     own, called, group = pair_ranks(np.repeat(of, sizes), w)
     count = _gather(table, "counts")[0].astype(np.int64)
     total = np.bincount(group, weights=count, minlength=len(own)).astype(np.int64)

@@ -70,7 +70,7 @@ class _Block:
         self.known = known[w.text_of[self.at]]
         self._h = h
         self.short = self.hash >> _FIRST_BITS
-        self.keys, self.key_of = ranked(self.short, 64 - int(_FIRST_BITS))
+        self.keys, self.key_of = ranked(self.short)
 
     def second(self) -> np.ndarray:
         """Independent 32-bit hash of the same windows."""
