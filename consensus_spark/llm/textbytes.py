@@ -148,10 +148,28 @@ def pack(values: np.ndarray, sort: bool = True) -> bytes:
     return _planes(v)
 
 
+#: Values from which on each byte plane has its own compressed frame, so that even planes do not spoil the codes of others.
+_APART = 512
+_FRAMES = 16
+
+
 def _planes(v: np.ndarray) -> bytes:
     planes = np.ascontiguousarray(v.astype("<u8").view(np.uint8).reshape(-1, 8).T)
     used = int(np.flatnonzero(planes.any(axis=1))[-1]) + 1 if len(v) and planes.any() else 1
-    return zstandard.ZstdCompressor(level=1).compress(planes[:used].tobytes()) + bytes([used])
+    z = zstandard.ZstdCompressor(level=1)
+    if len(v) < _APART:
+        return z.compress(planes[:used].tobytes()) + bytes([used])
+    frames = [z.compress(p.tobytes()) for p in planes[:used]]
+    return b"".join(frames) + struct.pack(f"<{used}Q", *map(len, frames)) + bytes([used | _FRAMES])
+
+
+def _raw(blob: bytes) -> tuple[bytes, int]:
+    """The byte planes end to end, and how many they are."""
+    z, used = zstandard.ZstdDecompressor(), blob[-1] & (_FRAMES - 1)
+    if not blob[-1] & _FRAMES:
+        return z.decompress(blob[:-1]), used
+    border = np.cumsum([0, *struct.unpack(f"<{used}Q", blob[-1 - 8 * used : -1])])
+    return b"".join(z.decompress(blob[a:b]) for a, b in zip(border, border[1:], strict=False)), used
 
 
 def unpack(blob: bytes, sort: bool = True) -> np.ndarray:
@@ -161,8 +179,8 @@ def unpack(blob: bytes, sort: bool = True) -> np.ndarray:
         v = np.full(n, usual, _U)
         v[np.unpackbits(np.frombuffer(bits, np.uint8), count=n).view(bool)] = unpack(blob[: -_ALIKE.size - size], False)
         return v
-    used = blob[-1]
-    raw = np.frombuffer(zstandard.ZstdDecompressor().decompress(blob[:-1]), np.uint8)
+    body, used = _raw(blob)
+    raw = np.frombuffer(body, np.uint8)
     n = len(raw) // used
     wide = np.zeros((n, 8), np.uint8)
     wide[:, :used] = raw.reshape(used, n).T

@@ -250,7 +250,7 @@ def test_elias_fano_successor():
 @pytest.mark.parametrize("other", [0, 3, 30, 99])
 def test_packed_values_come_back(other):
     rng = np.random.default_rng(other)
-    for n in (0, 1, 64, 65, 5000):
+    for n in (0, 1, 64, 65, 511, 512, 5000):
         v = np.where(rng.integers(0, 100, n) < other, rng.integers(0, 1 << 63, n), 7).astype(np.uint64)
         assert (textbytes.unpack(textbytes.pack(v, False), False) == v).all()
         assert (textbytes.unpack(textbytes.pack(np.sort(v))) == np.sort(v)).all()
