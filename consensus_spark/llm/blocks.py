@@ -135,17 +135,19 @@ def ragged(parts: list[np.ndarray]) -> tuple[np.ndarray, np.ndarray]:
     return (np.concatenate(parts) if parts else np.zeros(0, np.uint64)), border
 
 
-def ranked(keys: np.ndarray) -> tuple[np.ndarray, np.ndarray]:
+def ranked(keys: np.ndarray, width: int | None = None) -> tuple[np.ndarray, np.ndarray]:
     """Distinct keys, rising, and each key's rank among them.
 
     Sorts values that carry their place in the low bits, several times faster than
-    sorting places; leading bits that all keys share make room.  Where keys that differ
-    in the bits left out alone stand wrong, all are sorted the plain way.
+    sorting places; leading bits that all keys share make room (``width`` bits follow
+    them; found if not given).  Where keys that differ in the bits left out alone stand
+    wrong, all are sorted the plain way.
     """
     n = len(keys)
     bits = max(1, n.bit_length())
     low = np.uint64((1 << bits) - 1)
-    width = int(keys.max() ^ keys.min()).bit_length() if n else 0
+    if width is None:
+        width = int(keys.max() ^ keys.min()).bit_length() if n else 0
     high = keys << np.uint64(min(bits, 64 - width))
     order = (np.sort((high & ~low) | np.arange(n, dtype=np.uint64)) & low).astype(np.int64)
     k = keys[order]

@@ -260,8 +260,9 @@ def test_ranks_of_keys_alike_in_their_leading_bits():
     rng = np.random.default_rng(3)
     for keys, width in ((rng.integers(0, 50, 999), 6), (rng.integers(0, 50, 999) + (1 << 62), 64), (rng.integers(0, 1 << 62, 99), 64)):
         want, rank = np.unique(keys.astype(np.uint64), return_inverse=True)
-        got = blocks.ranked(keys.astype(np.uint64), width)
-        assert (got[0] == want).all() and (got[1] == rank).all()
+        for known in (width, None):
+            got = blocks.ranked(keys.astype(np.uint64), known)
+            assert (got[0] == want).all() and (got[1] == rank).all()
 
 
 def test_mixture(docs, empty):
