@@ -59,22 +59,12 @@ def _(spark, d):
 
 @query(
     "o_range_iterations",
-    f"""{O.path_cover()}, c AS (SELECT k, cutoff, sum(cutoff) OVER (ORDER BY k) AS hi FROM schedule WHERE k <= 200)
+    f"""{O.path_cover()}, c AS (SELECT k, cutoff, sum(cutoff) OVER (ORDER BY k) AS hi FROM schedule)
   SELECT c.k, count(*) AS n FROM c JOIN events e ON e.value > c.hi - c.cutoff AND e.value <= c.hi GROUP BY c.k""",
 )
 def _(spark, d):
     """Events whose value falls in an iteration's stretch of the clock (interval join by buckets)."""
-    return _in_stretches(spark, d, path_cover_schedule(trace(spark, d), graphs.SIX_COVER).filter("k <= 200"))
-
-
-@query("o_range_iterations_all")
-def _(spark, d):
-    """The same over all iterations; its twin's range join is quadratic."""
-    return _in_stretches(spark, d, path_cover_schedule(trace(spark, d), graphs.SIX_COVER))
-
-
-def _in_stretches(spark, d, schedule):
-    s = schedule.select("k", F.col("cutoff").alias("duration"))
+    s = path_cover_schedule(trace(spark, d), graphs.SIX_COVER).select("k", F.col("cutoff").alias("duration"))
     c = timing.clock(s).select("k", (F.col("clock") - F.col("duration")).alias("lo"), F.col("clock").alias("hi"))
     width = 50.0
     cells = c.withColumn("cell", F.explode(F.sequence(F.floor(F.col("lo") / width), F.floor(F.col("hi") / width))))
