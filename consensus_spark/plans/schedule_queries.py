@@ -180,11 +180,8 @@ def _(spark, d):
     return path_cover_schedule(trace(spark, d), graphs.SIX_COVER, warmup_full=True)
 
 
-@query(
-    "m11_schedule_ties_all",
-    f"""WITH RECURSIVE {O.times()}, {O.cover_values()}, {O.LINKS},
-  ls AS (SELECT k, list(struct_pack(c := c, lid := lid) ORDER BY c, lid) AS links FROM lt GROUP BY k),
-  fold AS (
+#: Needs ls, the links of each iteration by cost.
+_TIES_ALL = """fold_all AS (
     SELECT CAST(0 AS INT) AS k, CAST(0 AS INT) AS epoch, CAST(0 AS INT) AS step, CAST(NULL AS INT) AS lid,
       CAST(NULL AS DOUBLE) AS cutoff, CAST(0 AS INT) AS n_tied, CAST([] AS INT[]) AS used, CAST([] AS INT[]) AS held
     UNION ALL
@@ -195,8 +192,15 @@ def _(spark, d):
         list_filter(s.links, lambda x: NOT list_contains(f.used, x.lid)) AS free,
         list_transform(list_filter(s.links, lambda x: NOT list_contains(f.used, x.lid) AND x.c =
           list_filter(s.links, lambda y: NOT list_contains(f.used, y.lid))[1].c), lambda x: x.lid) AS tied
-      FROM fold f JOIN ls s ON s.k = f.k + 1) q)
-  SELECT k, epoch, step, lid, cutoff, n_tied FROM fold WHERE k > 0""",
+      FROM fold_all f JOIN ls s ON s.k = f.k + 1) q)"""
+
+
+@query(
+    "m11_schedule_ties_all",
+    f"""WITH RECURSIVE {O.times()}, {O.cover_values()}, {O.LINKS},
+  ls AS (SELECT k, list(struct_pack(c := c, lid := lid) ORDER BY c, lid) AS links FROM lt GROUP BY k),
+  {_TIES_ALL}
+  SELECT k, epoch, step, lid, cutoff, n_tied FROM fold_all WHERE k > 0""",
 )
 def _(spark, d):
     return path_cover_schedule(trace(spark, d), graphs.SIX_COVER, ties="all")
@@ -640,9 +644,44 @@ def _(spark, d):
     return r.join(F.broadcast(b), F.lit(True)).select(rounded("reduction").alias("reduction"), rounded("mean_backup").alias("mean_backup"), rounded("mean_degree").alias("mean_degree"))
 
 
-@query("w17_policies")
+def _size(df: DataFrame, name: str) -> DataFrame:
+    return df.agg(F.count(F.lit(1)).alias(name))
+
+
+_POLICIES = ", ".join(
+    f"('{name}', {edges})"
+    for name, edges in (
+        ("full", 16), ("path_cover", 16), ("path_cover_ties_all", 16), ("fastest1_mutual", 16), ("fastest2_mutual", 16),
+        ("fastest2_union", 16), ("fixed_40", 16), ("median_cutoff", 16), ("server_backup2", 30), ("none", 16),
+    )
+)
+
+
+@query(
+    "w17_policies",
+    f"""{O.path_cover()}, {_TIES_ALL}, {_RANKED},
+  cuts AS (SELECT 'path_cover_ties_all' AS policy, k, cutoff FROM fold_all WHERE k > 0
+    UNION ALL SELECT 'fixed_40', k, 40.0::DOUBLE FROM times GROUP BY k
+    UNION ALL SELECT 'median_cutoff', k, quantile_cont(t, 0.5) FROM times GROUP BY k),
+  taken AS (SELECT k, worker FROM times QUALIFY row_number() OVER (PARTITION BY k ORDER BY t, worker) <= 4),
+  met AS (SELECT x.k, x.src, x.dst, greatest(x.r, y.r) AS r FROM ranked x JOIN ranked y ON y.k = x.k AND y.src = x.dst AND y.dst = x.src),
+  waited AS (SELECT 'full' AS policy, t.k, e.src, e.dst FROM times t JOIN edges e ON e.src = t.worker
+    UNION ALL SELECT 'path_cover', k, src, dst FROM active
+    UNION ALL SELECT c.policy, x.k, e.src, e.dst FROM cuts c JOIN times x ON x.k = c.k JOIN edges e ON e.src = x.worker
+      JOIN times y ON y.k = x.k AND y.worker = e.dst WHERE x.t <= c.cutoff AND y.t <= c.cutoff
+    UNION ALL SELECT 'fastest1_mutual', k, src, dst FROM met WHERE r <= 1
+    UNION ALL SELECT 'fastest2_mutual', k, src, dst FROM met WHERE r <= 2
+    UNION ALL SELECT 'fastest2_union', * FROM (SELECT k, src, dst FROM ranked WHERE r <= 2 UNION SELECT k, dst, src FROM ranked WHERE r <= 2)
+    UNION ALL SELECT 'server_backup2', x.k, x.worker, y.worker FROM taken x JOIN taken y ON y.k = x.k AND y.worker <> x.worker),
+  per AS (SELECT w.policy, w.k, max(t.t) AS duration, count(*) AS n FROM waited w
+    JOIN times t ON t.k = w.k AND t.worker = w.src GROUP BY w.policy, w.k),
+  base AS (SELECT k, max(t) AS f FROM times GROUP BY k)
+  SELECT p.policy, round(avg(coalesce(duration, 0)), 6) AS mean_duration, round(1 - avg(coalesce(duration, 0)) / avg(f), 6) AS reduction,
+    round(max(p.n_edges) - avg(coalesce(n, 0)), 6) AS mean_backups
+  FROM (VALUES {_POLICIES}) p(policy, n_edges) CROSS JOIN base b LEFT JOIN per x ON x.policy = p.policy AND x.k = b.k GROUP BY p.policy""",
+)
 def _(spark, d):
-    """Every waiting policy on one trace: mean duration, reduction, mean backups, late share."""
+    """Every waiting policy on one trace: mean duration, its reduction, and mean backups of an iteration."""
     t, e, out = trace(spark, d), six(spark), None
     base = t.groupBy("k").agg(F.max("t").alias("duration"))
     policies = {
@@ -657,8 +696,12 @@ def _(spark, d):
         dur = timing.iteration_duration(p.active, t)
         r = timing.duration_reduction(base, dur)
         m = timing.duration_estimate(dur)
-        row = r.join(F.broadcast(m), F.lit(True)).select(
-            F.lit(name).alias("policy"), rounded("estimate").alias("mean_duration"), rounded("reduction").alias("reduction")
+        row = r
+        for one in (m, _size(p.active, "kept"), _size(base, "n"), _size(p.edges, "edges")):  # one row each
+            row = row.join(F.broadcast(one), F.lit(True))
+        row = row.select(
+            F.lit(name).alias("policy"), rounded("estimate").alias("mean_duration"), rounded("reduction").alias("reduction"),
+            rounded(F.col("edges") - F.col("kept") / F.col("n")).alias("mean_backups"),
         )
         out = row if out is None else out.unionByName(row)
     return out
