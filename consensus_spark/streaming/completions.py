@@ -15,6 +15,7 @@ from pyspark.sql import DataFrame
 from pyspark.sql import functions as F
 from pyspark.sql.streaming.state import GroupStateTimeout
 
+from consensus_spark.plans.durable import shared_dir
 from consensus_spark.sources.graphs import Links
 
 _STATE = "k int, open string, used string"
@@ -79,8 +80,16 @@ def heartbeats(events: DataFrame, n: int, gap: str = "30 minutes") -> DataFrame:
 
 
 def replay(stream: DataFrame, name: str, mode: str = "append") -> DataFrame:
-    """Run a replayed file stream to its end into memory and return the rows."""
+    """Run a replayed file stream to its end and return the rows.
+
+    Appended rows grow with the stream and go to Parquet in the shared folder; a
+    complete result is one row per group and is kept in memory.
+    """
     spark = stream.sparkSession
-    q = stream.writeStream.format("memory").queryName(name).outputMode(mode).trigger(availableNow=True).start()
-    q.awaitTermination()
-    return spark.table(name)
+    path = f"{shared_dir(spark)}/stream-{name}"
+    out = stream.writeStream.outputMode(mode).trigger(availableNow=True).option("checkpointLocation", f"{path}/state")
+    if mode == "complete":
+        out.format("memory").queryName(name).start().awaitTermination()
+        return spark.table(name)
+    out.format("parquet").start(f"{path}/rows").awaitTermination()
+    return spark.read.schema(stream.schema).parquet(f"{path}/rows")
