@@ -34,3 +34,13 @@ def test_bound_of_the_events(spark, tmp_path):
     got = rows(spark, events_of(spark, tmp_path, [(100, 300) * 3] * 2), "a16_bound")
     assert [r[0] for r in got] == [1, 2]
     assert [r[1:] for r in got] == [pytest.approx((4 / (0.1 * k) + 0.0025 / 12, 4 / (0.1 * k) + 0.05 / 12), abs=1e-9) for k in (1, 2)]
+
+
+def test_gradient_bound_of_the_events(spark, tmp_path):
+    from consensus_spark.operators import theory
+
+    # in hundreds: mean 2, variance 1; six users in two iterations make 6 of two workers and 4 of three
+    got = rows(spark, events_of(spark, tmp_path, [(100, 300) * 3] * 2), "a15_gradient_bound")
+    assert [r[:3] for r in got] == [(2, 1, 0.5), (3, 2, pytest.approx(1 / 3))]
+    for (n, b, beta, _, bound), last in zip(got, (6, 4), strict=True):
+        assert bound == pytest.approx(theory.gradient_bound(last, 2.0, 0.05, 1.0, n, b, beta, 1.0))
