@@ -44,3 +44,9 @@ def test_gradient_bound_of_the_events(spark, tmp_path):
     assert [r[:3] for r in got] == [(2, 1, 0.5), (3, 2, pytest.approx(1 / 3))]
     for (n, b, beta, _, bound), last in zip(got, (6, 4), strict=True):
         assert bound == pytest.approx(theory.gradient_bound(last, 2.0, 0.05, 1.0, n, b, beta, 1.0))
+
+
+def test_control_messages_of_the_trace(spark, tmp_path):
+    got = {r[0]: r for r in rows(spark, events_of(spark, tmp_path, ONE * 3), "a26_control")}
+    # with four workers, two of the six users fall to each of the first two
+    assert got[4] == (4, 3, 8, 24, 3, 3, 24) and got[2] == (2, 1, 4, 4, 1, 9, 36) and got[7][5:] == (0, 0)
