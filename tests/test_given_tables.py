@@ -50,3 +50,8 @@ def test_control_messages_of_the_trace(spark, tmp_path):
     got = {r[0]: r for r in rows(spark, events_of(spark, tmp_path, ONE * 3), "a26_control")}
     # with four workers, two of the six users fall to each of the first two
     assert got[4] == (4, 3, 8, 24, 3, 3, 24) and got[2] == (2, 1, 4, 4, 1, 9, 36) and got[7][5:] == (0, 0)
+
+
+def test_degrees_of_the_links_used(spark, tmp_path):
+    assert rows(spark, events_of(spark, tmp_path, ONE), "g_degrees") == [(1, 1), (2, 1)]
+    assert rows(spark, SF, "g_degrees") == [(0, 2), (1, 2), (2, 3), (3, 3), (4, 4), (5, 2)]
