@@ -55,3 +55,8 @@ def test_control_messages_of_the_trace(spark, tmp_path):
 def test_degrees_of_the_links_used(spark, tmp_path):
     assert rows(spark, events_of(spark, tmp_path, ONE), "g_degrees") == [(1, 1), (2, 1)]
     assert rows(spark, SF, "g_degrees") == [(0, 2), (1, 2), (2, 3), (3, 3), (4, 4), (5, 2)]
+
+
+def test_reach_over_the_links_used(spark, tmp_path):
+    assert rows(spark, events_of(spark, tmp_path, ONE), "g_reachable") == [(0, 0)]
+    assert rows(spark, SF, "g_reachable") == [(0, 0), (1, 2), (2, 2), (3, 1), (4, 1), (5, 2)]
