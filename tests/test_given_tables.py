@@ -60,3 +60,11 @@ def test_degrees_of_the_links_used(spark, tmp_path):
 def test_reach_over_the_links_used(spark, tmp_path):
     assert rows(spark, events_of(spark, tmp_path, ONE), "g_reachable") == [(0, 0)]
     assert rows(spark, SF, "g_reachable") == [(0, 0), (1, 2), (2, 2), (3, 1), (4, 1), (5, 2)]
+
+
+def test_covers_by_the_times_of_the_trace(spark, tmp_path):
+    got = {r[:2]: r for r in rows(spark, events_of(spark, tmp_path, [(6, 5, 4, 3, 2, 1), (8, 5, 4, 3, 2, 1)]), "m10_covers")}
+    assert len(got) == 28 and all(r[3] for r in got.values())
+    # worker 5 is the fastest: its links are the quickest for every other worker
+    assert got["complete", "min_time_tree"][4:] == (str([(4, 5), (3, 4), (2, 3), (1, 2), (0, 1)]), (2 + 3 + 4 + 5 + 7) / 5)
+    assert got["star", "tree"][5] == 7
