@@ -68,3 +68,11 @@ def test_covers_by_the_times_of_the_trace(spark, tmp_path):
     # worker 5 is the fastest: its links are the quickest for every other worker
     assert got["complete", "min_time_tree"][4:] == (str([(4, 5), (3, 4), (2, 3), (1, 2), (0, 1)]), (2 + 3 + 4 + 5 + 7) / 5)
     assert got["star", "tree"][5] == 7
+
+
+def test_worked_example_from_events(spark, tmp_path):
+    """The hand-checked rows, with times twice as long."""
+    from consensus_spark.plans.schedule_queries import GOLDEN_TIMES
+
+    folder = events_of(spark, tmp_path, [[2 * t for t in r] for r in GOLDEN_TIMES])
+    assert rows(spark, folder, "m11_golden") == [(1, 0, 1, 2, 6.0, 1), (2, 0, 2, 0, 4.0, 1), (3, 0, 3, 1, 6.0, 1)]
