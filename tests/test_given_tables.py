@@ -76,3 +76,9 @@ def test_worked_example_from_events(spark, tmp_path):
 
     folder = events_of(spark, tmp_path, [[2 * t for t in r] for r in GOLDEN_TIMES])
     assert rows(spark, folder, "m11_golden") == [(1, 0, 1, 2, 6.0, 1), (2, 0, 2, 0, 4.0, 1), (3, 0, 3, 1, 6.0, 1)]
+
+
+def test_sets_of_the_links_used(spark, tmp_path):
+    assert rows(spark, events_of(spark, tmp_path, ONE), "o_set_ops_links") == [(1, 2, "on_cover")]
+    whole = rows(spark, SF, "o_set_ops_links")
+    assert [r[:2] for r in whole] == sorted(graphs.SIX) and {r[:2] for r in whole if r[2] == "on_cover"} == set(graphs.SIX_COVER)
