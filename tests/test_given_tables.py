@@ -82,3 +82,7 @@ def test_sets_of_the_links_used(spark, tmp_path):
     assert rows(spark, events_of(spark, tmp_path, ONE), "o_set_ops_links") == [(1, 2, "on_cover")]
     whole = rows(spark, SF, "o_set_ops_links")
     assert [r[:2] for r in whole] == sorted(graphs.SIX) and {r[:2] for r in whole if r[2] == "on_cover"} == set(graphs.SIX_COVER)
+
+
+def test_constant_steps_of_the_trace(spark, tmp_path):
+    assert rows(spark, events_of(spark, tmp_path, ONE * 3), "r1_constant") == [(1, 0.05), (2, 0.05), (3, 0.05)]
