@@ -86,3 +86,10 @@ def test_sets_of_the_links_used(spark, tmp_path):
 
 def test_constant_steps_of_the_trace(spark, tmp_path):
     assert rows(spark, events_of(spark, tmp_path, ONE * 3), "r1_constant") == [(1, 0.05), (2, 0.05), (3, 0.05)]
+
+
+def test_iterations_required_by_events(spark, tmp_path):
+    # means in hundreds of the first one, two and three workers: 0.6, 0.4, 0.5
+    tol = [0.125 * 0.5 * m * m for m in (0.6, 0.4, 0.5)]
+    got = rows(spark, events_of(spark, tmp_path, [(40, 30, 70), (80, 10, 70)]), "a17_required")
+    assert got == [(n, math.ceil(1 / (t * t * n))) for n, t in enumerate(tol, 1)]
